@@ -2,15 +2,48 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from pairlattice.llm import sentencepiece
+from pairlattice.llm import chat, langid, rules, sentencepiece, urls
 from pairlattice.llm.common import table
 
 
+def fold_of(parts: int) -> Column:
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % parts
+
+
 def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepiece.encode(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {"op1_sentencepiece": op1_sentencepiece}
-ORACLES: dict[str, str] = {}
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    pieces = sentencepiece.PieceTable.load()
+    model = langid.fit(docs.where(fold_of(3) != 1), pieces)
+    return langid.predict(docs, pieces, model).select("doc_id", (fold_of(3) == 1).alias("held_out"), "lang_pred", "score")
+
+
+def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    probe = "</s>[INST] ok [/INST]"
+    extra = spark.createDataFrame([(-1, 0, "user", probe), (-1, 1, "assistant", probe)], "conv_id long, turn long, role string, text string")
+    return chat.digests(chat.format_chats(rows.unionByName(extra)))
+
+
+def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rules.quality_rules(table(spark, sf_dir, "documents"))
+
+
+def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urls.judge(table(spark, sf_dir, "pages"))
+
+
+QUERIES = {
+    "op1_sentencepiece": op1_sentencepiece,
+    "op3_language_id": op3_language_id,
+    "op4_chat_format": op4_chat_format,
+    "op8_quality_rules": op8_quality_rules,
+    "op9_url_filter": op9_url_filter,
+}
+ORACLES: dict[str, str] = {"op4_chat_format": chat.oracle(), "op8_quality_rules": rules.oracle()}
