@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlattice.llm import chat, langid, rules, sentencepiece, urls
+from pairlattice.llm import chat, langid, omh, quality, rules, sentencepiece, urls
 from pairlattice.llm.common import table
 
 
@@ -17,6 +17,10 @@ def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sentencepiece.encode(table(spark, sf_dir, "documents"))
 
 
+def op2_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return omh.classes(table(spark, sf_dir, "documents"))
+
+
 def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     pieces = sentencepiece.PieceTable.load()
@@ -31,6 +35,12 @@ def op4_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.format_chats(rows.unionByName(extra)))
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = quality.fit(docs.where(fold_of(4) != 2), table(spark, sf_dir, "labels").where(fold_of(4) != 2))
+    return quality.score(docs, model).select("doc_id", (fold_of(4) == 2).alias("held_out"), "score", "predicted")
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rules.quality_rules(table(spark, sf_dir, "documents"))
 
@@ -41,8 +51,10 @@ def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_sentencepiece": op1_sentencepiece,
+    "op2_order_minhash": op2_order_minhash,
     "op3_language_id": op3_language_id,
     "op4_chat_format": op4_chat_format,
+    "op5_quality": op5_quality,
     "op8_quality_rules": op8_quality_rules,
     "op9_url_filter": op9_url_filter,
 }
