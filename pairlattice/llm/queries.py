@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlattice.llm import chat, langid, omh, quality, rules, sentencepiece, urls
+from pairlattice.llm import chat, decontam, langid, omh, quality, rules, sentencepiece, urls
 from pairlattice.llm.common import table
 
 
@@ -49,6 +49,10 @@ def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.judge(table(spark, sf_dir, "pages"))
 
 
+def op10_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 QUERIES = {
     "op1_sentencepiece": op1_sentencepiece,
     "op2_order_minhash": op2_order_minhash,
@@ -57,5 +61,6 @@ QUERIES = {
     "op5_quality": op5_quality,
     "op8_quality_rules": op8_quality_rules,
     "op9_url_filter": op9_url_filter,
+    "op10_decontaminate": op10_decontaminate,
 }
 ORACLES: dict[str, str] = {"op4_chat_format": chat.oracle(), "op8_quality_rules": rules.oracle()}
