@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,18 +19,52 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the folder that the cluster shares.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the cluster shares for checkpoints.
 
-    The folder is the session's ``spark.checkpoint.dir``; only where that is unset (tests, one
-    machine) a temporary folder takes its place.
+    It is the session's ``spark.checkpoint.dir``; only where that is unset (tests, one machine) a
+    temporary folder takes its place.
     """
-    sc = df.sparkSession.sparkContext
+    sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def cut(df: DataFrame) -> DataFrame:
+    """Cut the lineage with a reliable checkpoint; Spark deletes it when nothing refers to it any more."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
+class Workspace:
+    """Written tables in the shared folder for the steps of one operator; ``close`` deletes them.
+
+    Unlike a checkpoint, a written table has the sizes of what it holds, not those estimated from
+    the plan that made it, so plans of later rounds stay as they are.
+    """
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.root, self.n = spark, f"{shared_folder(spark)}/tables-{uuid.uuid4().hex}", 0
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        self.n += 1
+        path = f"{self.root}/{self.n}"
+        df.write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def close(self) -> None:
+        jvm = self.spark._jvm
+        path = jvm.org.apache.hadoop.fs.Path(self.root)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+
+    def finish(self, df: DataFrame) -> DataFrame:
+        """The result, checkpointed, with all tables of the workspace deleted."""
+        out = cut(df)
+        self.close()
+        return out
+
+
 def text_bytes(docs: DataFrame, column: str = "text") -> int:
     """Total bytes of a text column; one narrow scan and one row to the driver."""
     return int(docs.agg(F.sum(F.octet_length(column))).first()[0] or 0)

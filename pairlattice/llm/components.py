@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import cut
+from pairlattice.llm.common import Workspace
 
 
 def _large(edges: DataFrame) -> DataFrame:
@@ -21,19 +21,18 @@ def _small(edges: DataFrame) -> DataFrame:
     return moved.union(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame, space: Workspace, rounds: int = 60) -> DataFrame:
     """(node, label): the least node of its component for every node with a link; ``edges`` has columns a, b.
 
     Each round sends a node its least neighbour, combined before the shuffle; a star's centre may be
     any share of all links, its rows are split by the joins' skew handling.
     """
-    now = cut(edges.where("a <> b").select("a", "b").distinct())
-    print_of = lambda df: df.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum((F.xxhash64("a", "b") % 1_000_000_007)), F.lit(0)).alias("s")).first()
+    now = space.keep(edges.where("a <> b").select("a", "b").distinct())
     before = None
     for _ in range(rounds):
-        now = cut(_small(_large(now)))
-        seen = print_of(now)
+        now = space.keep(_small(_large(now)))
+        seen = now.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("a", "b") % 1_000_000_007), F.lit(0))).first()
         if seen == before or seen[0] == 0:
             break
         before = seen
-    return now.select(F.col("a").alias("node"), F.col("b").alias("label")).union(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct())
+    return space.keep(now.select(F.col("a").alias("node"), F.col("b").alias("label")).union(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct()))

@@ -23,6 +23,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import cut
+from pairlattice.llm.common import Workspace
 from pairlattice.llm.components import components
 
 PRIME = np.uint64(0x9E3779B97F4A7C15)
@@ -45,8 +46,10 @@ class Settings:
     slots: int = 32
     similarity: float = 0.8
     seed: int = 5
-    #: Members of a bucket that the others are compared with in one later round.
+    #: Members of a bucket that the others are compared with in the second round; 16 times as many in each later one.
     pivots: int = 16
+    #: Buckets of several texts up to this number (16 bytes each) are broadcast.
+    broadcast_buckets: int = 500_000
 
 
 class WordHash(dict):
@@ -170,7 +173,7 @@ def within(pairs: list[tuple[np.ndarray, np.ndarray]], similarity: float, cells:
     """
     ok = np.zeros(len(pairs), bool)
     limit = np.array([int((1 - similarity) * max(len(a), len(b)) + 1e-9) for a, b in pairs], np.int64)
-    open_ = []
+    waiting: dict[int, list[int]] = {}
     for i, (a, b) in enumerate(pairs):
         if abs(len(a) - len(b)) > limit[i]:
             continue
@@ -180,23 +183,24 @@ def within(pairs: list[tuple[np.ndarray, np.ndarray]], similarity: float, cells:
         ua, ca = np.unique(a, return_counts=True)
         ub, cb = np.unique(b, return_counts=True)
         _, x, y = np.intersect1d(ua, ub, assume_unique=True, return_indices=True)
-        if max(len(a), len(b)) - np.minimum(ca[x], cb[y]).sum() <= limit[i]:
-            open_.append(i)
-    band = 8
-    while open_:
-        left = []
-        fit = [i for i in open_ if abs(len(pairs[i][0]) - len(pairs[i][1])) <= band]
-        left.extend(i for i in open_ if abs(len(pairs[i][0]) - len(pairs[i][1])) > band)
-        fit.sort(key=lambda i: len(pairs[i][0]))
-        step = max(1, cells // (2 * band + 1))
-        for lo in range(0, len(fit), step):
-            part = fit[lo : lo + step]
+        least = max(len(a), len(b)) - np.minimum(ca[x], cb[y]).sum()
+        if least <= limit[i]:
+            band = 8
+            while band < 1.25 * least:
+                band *= 3
+            waiting.setdefault(band, []).append(i)
+    while waiting:
+        band = min(waiting)
+        fit = sorted(waiting.pop(band), key=lambda i: len(pairs[i][0]))
+        step, lo = max(1, cells // (2 * band + 1)), 0
+        while lo < len(fit):
+            part = [i for i in fit[lo : lo + step] if len(pairs[i][0]) <= 1.5 * len(pairs[fit[lo]][0]) + 64]
+            lo += len(part)
             for i, d in zip(part, banded([pairs[i] for i in part], band)):
                 if d <= band:
                     ok[i] = d <= limit[i]
                 elif band < limit[i]:
-                    left.append(i)
-        open_, band = left, band * 3
+                    waiting.setdefault(band * 3, []).append(i)
     return ok
 
 
@@ -217,45 +221,57 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
 
 
 def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """(doc_id, class_id, n_links): each row's class and the number of verified links of its text."""
+    """(doc_id, class_id, n_links): each row's class and the number of verified links of its text.
+
+    Not every link of a class is looked for: two texts already in one class are not compared.
+    """
     settings = settings or Settings()
     docs = docs.select("doc_id", "text")
-    sk = cut(sketches(docs, settings))
+    space = Workspace(docs.sparkSession)
+    sk = space.keep(sketches(docs, settings))
     # equal texts: the least id stands for all of them
-    first = cut(sk.where("node is not null").groupBy("node").agg(F.min("doc").alias("rep")))
+    first = space.keep(sk.where("node is not null").groupBy("node").agg(F.min("doc").alias("rep")))
     rows = sk.join(first, (sk["node"] == first["node"]) & (sk["doc"] == first["rep"]), "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s"))
     rows = rows.select(F.xxhash64("slot", "s").alias("bucket"), "node", "n_words")
-    several = rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a")
-    buckets = cut(rows.join(several, "bucket").distinct())
+    several = space.keep(rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a"))
+    small = several.count() <= settings.broadcast_buckets
+    buckets = space.keep(rows.join(F.broadcast(several) if small else several, "bucket"))
     needed = buckets.select("node").distinct().join(first, "node")
-    texts = cut(docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("node"), "text").join(needed, ["rep", "node"]).dropDuplicates(["rep", "node"]).select("node", "text"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("node"), "text")
+    texts = space.keep(texts.join(F.broadcast(needed) if small else needed, ["rep", "node"]).dropDuplicates(["rep", "node"]).select("node", "text"))
     near = F.least("n_words", "na") >= settings.similarity * F.greatest("n_words", "na") - 1e-9
-    lengths = buckets.select(F.col("node").alias("a"), F.col("n_words").alias("na")).distinct()
     # first round: every text with the first of the texts that lead its buckets
+    lengths = buckets.select(F.col("node").alias("a"), F.col("n_words").alias("na")).distinct()
     star = buckets.where("node <> a").select("node", "n_words", "a").distinct().join(lengths, "a").where(near)
-    tested = cut(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"))
-    links = cut(verify(tested, texts, settings.similarity))
-    done = buckets.where("false").select("bucket", "node")  # members that all others of their bucket were compared with
+    links = [space.keep(verify(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"), texts, settings.similarity))]
+    labels = components(links[0], space)
+    at = buckets.select("bucket", "node", "n_words").distinct().join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    pivots = settings.pivots
     while True:
-        labels = cut(components(links))
-        at = buckets.drop("a").join(done, ["bucket", "node"], "left_anti").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        # buckets in which texts of several classes are left
         mixed = at.groupBy("bucket").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 <> l1").select("bucket")
-        at = cut(at.join(mixed, "bucket"))
+        rank = F.row_number().over(Window.partitionBy("bucket").orderBy("node"))
+        lead = at.join(mixed, "bucket").withColumn("rank", rank)
+        at = space.keep(lead)
         if at.isEmpty():
             break
-        rank = F.row_number().over(Window.partitionBy("bucket").orderBy("node"))
-        pivot = cut(at.withColumn("rank", rank).where(F.col("rank") <= settings.pivots).select("bucket", F.col("node").alias("pivot"), F.col("n_words").alias("na"), F.col("label").alias("la")))
-        pairs = at.join(pivot, "bucket").where((F.col("label") != F.col("la")) & near).select(F.least("pivot", "node").alias("a"), F.greatest("pivot", "node").alias("b")).distinct()
-        fresh = cut(pairs.join(tested, ["a", "b"], "left_anti"))
-        found = verify(fresh, texts, settings.similarity)
-        links, tested = cut(links.union(found)), cut(tested.union(fresh))
-        done = cut(done.union(pivot.select("bucket", F.col("pivot").alias("node"))))
-    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
+        pivot = at.where(F.col("rank") <= pivots).select("bucket", F.col("node").alias("pivot"), F.col("n_words").alias("na"), F.col("label").alias("la"))
+        pairs = at.join(pivot, "bucket").where((F.col("label") != F.col("la")) & near)
+        pairs = pairs.groupBy(F.least("pivot", "node").alias("a"), F.greatest("pivot", "node").alias("b")).agg(F.min(F.least("label", "la")).alias("x"), F.max(F.greatest("label", "la")).alias("y"))
+        pairs = space.keep(pairs)
+        found = space.keep(verify(pairs.select("a", "b"), texts, settings.similarity))
+        links.append(found)
+        moved = components(found.join(pairs, ["a", "b"]).select(F.col("x").alias("a"), F.col("y").alias("b")), space).select(F.col("node").alias("label"), F.col("label").alias("to"))
+        at = at.where(F.col("rank") > pivots).drop("rank").join(moved, "label", "left").select("bucket", "node", "n_words", F.coalesce("to", "label").alias("label"))
+        fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
+        labels = space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
+        pivots *= 16
+    degree = reduce(DataFrame.union, links).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("rep").alias("class_id"))
     member = named.join(ids, "label").join(degree, "node", "left").select("node", "class_id", "n_links")
     out = sk.select("doc", "node").join(member, "node", "left")
-    return out.select(F.col("doc").alias("doc_id"), F.coalesce("class_id", "doc").alias("class_id"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
+    return space.finish(out.select(F.col("doc").alias("doc_id"), F.coalesce("class_id", "doc").alias("class_id"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links")))
 
 
 def keep_first(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
