@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlattice.llm import chat, decontam, langid, omh, quality, rules, sentencepiece, urls
+from pairlattice.llm import chat, decontam, langid, omh, quality, rules, sentencepiece, suffix, urls
 from pairlattice.llm.common import table
 
 
@@ -41,6 +41,10 @@ def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, model).select("doc_id", (fold_of(4) == 2).alias("held_out"), "score", "predicted")
 
 
+def op6_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.digests(table(spark, sf_dir, "documents"))
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rules.quality_rules(table(spark, sf_dir, "documents"))
 
@@ -59,8 +63,9 @@ QUERIES = {
     "op3_language_id": op3_language_id,
     "op4_chat_format": op4_chat_format,
     "op5_quality": op5_quality,
+    "op6_suffix_array": op6_suffix_array,
     "op8_quality_rules": op8_quality_rules,
     "op9_url_filter": op9_url_filter,
     "op10_decontaminate": op10_decontaminate,
 }
-ORACLES: dict[str, str] = {"op4_chat_format": chat.oracle(), "op8_quality_rules": rules.oracle()}
+ORACLES: dict[str, str] = {"op4_chat_format": chat.oracle(), "op6_suffix_array": suffix.oracle(), "op8_quality_rules": rules.oracle()}
