@@ -7,9 +7,11 @@ not only with what they share.  Texts with an equal signature in a slot are cand
 pair is linked when the word-level edit distance is at most (1 - similarity) of the longer text.
 Classes are the connected components of the links.
 
-No pairs are listed inside a bucket: its members are compared with its first members that are not yet
-in their class, in rounds, until every pair is in one class, was compared, or differs too much in
-length.  Nothing is capped.
+First every text is compared with one text that leads one of its buckets.  In buckets whose texts
+are then in several classes, the pairs of different classes that agree in at least ``agree`` slots and
+fit in length are compared too; agreement is counted on 16 bits of each signature inside the task, so
+pairs that do not qualify are never rows.  Large buckets are cut into blocks and dealt as pairs of
+blocks, so no task holds more than two blocks and no pair is left out.
 
 Nodes are texts, named by a 64-bit hash; the class id is the least document id of the class.
 
@@ -29,7 +31,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pairlattice.llm.common import Workspace
@@ -43,11 +45,13 @@ MIX = np.uint64(0xD6E8FEB86659FD93)
 class Settings:
     shingle: int = 5
     order: int = 2
-    slots: int = 32
+    slots: int = 40
+    #: Slots in which two texts of different classes must agree to be compared after the first round.
+    agree: int = 4
     similarity: float = 0.8
     seed: int = 5
-    #: Members of a bucket that the others are compared with in the second round; 16 times as many in each later one.
-    pivots: int = 16
+    #: Texts of a block of a large bucket.
+    block: int = 4096
     #: Buckets of several texts up to this number (16 bytes each) are broadcast.
     broadcast_buckets: int = 500_000
 
@@ -113,20 +117,21 @@ def constants(settings: Settings) -> tuple[np.ndarray, np.ndarray]:
 
 
 def sketches(docs: DataFrame, settings: Settings) -> DataFrame:
-    """(doc, node, n_words, sig) of each row; ``node`` is null for word-less texts."""
+    """(doc, node, n_words, sig, brief) of each row; ``node`` is null for word-less texts, ``brief`` holds 16 bits a slot."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, (seeds, odd) = WordHash(), constants(settings)
         for batch in batches:
-            counts, sigs = [], []
+            counts, sigs, briefs = [], [], []
             for text in batch.column(2).to_pylist():
                 w = text.split() if text else []
                 counts.append(len(w))
                 sigs.append(signature(words.of(w), settings, seeds, odd).view(np.int64) if w else np.zeros(0, np.int64))
+                briefs.append((sigs[-1] & 0xFFFF).astype("<u2").tobytes())
             node = pc.if_else(pa.array([n > 0 for n in counts], pa.bool_()), batch.column(1), pa.scalar(None, pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64()))], names=["doc", "node", "n_words", "sig"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(briefs, pa.binary())], names=["doc", "node", "n_words", "sig", "brief"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(run, "doc long, node long, n_words int, sig array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(run, "doc long, node long, n_words int, sig array<long>, brief binary")
 
 
 def banded(pairs: list[tuple[np.ndarray, np.ndarray]], band: int) -> np.ndarray:
@@ -220,6 +225,39 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     return edges.join(b, "b").join(a, "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
+def agreeing(mixed: DataFrame, settings: Settings) -> DataFrame:
+    """(a, b, x, y): pairs of texts of one bucket but different labels x, y that agree in enough slots.
+
+    ``mixed`` has (bucket, slot, node, n_words, label, brief, blocks): the number of blocks of its
+    bucket.  A pair comes from its first common slot only.
+    """
+
+    def pairs(key: tuple, table: pa.Table) -> pa.Table:
+        col = lambda c: table.column(c).to_numpy()
+        node, words, label, block, slot = col("node"), col("n_words"), col("label"), col("block"), int(table.column("slot")[0].as_py())
+        brief = np.frombuffer(b"".join(table.column("brief").to_pylist()), "<u2").reshape(len(node), -1)
+        first, second = key[1].as_py(), key[2].as_py()
+        left, right = np.flatnonzero(block == first), np.flatnonzero(block == second)
+        out = []
+        step = max(1, (1 << 24) // max(1, len(right) * brief.shape[1]))
+        for lo in range(0, len(left), step):
+            i = left[lo : lo + step]
+            same = brief[i][:, None, :] == brief[right][None, :, :]
+            short, long_ = np.minimum(words[i][:, None], words[right]), np.maximum(words[i][:, None], words[right])
+            ok = (same.sum(2) >= settings.agree) & (same.argmax(2) == slot) & (label[i][:, None] != label[right]) & (short >= settings.similarity * long_ - 1e-9)
+            if first == second:
+                ok &= node[i][:, None] < node[right]
+            p, q = np.nonzero(ok)
+            out.append((i[p], right[q]))
+        i, j = (np.concatenate([o[k] for o in out]) if out else np.zeros(0, int) for k in (0, 1))
+        return pa.table({"a": np.minimum(node[i], node[j]), "b": np.maximum(node[i], node[j]), "x": label[i], "y": label[j]})
+
+    own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
+    dealt = mixed.withColumn("block", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    keys = [F.col("bucket"), F.least("block", "other").alias("first"), F.greatest("block", "other").alias("second")]
+    return dealt.groupBy(*keys).applyInArrow(pairs, "a long, b long, x long, y long")
+
+
 def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     """(doc_id, class_id, n_links): each row's class and the number of verified links of its text.
 
@@ -232,7 +270,7 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     # equal texts: the least id stands for all of them
     first = space.keep(sk.where("node is not null").groupBy("node").agg(F.min("doc").alias("rep")))
     rows = sk.join(first, (sk["node"] == first["node"]) & (sk["doc"] == first["rep"]), "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s"))
-    rows = rows.select(F.xxhash64("slot", "s").alias("bucket"), "node", "n_words")
+    rows = rows.select(F.xxhash64("slot", "s").alias("bucket"), "slot", "node", "n_words")
     several = space.keep(rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a"))
     small = several.count() <= settings.broadcast_buckets
     buckets = space.keep(rows.join(F.broadcast(several) if small else several, "bucket"))
@@ -245,27 +283,19 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     star = buckets.where("node <> a").select("node", "n_words", "a").distinct().join(lengths, "a").where(near)
     links = [space.keep(verify(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"), texts, settings.similarity))]
     labels = components(links[0], space)
-    at = buckets.select("bucket", "node", "n_words").distinct().join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    pivots = settings.pivots
-    while True:
-        # buckets in which texts of several classes are left
-        mixed = at.groupBy("bucket").agg(F.min("label").alias("l0"), F.max("label").alias("l1")).where("l0 <> l1").select("bucket")
-        rank = F.row_number().over(Window.partitionBy("bucket").orderBy("node"))
-        lead = at.join(mixed, "bucket").withColumn("rank", rank)
-        at = space.keep(lead)
-        if at.isEmpty():
-            break
-        pivot = at.where(F.col("rank") <= pivots).select("bucket", F.col("node").alias("pivot"), F.col("n_words").alias("na"), F.col("label").alias("la"))
-        pairs = at.join(pivot, "bucket").where((F.col("label") != F.col("la")) & near)
-        pairs = pairs.groupBy(F.least("pivot", "node").alias("a"), F.greatest("pivot", "node").alias("b")).agg(F.min(F.least("label", "la")).alias("x"), F.max(F.greatest("label", "la")).alias("y"))
-        pairs = space.keep(pairs)
-        found = space.keep(verify(pairs.select("a", "b"), texts, settings.similarity))
-        links.append(found)
-        moved = components(found.join(pairs, ["a", "b"]).select(F.col("x").alias("a"), F.col("y").alias("b")), space).select(F.col("node").alias("label"), F.col("label").alias("to"))
-        at = at.where(F.col("rank") > pivots).drop("rank").join(moved, "label", "left").select("bucket", "node", "n_words", F.coalesce("to", "label").alias("label"))
-        fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
-        labels = space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
-        pivots *= 16
+    # second round: buckets in which texts of several classes are left
+    at = buckets.select("bucket", "slot", "node", "n_words").distinct().join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    blocks = F.ceil(F.count(F.lit(1)) / settings.block).cast("int").alias("blocks")
+    mixed = at.groupBy("bucket").agg(F.min("label").alias("l0"), F.max("label").alias("l1"), blocks).where("l0 <> l1").select("bucket", "blocks")
+    left = space.keep(at.join(mixed, "bucket"))
+    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", F.col("doc").alias("rep"), "brief"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief")
+    left = left.join(brief, "node")
+    pairs = space.keep(agreeing(left, settings))
+    found = space.keep(verify(pairs.select("a", "b"), texts, settings.similarity))
+    links.append(found)
+    moved = components(found.join(pairs, ["a", "b"]).select(F.col("x").alias("a"), F.col("y").alias("b")), space).select(F.col("node").alias("label"), F.col("label").alias("to"))
+    fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
+    labels = space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
     degree = reduce(DataFrame.union, links).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("rep").alias("class_id"))
