@@ -48,6 +48,8 @@ class Settings:
     gram: int = 24
     #: Payload that a part of the first step may hold, about.
     part_bytes: int = 8 << 20
+    #: Bytes of stretches that a part of the second step may hold, about; suffix sorting takes some hundred times as much memory.
+    sort_bytes: int = 2 << 20
     #: Copies up to this number are kept out of the first step by broadcasting their ids.
     broadcast_copies: int = 500_000
 
@@ -223,7 +225,7 @@ def offer(reps: DataFrame, parts: int, settings: Settings) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), [t.encode("utf-8", "surrogatepass") if t else b"" for t in batch.column(2).to_pylist()]
-            for lo, hi in slices(texts):
+            for lo, hi in slices(texts, 1 << 20):
                 doc, h, _, _ = runs(texts[lo:hi], settings)
                 rows = []
                 if len(h):
@@ -294,7 +296,7 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
         for batch in batches:
             ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), [t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
             wanted = batch.column(3).to_pylist()
-            for lo, hi in slices(texts):
+            for lo, hi in slices(texts, 1 << 20):
                 doc, h, first, last = runs(texts[lo:hi], settings)
                 if not len(h):
                     continue
@@ -332,13 +334,23 @@ def covered(packed: DataFrame, settings: Settings) -> DataFrame:
         size = np.array([len(x) for x in seen], np.int64)
         least = np.full(len(seen), np.iinfo(np.int64).max)
         np.minimum.at(least, which, docs)
-        # one separator closes each stretch; bytes become 1 to 256, the separator is 257
-        begin = np.concatenate([[0], np.cumsum(size + 1)[:-1]])
-        text = np.full(int((size + 1).sum()), 257, np.int64)
-        inside = np.ones(len(text), bool)
-        inside[begin + size] = False
-        text[inside] = np.frombuffer(b"".join(seen), np.uint8).astype(np.int64) + 1
-        earliest = repeated_classes(text, begin, begin + size, least, settings.length)
+        # a stretch that no other one shares its hash with repeats as a whole only; the others are sorted
+        begin = np.concatenate([[0], np.cumsum(size)[:-1]])
+        flat = np.frombuffer(b"".join(seen), np.uint8)
+        earliest = np.repeat(least, size)
+        hash_of = least_of(hashes(flat, settings.gram), settings.length - settings.gram + 1)[begin] >> KEEP_BITS
+        _, same, times = np.unique(hash_of, return_inverse=True, return_counts=True)
+        several = np.flatnonzero(times[same] > 1)
+        if len(several):
+            # one separator closes each stretch; bytes become 1 to 256, the separator is 257
+            n = size[several]
+            start = np.concatenate([[0], np.cumsum(n + 1)[:-1]])
+            text = np.full(int((n + 1).sum()), 257, np.int64)
+            inside = np.ones(len(text), bool)
+            inside[start + n] = False
+            where = np.repeat(begin[several] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(int(n.sum()))
+            text[inside] = flat[where].astype(np.int64) + 1
+            earliest[where] = repeated_classes(text, start, start + n, least[several], settings.length)[inside]
         # strings of each occurrence that an earlier document holds
         count = size[which] - settings.length + 1
         at = np.repeat(begin[which] - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(int(count.sum()))
@@ -388,7 +400,7 @@ def marked(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     wanted = shared(offer(reps, parts, settings)).groupBy("doc_id", "key").agg(F.collect_set("hashes").alias("wanted"))
     texts = plain.select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), F.col("_text").alias("text"))
     found = texts.join(wanted, ["doc_id", "key"])
-    spans = covered(stretches(found, parts, settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias("_spans"))
+    spans = covered(stretches(found, parts_for(total, settings.sort_bytes), settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias("_spans"))
     out = named.join(spans.withColumnsRenamed({"doc_id": "_d", "key": "_k"}), (F.col("_doc") == F.col("_d")) & (F.col("_key") == F.col("_k")), "left").drop("_d", "_k")
     out = out.join(flags, (F.col("_doc") == F.col("_cd")) & F.col("_long") & (F.md5("_text") == F.col("_cg")), "left")
     return out.withColumn("_copy", F.col("_cd").isNotNull()).drop("_cd", "_cg", "_doc", "_key", "_long", "_text")
