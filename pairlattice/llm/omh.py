@@ -7,10 +7,11 @@ not only with what they share.  Texts with an equal signature in a slot are cand
 pair is linked when the word-level edit distance is at most (1 - similarity) of the longer text.
 Classes are the connected components of the links.
 
-First every text is compared with one text that leads one of its buckets.  In buckets whose texts
-are then in several classes, the pairs of different classes that agree in at least ``agree`` slots and
-fit in length are compared too; agreement is counted on 16 bits of each signature inside the task, so
-pairs that do not qualify are never rows.  Large buckets are cut into blocks and dealt as pairs of
+First every text is compared with one text that leads one of its buckets, then in two rounds a text
+of every class of a bucket with one of its first class; both are linear in the buckets.  In buckets
+whose texts are still in several classes, the pairs of different classes that agree in at least
+``agree`` slots and fit in length are compared too; agreement is counted on 16 bits of each signature
+and pairs are aligned inside the task, so only links become rows.  Large buckets are cut into blocks and dealt as pairs of
 blocks, so no task holds more than two blocks and no pair is left out.
 
 Nodes are texts, named by a 64-bit hash; the class id is the least document id of the class.
@@ -47,9 +48,11 @@ class Settings:
     order: int = 2
     slots: int = 40
     #: Slots in which two texts of different classes must agree to be compared after the first round.
-    agree: int = 4
+    agree: int = 6
     similarity: float = 0.8
     seed: int = 5
+    #: Rounds that compare classes by a text of each, before all agreeing pairs of different classes are compared.
+    class_rounds: int = 2
     #: Texts of a block of a large bucket.
     block: int = 4096
     #: Buckets of several texts up to this number (16 bytes each) are broadcast.
@@ -170,25 +173,34 @@ def banded(pairs: list[tuple[np.ndarray, np.ndarray]], band: int) -> np.ndarray:
     return out
 
 
-def within(pairs: list[tuple[np.ndarray, np.ndarray]], similarity: float, cells: int = 1 << 18) -> np.ndarray:
+class Prepared:
+    """A sequence of words with its distinct words and their numbers."""
+
+    __slots__ = ("words", "kinds", "times")
+
+    def __init__(self, words: np.ndarray):
+        self.words = words
+        self.kinds, self.times = np.unique(words, return_counts=True)
+
+
+def within(pairs: list[tuple[Prepared, Prepared]], similarity: float, cells: int = 1 << 18) -> np.ndarray:
     """Whether the edit distance of each pair is at most (1 - similarity) of the longer one.
 
     Words that one side lacks bound the distance from below; what passes is aligned in bands that
     widen until the distance fits, so close pairs cost little.
     """
     ok = np.zeros(len(pairs), bool)
-    limit = np.array([int((1 - similarity) * max(len(a), len(b)) + 1e-9) for a, b in pairs], np.int64)
+    size = [(len(a.words), len(b.words)) for a, b in pairs]
+    limit = np.array([int((1 - similarity) * max(n) + 1e-9) for n in size], np.int64)
     waiting: dict[int, list[int]] = {}
     for i, (a, b) in enumerate(pairs):
-        if abs(len(a) - len(b)) > limit[i]:
+        if abs(size[i][0] - size[i][1]) > limit[i]:
             continue
-        if len(a) == len(b) and (a == b).all():
+        if size[i][0] == size[i][1] and (a.words == b.words).all():
             ok[i] = True
             continue
-        ua, ca = np.unique(a, return_counts=True)
-        ub, cb = np.unique(b, return_counts=True)
-        _, x, y = np.intersect1d(ua, ub, assume_unique=True, return_indices=True)
-        least = max(len(a), len(b)) - np.minimum(ca[x], cb[y]).sum()
+        at = np.minimum(np.searchsorted(b.kinds, a.kinds), len(b.kinds) - 1)
+        least = max(size[i]) - int(np.minimum(a.times, b.times[at])[b.kinds[at] == a.kinds].sum())
         if least <= limit[i]:
             band = 8
             while band < 1.25 * least:
@@ -196,12 +208,12 @@ def within(pairs: list[tuple[np.ndarray, np.ndarray]], similarity: float, cells:
             waiting.setdefault(band, []).append(i)
     while waiting:
         band = min(waiting)
-        fit = sorted(waiting.pop(band), key=lambda i: len(pairs[i][0]))
+        fit = sorted(waiting.pop(band), key=lambda i: size[i][0])
         step, lo = max(1, cells // (2 * band + 1)), 0
         while lo < len(fit):
-            part = [i for i in fit[lo : lo + step] if len(pairs[i][0]) <= 1.5 * len(pairs[fit[lo]][0]) + 64]
+            part = [i for i in fit[lo : lo + step] if size[i][0] <= 1.5 * size[fit[lo]][0] + 64]
             lo += len(part)
-            for i, d in zip(part, banded([pairs[i] for i in part], band)):
+            for i, d in zip(part, banded([(pairs[i][0].words, pairs[i][1].words) for i in part], band)):
                 if d <= band:
                     ok[i] = d <= limit[i]
                 elif band < limit[i]:
@@ -217,7 +229,7 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
-                left, right = ([words.of(t.split()).view(np.int64) for t in part.column(k).to_pylist()] for k in (2, 3))
+                left, right = ([Prepared(words.of(t.split()).view(np.int64)) for t in part.column(k).to_pylist()] for k in (2, 3))
                 yield part.select([0, 1]).filter(pa.array(within(list(zip(left, right)), similarity)))
 
     a = texts.select(F.col("node").alias("a"), F.col("text").alias("ta"))
@@ -225,11 +237,12 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
     return edges.join(b, "b").join(a, "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
-def agreeing(mixed: DataFrame, settings: Settings) -> DataFrame:
-    """(a, b, x, y): pairs of texts of one bucket but different labels x, y that agree in enough slots.
+def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
+    """(a, b, x, y): verified pairs of texts of one bucket but different labels x, y that agree in enough slots.
 
-    ``mixed`` has (bucket, slot, node, n_words, label, brief, blocks): the number of blocks of its
-    bucket.  A pair comes from its first common slot only.
+    ``mixed`` has (bucket, slot, node, n_words, label, brief, text, blocks): the number of blocks of
+    its bucket.  A pair is compared in its first common slot only, and not where this task has linked
+    its labels already; only links are rows.
     """
 
     def pairs(key: tuple, table: pa.Table) -> pa.Table:
@@ -238,8 +251,20 @@ def agreeing(mixed: DataFrame, settings: Settings) -> DataFrame:
         brief = np.frombuffer(b"".join(table.column("brief").to_pylist()), "<u2").reshape(len(node), -1)
         first, second = key[1].as_py(), key[2].as_py()
         left, right = np.flatnonzero(block == first), np.flatnonzero(block == second)
-        out = []
-        step = max(1, (1 << 24) // max(1, len(right) * brief.shape[1]))
+        hashed, texts, parent = WordHash(), {}, {}
+        found: list[tuple[int, int, int, int]] = []
+
+        def top(x: int) -> int:
+            while parent.setdefault(x, x) != x:
+                parent[x] = x = parent[parent[x]]
+            return x
+
+        def text(i: int) -> Prepared:
+            if i not in texts:
+                texts[i] = Prepared(hashed.of(table.column("text")[i].as_py().split()).view(np.int64))
+            return texts[i]
+
+        step = max(1, (1 << 22) // max(1, len(right) * brief.shape[1]))
         for lo in range(0, len(left), step):
             i = left[lo : lo + step]
             same = brief[i][:, None, :] == brief[right][None, :, :]
@@ -248,9 +273,14 @@ def agreeing(mixed: DataFrame, settings: Settings) -> DataFrame:
             if first == second:
                 ok &= node[i][:, None] < node[right]
             p, q = np.nonzero(ok)
-            out.append((i[p], right[q]))
-        i, j = (np.concatenate([o[k] for o in out]) if out else np.zeros(0, int) for k in (0, 1))
-        return pa.table({"a": np.minimum(node[i], node[j]), "b": np.maximum(node[i], node[j]), "x": label[i], "y": label[j]})
+            todo = list(zip(i[p].tolist(), right[q].tolist()))
+            for at in range(0, len(todo), 128):
+                part = [(a, b) for a, b in todo[at : at + 128] if top(int(label[a])) != top(int(label[b]))]
+                for (a, b), good in zip(part, within([(text(a), text(b)) for a, b in part], settings.similarity)):
+                    if good:
+                        parent[top(int(label[a]))] = top(int(label[b]))
+                        found.append((*sorted((int(node[a]), int(node[b]))), int(label[a]), int(label[b])))
+        return pa.table({c: pa.array([f[k] for f in found], pa.int64()) for k, c in enumerate("abxy")})
 
     own = F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")
     dealt = mixed.withColumn("block", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -283,20 +313,35 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     star = buckets.where("node <> a").select("node", "n_words", "a").distinct().join(lengths, "a").where(near)
     links = [space.keep(verify(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"), texts, settings.similarity))]
     labels = components(links[0], space)
-    # second round: buckets in which texts of several classes are left
-    at = buckets.select("bucket", "slot", "node", "n_words").distinct().join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    blocks = F.ceil(F.count(F.lit(1)) / settings.block).cast("int").alias("blocks")
-    mixed = at.groupBy("bucket").agg(F.min("label").alias("l0"), F.max("label").alias("l1"), blocks).where("l0 <> l1").select("bucket", "blocks")
-    left = space.keep(at.join(mixed, "bucket"))
+    members = space.keep(buckets.select("bucket", "slot", "node", "n_words").distinct())
+
+    def labelled_members(labels: DataFrame) -> DataFrame:
+        """Members of buckets in which texts of several classes are left, with ``blocks`` of the bucket."""
+        at = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        blocks = F.ceil(F.count(F.lit(1)) / settings.block).cast("int").alias("blocks")
+        mixed = at.groupBy("bucket").agg(F.min("label").alias("lead"), F.max("label").alias("l1"), blocks).where("lead <> l1").select("bucket", "lead", "blocks")
+        return at.join(mixed, "bucket")
+
+    def merged(labels: DataFrame, found: DataFrame) -> DataFrame:
+        """Labels after the links (a, b) of the classes x and y."""
+        links.append(space.keep(found))
+        moved = components(links[-1].select(F.col("x").alias("a"), F.col("y").alias("b")), space).select(F.col("node").alias("label"), F.col("label").alias("to"))
+        fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
+        return space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
+
+    # next: in each bucket one text of every class with one of the first class, two pairs of texts for a pair of classes
+    for _ in range(settings.class_rounds):
+        one = labelled_members(labels).groupBy("bucket", "lead", "label").agg(F.min(F.struct("node", "n_words")).alias("t"))
+        first_one = one.where("lead = label").select("bucket", F.col("t").alias("u"))
+        both = one.where("lead <> label").join(first_one, "bucket").select(F.col("lead").alias("x"), F.col("label").alias("y"), F.struct(F.least("t.node", "u.node").alias("a"), F.greatest("t.node", "u.node").alias("b")).alias("e"), F.col("t.n_words").alias("n_words"), F.col("u.n_words").alias("na"))
+        both = both.where(near).groupBy("x", "y").agg(F.min("e").alias("e0"), F.max("e").alias("e1"))
+        pairs = space.keep(both.select("x", "y", F.explode(F.array_distinct(F.array("e0", "e1"))).alias("e")).select("e.a", "e.b", "x", "y"))
+        labels = merged(labels, verify(pairs.select("a", "b"), texts, settings.similarity).join(pairs, ["a", "b"]))
+    # last: all pairs of texts of different classes that agree in enough slots
+    left = space.keep(labelled_members(labels).drop("lead"))
     brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", F.col("doc").alias("rep"), "brief"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief")
-    left = left.join(brief, "node")
-    pairs = space.keep(agreeing(left, settings))
-    found = space.keep(verify(pairs.select("a", "b"), texts, settings.similarity))
-    links.append(found)
-    moved = components(found.join(pairs, ["a", "b"]).select(F.col("x").alias("a"), F.col("y").alias("b")), space).select(F.col("node").alias("label"), F.col("label").alias("to"))
-    fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
-    labels = space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
-    degree = reduce(DataFrame.union, links).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
+    labels = merged(labels, linked(left.join(brief.join(texts, "node"), "node"), settings))
+    degree = reduce(DataFrame.union, [x.select("a", "b") for x in links]).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("rep").alias("class_id"))
     member = named.join(ids, "label").join(degree, "node", "left").select("node", "class_id", "n_links")
