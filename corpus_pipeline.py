@@ -1,15 +1,59 @@
-"""Corpus pipeline: quality classifier, near-dedup, substring dedup, decontamination, tokens."""
+"""Corpus pipeline: quality classifier, near-dedup, substring dedup, decontamination, tokens.
+
+Each stage takes what the one before kept, in a written table, and returns the columns of documents;
+the last returns the ids of the tokens.  SQL cannot express the classifier or the near-duplicate
+classes, so there is no SQL for the whole; tests hold the stages against brute force.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from pairlattice.llm import decontam, omh, quality, sentencepiece, suffix
+from pairlattice.llm.common import Workspace, cut, table
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier, fitted on the labelled ones, accepts."""
+    return quality.accepted(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
+
+
+def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each class of near-duplicates the document with the least id."""
+    return omh.keep_first(docs)
+
+
+def suffix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without what an earlier document holds too, in strings of 50 bytes; every document stays."""
+    return suffix.kept_text(docs).withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(dict(docs.dtypes)["n_chars"]))
+
+
+def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a benchmark passage."""
+    return decontam.clean(docs, table(spark, sf_dir, "benchmark"))
+
+
+def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of each text, with the digest of the text decoded from them."""
+    return sentencepiece.encode(docs)
+
 
-STAGES: list = []
+STAGES = [
+    ("quality", quality_stage),
+    ("near_dedup", near_dedup_stage),
+    ("suffix_dedup", suffix_stage),
+    ("decontamination", decontamination_stage),
+    ("tokens", token_stage),
+]
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    docs = table(spark, sf_dir, "documents")
+    space = Workspace(spark)
+    for name, stage in STAGES[:-1]:
+        docs = space.keep(stage(spark, docs, sf_dir))
+    out = cut(STAGES[-1][1](spark, docs, sf_dir))
+    space.close()
+    return out

@@ -189,37 +189,61 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings | None = None) ->
     return Model(np.frombuffer(got[0], np.float32).reshape(settings.buckets, settings.dim).astype(float), np.frombuffer(got[1]), got[2], settings)
 
 
+class Scorer:
+    """Scores of texts; keeps a bounded number of words."""
+
+    def __init__(self, model: Model):
+        self.bias, self.settings = model.bias, model.settings
+        logits = self.logits = model.table @ model.weight
+
+        def compute(codes: np.ndarray) -> np.ndarray:
+            ids = features(codes, model.settings)
+            return np.stack([logits[ids].sum(1), np.full(len(ids), float(ids.shape[1])), ids[:, 0].astype(float)], 1)
+
+        self.known = WordRows(3, compute)
+
+    def scores(self, texts: list[str | None]) -> np.ndarray:
+        out: list[float] = []
+        words = [t.split() if t else [] for t in texts]
+        weight, lo = self.settings.pair_weight, 0
+        while lo < len(words):
+            hi, size = lo, 0
+            while hi < len(words) and (hi == lo or size + len(words[hi]) <= CACHE_WORDS):
+                size += len(words[hi])
+                hi += 1
+            self.known.learn(set().union(*words[lo:hi]))
+            for w in words[lo:hi]:
+                z = self.bias
+                if w:
+                    rows = self.known.of(w)
+                    pairs = self.logits[pair_ids(rows[:, 2], self.settings)]
+                    z += (rows[:, 0].sum() + weight * pairs.sum()) / (rows[:, 1].sum() + weight * len(pairs))
+                out.append(float(1 / (1 + np.exp(-min(30.0, max(-30.0, z))))))
+            lo = hi
+        return np.array(out)
+
+
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """(doc_id, score, predicted) of each whole text; narrow."""
     kind = dict(docs.dtypes)["doc_id"]
-    logits = model.table @ model.weight
-    bias, settings = model.bias, model.settings
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def compute(codes: np.ndarray) -> np.ndarray:
-            ids = features(codes, settings)
-            return np.stack([logits[ids].sum(1), np.full(len(ids), float(ids.shape[1])), ids[:, 0].astype(float)], 1)
-
-        known = WordRows(3, compute)
+        judge = Scorer(model)
         for batch in batches:
-            out: list[float] = []
-            words = [t.split() if t else [] for t in batch.column(1).to_pylist()]
-            lo = 0
-            while lo < len(words):
-                hi, size = lo, 0
-                while hi < len(words) and (hi == lo or size + len(words[hi]) <= CACHE_WORDS):
-                    size += len(words[hi])
-                    hi += 1
-                known.learn(set().union(*words[lo:hi]))
-                for w in words[lo:hi]:
-                    z = bias
-                    if w:
-                        rows = known.of(w)
-                        pairs = logits[pair_ids(rows[:, 2], settings)]
-                        z += (rows[:, 0].sum() + settings.pair_weight * pairs.sum()) / (rows[:, 1].sum() + settings.pair_weight * len(pairs))
-                    out.append(float(1 / (1 + np.exp(-min(30.0, max(-30.0, z))))))
-                lo = hi
-            p = np.array(out)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), pa.array((p >= settings.threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
+            p = judge.scores(batch.column(1).to_pylist())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), pa.array((p >= model.settings.threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double, predicted int")
+
+
+def accepted(docs: DataFrame, model: Model) -> DataFrame:
+    """The rows of ``docs`` whose text reaches the threshold, with all their columns; narrow."""
+    names = docs.columns
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        judge = Scorer(model)
+        for batch in batches:
+            p = judge.scores(batch.column(names.index("text")).to_pylist())
+            yield batch.filter(pa.array(p >= model.settings.threshold))
+
+    return docs.mapInArrow(run, docs.schema)

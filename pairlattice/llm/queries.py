@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pairlattice.llm import chat, decontam, langid, omh, quality, rules, sentencepiece, suffix, urls
+from pairlattice.llm import chat, decontam, langid, lm, omh, quality, rules, sentencepiece, suffix, urls
 from pairlattice.llm.common import table
 
 
@@ -45,6 +45,11 @@ def op6_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix.digests(table(spark, sf_dir, "documents"))
 
 
+def op7_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text").withColumn("learn", fold_of(7) != 2)
+    return lm.judged(docs, "learn").select("doc_id", (~F.col("learn")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rules.quality_rules(table(spark, sf_dir, "documents"))
 
@@ -64,6 +69,7 @@ QUERIES = {
     "op4_chat_format": op4_chat_format,
     "op5_quality": op5_quality,
     "op6_suffix_array": op6_suffix_array,
+    "op7_lm_score": op7_lm_score,
     "op8_quality_rules": op8_quality_rules,
     "op9_url_filter": op9_url_filter,
     "op10_decontaminate": op10_decontaminate,
