@@ -1,6 +1,589 @@
-"""Registered queries of the estimators and their SQL."""
+"""Registered queries of the estimators, baselines, measures and streams, and their SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+import tempfile
+from collections.abc import Callable
+from functools import partial
+from math import comb
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from pairlattice import lattice, measures
+from pairlattice.functions import hashing
+from pairlattice.functions.shingles import shingle_set
+from pairlattice.operators import baselines, moments, records, sketch, subvalues
+from pairlattice.operators.records import encoded_sql
+from pairlattice.plans import bounds, estimate
+from pairlattice.sources import workloads as W
+from pairlattice.spec import EstimatorSpec, sub_values
+from pairlattice.streaming import profile as stream_profile
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+ORDERS5 = W.TABLES["orders5"]
+MD5 = EstimatorSpec(s=3, fingerprint="md5_60")
+
+
+def add(name: str, query: Query, sql: str | None = None) -> None:
+    QUERIES[name] = query
+    if sql:
+        ORACLES[name] = sql
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def longs(df: DataFrame, *names: str) -> DataFrame:
+    return df.withColumns({n: F.round(F.col(n).cast("decimal(38,4)")).cast("long") for n in names})
+
+
+def shaped(prof: DataFrame) -> DataFrame:
+    """Profile columns that every engine prints alike."""
+    return longs(prof, "y", "emitted", "n", "x", "pairs_at_least", "g").select(F.col("level").cast("long").alias("level"), "y", "emitted", "n", "x", "pairs_at_least", "g", F.round("selectivity", 9).alias("selectivity"))
+
+
+# ---- SQL of profiles ------------------------------------------------------------------------
+
+
+def cols_of(d: int, mask: int) -> list[str]:
+    return [f"a{i + 1}" for i in range(d) if mask >> i & 1]
+
+
+def level_sql(d: int, s: int, source: str = "t") -> str:
+    """(level, y, emitted) by one GROUP BY per subset."""
+    parts = []
+    for m in lattice.masks(d, s):
+        cols = ", ".join(cols_of(d, m))
+        parts.append(f"SELECT {m.bit_count()} AS level, sum(c * c) AS y, sum(c) AS emitted FROM (SELECT count(*) AS c FROM {source} GROUP BY {cols})")
+    return f"SELECT level, CAST(coalesce(sum(y), 0) AS BIGINT) AS y, CAST(coalesce(sum(emitted), 0) AS BIGINT) AS emitted FROM ({' UNION ALL '.join(parts)}) GROUP BY level"
+
+
+def solved_sql(d: int, s: int, levels: str, n: str = "(SELECT count(*) FROM t)", factor: str = "1") -> str:
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(d, s))
+    return f"""
+, lv AS ({levels}), nn AS (SELECT CAST({n} AS BIGINT) AS n),
+cf(k, level, coef) AS (VALUES {coef}),
+xs AS (SELECT k AS level, sum(coef * (y - emitted) * {factor}) AS x FROM cf JOIN lv USING (level) GROUP BY k),
+pr AS (SELECT lv.level, y, emitted, n, x, sum(x) OVER (ORDER BY lv.level DESC) AS p FROM lv JOIN xs USING (level), nn)
+SELECT CAST(level AS BIGINT) AS level, CAST(round(y) AS BIGINT) AS y, CAST(emitted AS BIGINT) AS emitted, n, CAST(round(x) AS BIGINT) AS x, CAST(round(p) AS BIGINT) AS pairs_at_least,
+  CAST(round(p + n) AS BIGINT) AS g, round(CAST(p + n AS DOUBLE) / (CAST(n AS DOUBLE) * n), 9) AS selectivity FROM pr"""
+
+
+def profile_sql(source: str, d: int, s: int = 1) -> str:
+    return f"WITH t AS ({source})" + solved_sql(d, s, level_sql(d, s))
+
+
+def exact(frame: Callable[[SparkSession, str], DataFrame], d: int, s: int = 1, **kw) -> Query:
+    cols = [f"a{i + 1}" for i in range(d)]
+    return lambda spark, sf: shaped(estimate.self_join_size(frame(spark, sf), cols, EstimatorSpec(s=s, **kw), "exact", "rid"))
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The lattice estimator in sketch mode over orders: all thresholds from three attributes up, one scan."""
+    return estimate.self_join_size(ORDERS5.frame(spark, sf_dir), ORDERS5.cols, EstimatorSpec(s=3), "sketch", "rid")
+
+
+# ---- moments --------------------------------------------------------------------------------
+
+add("f2_orders_custkey", lambda sp, sf: longs(moments.second_moment(table(sp, sf, "orders"), ["o_custkey"]), "f2"),
+    "SELECT CAST(sum(c) AS BIGINT) AS n, count(*) AS \"distinct\", CAST(sum(c * c) AS BIGINT) AS f2 FROM (SELECT count(*) AS c FROM orders GROUP BY o_custkey)")
+add("f2_events_pair", lambda sp, sf: longs(moments.second_moment(table(sp, sf, "events"), ["user_id", "event_type"]), "f2"),
+    "SELECT CAST(sum(c) AS BIGINT) AS n, count(*) AS \"distinct\", CAST(sum(c * c) AS BIGINT) AS f2 FROM (SELECT count(*) AS c FROM events GROUP BY user_id, event_type)")
+
+
+def projection_sql(w: W.Workload, k: int) -> str:
+    parts = [f"SELECT {m} AS mask, CAST(sum(c) AS BIGINT) AS n, count(*) AS \"distinct\", CAST(sum(c * c) AS BIGINT) AS f2, CAST(sum(c * c) - sum(c) AS BIGINT) AS matching FROM (SELECT count(*) AS c FROM t GROUP BY {', '.join(cols_of(w.d, m))})" for m in lattice.subsets(w.d, k)]
+    return f"WITH t AS ({w.sql()}) " + " UNION ALL ".join(parts)
+
+
+for _k in (3, 4):
+    add(f"projection_moments_orders5_k{_k}", lambda sp, sf, k=_k: longs(moments.projection_moments(ORDERS5.frame(sp, sf), ORDERS5.cols, k), "f2", "matching"), projection_sql(ORDERS5, _k))
+add("projection_moments_grouping_sets", lambda sp, sf: longs(moments.projection_moments_sql(ORDERS5.frame(sp, sf), ORDERS5.cols, 3), "f2", "matching"), projection_sql(ORDERS5, 3))
+add("projection_skew_part5", lambda sp, sf: longs(moments.projection_skew(W.TABLES["part5"].frame(sp, sf), W.TABLES["part5"].cols, 2), "f2").select("mask", "n", "f2", "rank"),
+    f"SELECT mask, n, f2, rank() OVER (ORDER BY f2 DESC, mask) AS rank FROM ({projection_sql(W.TABLES['part5'], 2)})")
+add("top_skewed_subsets", lambda sp, sf: longs(moments.projection_skew(ORDERS5.frame(sp, sf), ORDERS5.cols, 2), "f2").orderBy("rank").limit(3).select("mask", "n", "f2", "rank"),
+    f"SELECT mask, n, f2, rank() OVER (ORDER BY f2 DESC, mask) AS rank FROM ({projection_sql(ORDERS5, 2)}) ORDER BY rank LIMIT 3")
+add("soft_dependencies_orders5", lambda sp, sf: moments.soft_dependencies(ORDERS5.frame(sp, sf), ORDERS5.cols, 1).select("mask", "added", F.round("kept", 9).alias("kept")),
+    f"SELECT p.mask, CAST(log2(xor(p.mask, q.mask)) AS INT) AS added, round(CAST(q.f2 AS DOUBLE) / p.f2, 9) AS kept FROM ({projection_sql(ORDERS5, 1)}) p JOIN ({projection_sql(ORDERS5, 2)}) q ON p.mask & q.mask = p.mask")
+for _n in ("orders5", "events5", "lineitem_mixed6"):
+    _w = W.TABLES[_n]
+    add(f"column_cardinalities_{_n}", lambda sp, sf, w=_w: moments.column_cardinalities(w.frame(sp, sf), w.cols),
+        f"WITH t AS ({_w.sql()}) " + " UNION ALL ".join(f"SELECT 'a{i + 1}' AS attribute, count(DISTINCT a{i + 1}) AS n_distinct FROM t" for i in range(_w.d)))
+_c3 = W.TABLES["customer3"]
+for _n, _roll in (("cube_customer3", False), ("rollup_customer3", True)):
+    _masks = [(1 << i) - 1 for i in range(4)] if _roll else list(range(8))
+    add(_n, lambda sp, sf, r=_roll: longs(moments.cube_moments(_c3.frame(sp, sf), _c3.cols, r), "f2"),
+        f"WITH t AS ({_c3.sql()}) " + " UNION ALL ".join(f"SELECT {m} AS mask, CAST(sum(c) AS BIGINT) AS n, CAST(sum(c * c) AS BIGINT) AS f2 FROM (SELECT count(*) AS c FROM t{' GROUP BY ' + ', '.join(cols_of(3, m)) if m else ''})" for m in _masks))
+
+# ---- level streams and profiles --------------------------------------------------------------
+
+add("level_stream_counts_orders5", lambda sp, sf: subvalues.level_stream(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid").groupBy("level", "mask").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("fp").alias("n_distinct")),
+    f"WITH t AS ({ORDERS5.sql()}) " + " UNION ALL ".join(f"SELECT {m.bit_count()} AS level, {m} AS mask, CAST(sum(c) AS BIGINT) AS n, count(*) AS n_distinct FROM (SELECT count(*) AS c FROM t GROUP BY {', '.join(cols_of(5, m))})" for m in lattice.masks(5, 3)))
+for _n, _w in W.TABLES.items():
+    if _n != "nulls3":
+        add(f"level_moments_{_n}", lambda sp, sf, w=_w: longs(moments.level_moments(subvalues.level_stream(w.frame(sp, sf), w.cols, EstimatorSpec(s=1), "rid")), "y"), f"WITH t AS ({_w.sql()}) {level_sql(_w.d, 1)}")
+        add(f"profile_{_n}", exact(_w.frame, _w.d), profile_sql(_w.sql(), _w.d))
+add("profile_doc_shingles6", exact(W.shingle_frame, 6), profile_sql(W.shingle_sql(), 6))
+_conv = "conv_id * 10000 + turn"
+add("profile_conv_shingles6", exact(partial(W.shingle_frame, table="conversations", rid=_conv), 6), profile_sql(W.shingle_sql("conversations", _conv), 6))
+for _n, (_u, _g) in W.GENERATED.items():
+    add(f"profile_{_n}", exact(lambda sp, sf, u=_u, g=_g: W.generated_pairs(sp, sf, u, g), 5, 3), profile_sql(W.generated_sql(str(_u), _g), 5, 3))
+for _x in (2, 4, 8):
+    add(f"profile_dup_x{_x}", exact(lambda sp, sf, x=_x: W.duplicated(ORDERS5.frame(sp, sf), x), 5, 3), profile_sql(f"SELECT t.* FROM ({ORDERS5.sql()}) t, range({_x})", 5, 3))
+add("profile_unordered_orders5", lambda sp, sf: longs(estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=1, pair_counting="unordered"), "exact", "rid"), "x", "pairs_at_least").select(F.col("level").cast("long").alias("level"), "x", "pairs_at_least"),
+    f"SELECT level, CAST(x // 2 AS BIGINT) AS x, CAST(pairs_at_least // 2 AS BIGINT) AS pairs_at_least FROM ({profile_sql(ORDERS5.sql(), 5)})")
+add("profile_gaps_orders5", lambda sp, sf: longs(estimate.profile_gaps(estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=1), "exact", "rid")), "g", "gap").select(F.col("level").cast("long").alias("level"), "g", "gap", F.round("growth", 6).alias("growth")),
+    f"SELECT level, g, g - lag(g) OVER (ORDER BY level DESC) AS gap, round(CAST(g AS DOUBLE) / lag(g) OVER (ORDER BY level DESC), 6) AS growth FROM ({profile_sql(ORDERS5.sql(), 5)})")
+_nulls = W.TABLES["nulls3"]
+add("profile_nulls_equal", exact(_nulls.frame, 3), profile_sql(_nulls.sql(), 3))
+add("profile_nulls_drop", exact(_nulls.frame, 3, null_policy="drop"), profile_sql(f"SELECT * FROM ({_nulls.sql()}) WHERE a1 IS NOT NULL AND a2 IS NOT NULL AND a3 IS NOT NULL", 3))
+_never = " UNION ALL ".join(f"SELECT {m.bit_count()} AS level, sum(c * c) AS y, sum(c) AS emitted FROM (SELECT count(*) AS c FROM t WHERE {' AND '.join(c + ' IS NOT NULL' for c in cols_of(3, m))} GROUP BY {', '.join(cols_of(3, m))})" for m in lattice.masks(3, 1))
+add("profile_nulls_never", exact(_nulls.frame, 3, null_policy="never"), f"WITH t AS ({_nulls.sql()})" + solved_sql(3, 1, f"SELECT level, CAST(sum(y) AS BIGINT) AS y, CAST(sum(emitted) AS BIGINT) AS emitted FROM ({_never}) GROUP BY level"))
+
+# ---- brute force ----------------------------------------------------------------------------
+
+
+def pairs_sql(w: W.Workload) -> str:
+    same = " + ".join(f"CAST(l.a{i} IS NOT DISTINCT FROM r.a{i} AS INT)" for i in range(1, w.d + 1))
+    return f"WITH t AS ({w.sql()}) SELECT {same} AS level, CAST(2 * count(*) AS BIGINT) AS x FROM t l JOIN t r ON l.rid < r.rid GROUP BY 1"
+
+
+for _n in ("part5", "customer3", "embed8"):
+    _w = W.TABLES[_n]
+    add(f"all_pairs_{_n}", lambda sp, sf, w=_w: baselines.all_pairs(w.frame(sp, sf), w.cols, "rid"), pairs_sql(_w))
+add("hamming_pairs_example", lambda sp, sf: hamming_example(sp), "SELECT * FROM (VALUES (1, 3, 1, 0.667), (2, 4, 1, 0.667)) AS v(l, r, distance, similarity)")
+
+
+def hamming_example(spark: SparkSession) -> DataFrame:
+    t = W.example_relation(spark)
+    a, b = [F.col(f"l.a{i}") for i in (1, 2, 3)], [F.col(f"r.a{i}") for i in (1, 2, 3)]
+    pairs = t.alias("l").join(t.alias("r"), F.col("l.rid") < F.col("r.rid"))
+    out = pairs.select(F.col("l.rid").alias("l"), F.col("r.rid").alias("r"), records.hamming_distance(a, b).alias("distance"), F.round(records.hamming_similarity(a, b), 3).cast("decimal(4,3)").alias("similarity"))
+    return out.where(F.col("distance") <= 3 - records.threshold_from_similarity(3, 0.6))
+
+
+# ---- drawn sub-values -----------------------------------------------------------------------
+
+
+def draw_sql(seed: int, what: str, key: str) -> str:
+    return f"('0x' || substr(md5('{what}{seed}|' || CAST(rid AS VARCHAR) || '|' || CAST({key} AS VARCHAR)), 1, 15))::BIGINT"
+
+
+def drawn_sql(w: W.Workload, spec: EstimatorSpec) -> str:
+    """CTEs ``t`` and ``v`` (rid, level, mask, fp): the sub-values as drawn, fingerprinted by MD5."""
+    d, top = w.d, 1 << 60
+    rows, fps = [], []
+    for m in lattice.masks(d, spec.s):
+        text = " || ".join(encoded_sql(f"a{i + 1}") for i in range(d) if m >> i & 1)
+        rows.append(f"({m}, {m.bit_count()})")
+        fps.append(f"WHEN {m} THEN ('0x' || substr(md5('{m}|' || {text}), 1, 15))::BIGINT")
+    if spec.sampler == "bernoulli":
+        limit = " ".join(f"WHEN {k} THEN {int(spec.ratio_of(k) * top)}" for k in range(spec.s, d + 1))
+        chosen = f"SELECT *, 0 AS pos FROM e WHERE {draw_sql(spec.seed, 'm', 'mask')} < CASE level {limit} END"
+    else:
+        count = " ".join(f"WHEN {k} THEN {int(spec.ratio_of(k) * comb(d, k) + 1e-12)} + CASE WHEN {draw_sql(spec.seed, 'n', 'level')} < {int((spec.ratio_of(k) * comb(d, k) - int(spec.ratio_of(k) * comb(d, k) + 1e-12)) * top)} THEN 1 ELSE 0 END" for k in range(spec.s, d + 1))
+        chosen = f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY rid, level ORDER BY {draw_sql(spec.seed, 'm', 'mask')}, mask) AS pos FROM e) WHERE pos <= CASE level {count} END"
+    if spec.ratio == 1.0:
+        chosen = "SELECT *, 0 AS pos FROM e"
+    return f"""WITH t AS ({w.sql()}), mk(mask, level) AS (VALUES {', '.join(rows)}), e AS (SELECT t.*, mask, level FROM t, mk), ch AS ({chosen}),
+v AS (SELECT rid, level, mask, CASE mask {' '.join(fps)} END AS fp FROM ch)"""
+
+
+COUNTED = "SELECT level, CAST(sum(c * c) AS BIGINT) AS y, CAST(sum(c) AS BIGINT) AS emitted FROM (SELECT level, mask, fp, count(*) AS c FROM v GROUP BY 1, 2, 3) GROUP BY level"
+
+
+def sampled(name: str, w: W.Workload, spec: EstimatorSpec) -> None:
+    factors = " ".join(f"WHEN {k} THEN {1 / spec.ratio_of(k) ** 2!r}" for k in range(spec.s, w.d + 1))
+    add(name, lambda sp, sf: shaped(estimate.self_join_size(w.frame(sp, sf), w.cols, spec, "exact", "rid")), drawn_sql(w, spec) + solved_sql(w.d, spec.s, COUNTED, factor=f"CASE level {factors} END"))
+
+
+sampled("sampled_fixed_orders5_r50", ORDERS5, MD5.with_(ratio=0.5))
+sampled("sampled_bernoulli_orders5_r50", ORDERS5, MD5.with_(ratio=0.5, sampler="bernoulli"))
+sampled("sampled_perlevel_orders6", W.TABLES["orders6"], MD5.with_(s=4, ratio={4: 0.25, 5: 0.5, 6: 1.0}))
+for _r in (25, 75):
+    sampled(f"sampled_fixed_orders5_r{_r}", ORDERS5, MD5.with_(ratio=_r / 100))
+add("sampled_replacement_orders5", lambda sp, sf: estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3, ratio=0.5, sampler="replacement"), "exact", "rid"))
+
+
+def expected_vs_emitted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The two self-pair terms of one draw, and the exact profile."""
+    f, spec = ORDERS5.frame(spark, sf_dir), EstimatorSpec(s=3, ratio=0.5)
+    run = lambda s: estimate.self_join_size(f, ORDERS5.cols, s, "exact", "rid").select("level", F.col("g").cast("double").alias("g"))
+    out = run(spec).withColumnRenamed("g", "g_emitted").join(run(spec.with_(self_pairs="expected")).withColumnRenamed("g", "g_expected"), "level")
+    return out.join(run(spec.with_(ratio=1.0)).withColumnRenamed("g", "g_true"), "level")
+
+
+add("sampled_expected_vs_emitted", expected_vs_emitted)
+
+# ---- sketches -------------------------------------------------------------------------------
+
+
+def counter_sql(w: W.Workload, spec: EstimatorSpec, prefix: str = "") -> str:
+    """CTE ``k`` (level, row, bucket, counter) after those of :func:`drawn_sql`."""
+    parts = ["SELECT level, -1 AS row, 0 AS bucket, 1 AS sign FROM v"]
+    for r in range(spec.depth):
+        b = hashing.tab4_sql(hashing.coefficients(spec.seed, r, "bucket"), "fp")
+        s = hashing.tab4_sql(hashing.coefficients(spec.seed, r, "sign"), "fp")
+        parts.append(f"SELECT level, {r} AS row, CAST({b} % {spec.width} AS INT) AS bucket, CASE WHEN {s} & 1 = 1 THEN 1 ELSE -1 END AS sign FROM v")
+    return f"{drawn_sql(w, spec)}, k AS (SELECT level, row, bucket, CAST(sum(sign) AS BIGINT) AS counter FROM ({' UNION ALL '.join(parts)}) GROUP BY 1, 2, 3)"
+
+
+def built(w: W.Workload, spec: EstimatorSpec, engine: str = "sql") -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        s = subvalues.level_stream(w.frame(spark, sf_dir), w.cols, spec, "rid")
+        return sketch.build_arrow(s, spec) if engine == "arrow" else sketch.build(s, spec)
+
+    return run
+
+
+SKETCHED = "SELECT a.level, y, emitted FROM (SELECT level, median(f2) AS y FROM (SELECT level, row, CAST(sum(counter * counter) AS DOUBLE) AS f2 FROM k WHERE row >= 0 GROUP BY 1, 2) GROUP BY level) a JOIN (SELECT level, counter AS emitted FROM k WHERE row = -1) b USING (level)"
+add("sketch_counters_orders5", built(ORDERS5, MD5), counter_sql(ORDERS5, MD5) + " SELECT * FROM k")
+add("sketch_counters_arrow_orders5", built(ORDERS5, MD5, "arrow"), counter_sql(ORDERS5, MD5) + " SELECT * FROM k")
+add("sketch_moment_fast_orders5", lambda sp, sf: sketch.second_moment(built(ORDERS5, MD5)(sp, sf), MD5), counter_sql(ORDERS5, MD5) + " " + SKETCHED)
+_plain = EstimatorSpec(s=5, fingerprint="md5_60", kind="plain", width=4, depth=3)
+
+
+def plain_sql(w: W.Workload, spec: EstimatorSpec) -> str:
+    parts = []
+    for j in range(spec.width * spec.depth):
+        s = hashing.tab4_sql(hashing.coefficients(spec.seed, j, "plain"), "fp")
+        parts.append(f"SELECT level, {j // spec.width} AS row, {j} AS j, sum(CASE WHEN {s} & 1 = 1 THEN 1 ELSE -1 END) AS c FROM v GROUP BY 1, 2, 3")
+    return f"{drawn_sql(w, spec)} SELECT level, median(f2) AS y, (SELECT count(*) FROM v WHERE v.level = q.level) AS emitted FROM (SELECT level, row, CAST(sum(c * c) AS DOUBLE) / {spec.width} AS f2 FROM ({' UNION ALL '.join(parts)}) GROUP BY 1, 2) q GROUP BY level"
+
+
+add("sketch_moment_plain_orders5", lambda sp, sf: sketch.second_moment(built(ORDERS5, _plain)(sp, sf), _plain), plain_sql(ORDERS5, _plain))
+for _n in ("orders5", "events5"):
+    _w = W.TABLES[_n]
+    add(f"sketch_profile_{_n}", lambda sp, sf, w=_w: shaped(estimate.self_join_size(w.frame(sp, sf), w.cols, MD5, "sketch", "rid")), counter_sql(_w, MD5) + solved_sql(_w.d, 3, SKETCHED))
+add("sketch_profile_doc_shingles6", lambda sp, sf: estimate.self_join_size(W.shingle_frame(sp, sf, oracle=False), [f"a{i}" for i in range(1, 7)], EstimatorSpec(s=3, ratio=0.5), "sketch", "rid"))
+add("sketch_reliable_orders5", lambda sp, sf: estimate.sanity(estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "sketch", "rid"), 5, EstimatorSpec(s=3)))
+
+
+def merged_by_year(spark: SparkSession, sf_dir: str) -> DataFrame:
+    f = ORDERS5.frame(spark, sf_dir)
+    early, late = (sketch.build(subvalues.level_stream(f.where(c), ORDERS5.cols, MD5, "rid"), MD5) for c in ("a4 < 1995", "a4 >= 1995"))
+    return sketch.merge(early, late)
+
+
+add("sketch_merge_by_year", merged_by_year, counter_sql(ORDERS5, MD5) + " SELECT * FROM k")
+
+# ---- joins ----------------------------------------------------------------------------------
+
+
+def join_sql(a: str, b: str, d: int, s: int = 1) -> str:
+    parts = []
+    for m in lattice.masks(d, s):
+        cols = cols_of(d, m)
+        on = " AND ".join(f"p.{c} IS NOT DISTINCT FROM q.{c}" for c in cols)
+        grp = ", ".join(cols)
+        parts.append(f"SELECT {m.bit_count()} AS level, coalesce(sum(p.c * q.c), 0) AS y FROM (SELECT {grp}, count(*) AS c FROM ta GROUP BY ALL) p JOIN (SELECT {grp}, count(*) AS c FROM tb GROUP BY ALL) q ON {on}")
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(d, s))
+    return f"""WITH ta AS ({a}), tb AS ({b}), lv AS (SELECT level, sum(y) AS y FROM ({' UNION ALL '.join(parts)}) GROUP BY level),
+cf(k, level, coef) AS (VALUES {coef}), xs AS (SELECT k AS level, sum(coef * y) AS x FROM cf JOIN lv USING (level) GROUP BY k)
+SELECT CAST(level AS BIGINT) AS level, CAST(y AS BIGINT) AS y, CAST(x AS BIGINT) AS x, CAST(sum(x) OVER (ORDER BY level DESC) AS BIGINT) AS pairs_at_least,
+  round(CAST(sum(x) OVER (ORDER BY level DESC) AS DOUBLE) / (CAST((SELECT count(*) FROM ta) AS DOUBLE) * (SELECT count(*) FROM tb)), 9) AS selectivity FROM lv JOIN xs USING (level)"""
+
+
+def joined(a: Callable, b: Callable, d: int, engine: str = "group", mode: str = "exact", spec: EstimatorSpec | None = None) -> Query:
+    cols = [f"a{i + 1}" for i in range(d)]
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = estimate.join_size(a(spark, sf_dir), b(spark, sf_dir), cols, cols, spec or EstimatorSpec(s=1), mode, "rid", "rid", engine)
+        return longs(out, "y", "x", "pairs_at_least").select(F.col("level").cast("long").alias("level"), "y", "x", "pairs_at_least", F.round("selectivity", 9).alias("selectivity"))
+
+    return run
+
+
+def half(w: W.Workload, where: str) -> Callable:
+    return lambda sp, sf: w.frame(sp, sf).where(where)
+
+
+_even, _odd = "rid % 2 = 0", "rid % 2 = 1"
+_ev = W.TABLES["events5"]
+add("join_profile_orders_even_odd", joined(half(ORDERS5, _even), half(ORDERS5, _odd), 5), join_sql(f"SELECT * FROM ({ORDERS5.sql()}) WHERE {_even}", f"SELECT * FROM ({ORDERS5.sql()}) WHERE {_odd}", 5))
+add("join_engine_equijoin", joined(half(ORDERS5, _even), half(ORDERS5, _odd), 5, "join"), ORACLES["join_profile_orders_even_odd"])
+add("join_profile_events_even_odd", joined(half(_ev, "a1 % 2 = 0"), half(_ev, "a1 % 2 = 1"), 5), join_sql(f"SELECT * FROM ({_ev.sql()}) WHERE a1 % 2 = 0", f"SELECT * FROM ({_ev.sql()}) WHERE a1 % 2 = 1", 5))
+add("join_profile_docs_benchmark", joined(W.shingle_frame, partial(W.shingle_frame, table="benchmark", rid="item_id"), 6), join_sql(W.shingle_sql(), W.shingle_sql("benchmark", "item_id"), 6))
+_cust = W.Workload("customer2", "customer", "c_custkey", ("cast(c_nationkey as bigint)", "cast(floor(c_acctbal / 1000) as bigint)"))
+_supp = W.Workload("supplier2", "supplier", "s_suppkey", ("cast(s_nationkey as bigint)", "cast(floor(s_acctbal / 1000) as bigint)"))
+add("join_profile_customer_supplier", joined(_cust.frame, _supp.frame, 2), join_sql(_cust.sql(), _supp.sql(), 2))
+add("sketch_join_orders", joined(half(ORDERS5, _even), half(ORDERS5, _odd), 5, mode="sketch", spec=EstimatorSpec(s=3)))
+add("sketch_join_events", joined(half(_ev, "a1 % 2 = 0"), half(_ev, "a1 % 2 = 1"), 5, mode="sketch", spec=EstimatorSpec(s=3)))
+add("half_sum_bound_orders", lambda sp, sf: baselines.half_sum_bound(half(ORDERS5, _even)(sp, sf), half(ORDERS5, _odd)(sp, sf), ORDERS5.cols, 4),
+    f"""SELECT (a.g + b.g) / 2.0::DOUBLE AS bound, CAST(j.pairs_at_least AS DOUBLE) AS join_size FROM
+    (SELECT g FROM ({profile_sql(f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_even}', 5, 4)}) WHERE level = 4) a, (SELECT g FROM ({profile_sql(f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_odd}', 5, 4)}) WHERE level = 4) b,
+    (SELECT pairs_at_least FROM ({join_sql(f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_even}', f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_odd}', 5, 4)}) WHERE level = 4) j""")
+
+# ---- baselines ------------------------------------------------------------------------------
+
+
+def sampling_sql(w: W.Workload, s: int, size: int, seed: int = 7) -> str:
+    same = " + ".join(f"CAST(l.a{i} IS NOT DISTINCT FROM r.a{i} AS INT)" for i in range(1, w.d + 1))
+    levels = ", ".join(f"({k})" for k in range(s, w.d + 1))
+    return f"""WITH t AS ({w.sql()}), nn AS (SELECT count(*) AS n FROM t),
+sm AS (SELECT * FROM t ORDER BY ('0x' || substr(md5('p{seed}|' || CAST(rid AS VARCHAR)), 1, 15))::BIGINT, rid LIMIT {size}), ss AS (SELECT count(*) AS m FROM sm),
+p AS (SELECT {same} AS level, 2 * count(*) AS x FROM sm l JOIN sm r ON l.rid < r.rid GROUP BY 1), lv(level) AS (VALUES {levels}),
+x AS (SELECT lv.level, coalesce(p.x, 0) * (CAST(n AS DOUBLE) * (n - 1) / (CAST(m AS DOUBLE) * (m - 1))) AS x, n, m FROM lv LEFT JOIN p USING (level), nn, ss)
+SELECT CAST(level AS BIGINT) AS level, CAST(round(x) AS BIGINT) AS x, CAST(round(sum(x) OVER (ORDER BY level DESC) + n) AS BIGINT) AS g, n, m AS sample FROM x"""
+
+
+for _n, _e in (("orders5", "pairs"), ("events5", "pairs"), ("orders6", "lattice")):
+    _w = W.TABLES[_n]
+    add(f"pair_sampling_{_n}", lambda sp, sf, w=_w, e=_e: longs(baselines.pair_sampling(w.frame(sp, sf), w.cols, EstimatorSpec(s=3), "rid", size=1000, engine=e, oracle=True), "x", "g").withColumn("level", F.col("level").cast("long")), sampling_sql(_w, 3, 1000))
+
+
+def pattern_sql(w: W.Workload, s: int, support: int) -> str:
+    parts = [f"SELECT {m.bit_count()} AS level, c FROM (SELECT count(*) AS c FROM t GROUP BY {', '.join(cols_of(w.d, m))}) WHERE c >= {support}" for m in lattice.masks(w.d, s)]
+    levels = ", ".join(f"({k})" for k in range(s, w.d + 1))
+    return f"WITH t AS ({w.sql()}), f AS ({' UNION ALL '.join(parts)}), lv(level) AS (VALUES {levels}), per AS (SELECT lv.level, count(c) AS patterns, CAST(coalesce(sum(c * (c - 1)), 0) AS DOUBLE) AS pair_sum FROM lv LEFT JOIN f USING (level) GROUP BY 1)"
+
+
+def pattern_lattice_sql(w: W.Workload, s: int, support: int) -> str:
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(w.d, s))
+    return pattern_sql(w, s, support) + f", cf(k, level, coef) AS (VALUES {coef}) SELECT level, patterns, pair_sum, x FROM per JOIN (SELECT k AS level, sum(coef * pair_sum) AS x FROM cf JOIN per USING (level) GROUP BY k) USING (level)"
+
+
+def patterned(miner: str = "partition", overlap: str = "lattice", tail: str = "none", support: int = 4) -> Query:
+    return lambda sp, sf: baselines.signature_patterns(ORDERS5.frame(sp, sf), ORDERS5.cols, 3, support, miner, overlap, tail)
+
+
+add("signature_patterns_orders5_none", patterned(overlap="none"), pattern_sql(ORDERS5, 3, 4) + " SELECT *, pair_sum AS x FROM per")
+add("signature_patterns_orders5_lattice", patterned(), pattern_lattice_sql(ORDERS5, 3, 4))
+add("signature_patterns_orders5_powerlaw", patterned(tail="powerlaw", support=6))
+add("signature_patterns_orders5_sample", patterned("sample", "none"))
+add("signature_patterns_orders5_lossy", patterned("lossy", "none"))
+
+
+def levelwise(spark: SparkSession, sf_dir: str) -> DataFrame:
+    f = ORDERS5.frame(spark, sf_dir)
+    return baselines.patterns(f, ORDERS5.cols, 3, 4, "levelwise").groupBy("level").agg(F.count(F.lit(1)).alias("patterns"), F.sum("c").alias("matches"))
+
+
+add("signature_patterns_orders5_levelwise", levelwise, pattern_sql(ORDERS5, 3, 4) + " SELECT level, count(*) AS patterns, CAST(sum(c) AS BIGINT) AS matches FROM f GROUP BY level")
+add("patterns_intersect_except", lambda sp, sf: patterns_sets(sp, sf), None)
+
+
+def patterns_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Frequent patterns of two halves of orders: shared by both, and of the first only."""
+    a, b = (baselines.patterns(half(ORDERS5, w)(spark, sf_dir), ORDERS5.cols, 4, 3).select("mask", "fp") for w in (_even, _odd))
+    tag = lambda df, name: df.groupBy("mask").agg(F.count(F.lit(1)).alias("patterns")).withColumn("part", F.lit(name))
+    return tag(a.intersectAll(b), "shared").unionByName(tag(a.exceptAll(b), "first only"))
+
+
+def strata_sql(w: W.Workload) -> str:
+    import random
+
+    chosen = sorted(random.Random(7).sample(range(1, w.d + 1), (w.d + 1) // 2))
+    cols = ", ".join(f"a{i}" for i in chosen)
+    return f"WITH t AS ({w.sql()}), b AS (SELECT count(*) AS b FROM t GROUP BY {cols}) SELECT count(*) AS buckets, CAST(sum(b) AS BIGINT) AS n, CAST(sum(b * (b - 1) // 2) AS BIGINT) AS pairs_high, CAST(sum(b) * (sum(b) - 1) // 2 - sum(b * (b - 1) // 2) AS BIGINT) AS pairs_low FROM b"
+
+
+def bucket_strata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    b = baselines.lsh_buckets(ORDERS5.frame(spark, sf_dir), ORDERS5.cols, "rid").groupBy("bucket").agg(F.count(F.lit(1)).alias("b"))
+    got = b.agg(F.count("b").alias("buckets"), F.sum("b").alias("n"), F.sum((F.col("b") * (F.col("b") - 1) / 2).cast("long")).alias("pairs_high"))
+    return got.withColumn("pairs_low", (F.col("n") * (F.col("n") - 1) / 2 - F.col("pairs_high")).cast("long"))
+
+
+add("lsh_bucket_strata_orders5", bucket_strata, strata_sql(ORDERS5))
+add("lsh_strata_linear_orders5", lambda sp, sf: baselines.lsh_strata(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid"))
+add("lsh_strata_fraction_orders5", lambda sp, sf: baselines.lsh_strata(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid", policy="fraction", fraction=0.0005))
+add("lsh_strata_adaptive_orders6", lambda sp, sf: baselines.lsh_strata(W.TABLES["orders6"].frame(sp, sf), W.TABLES["orders6"].cols, EstimatorSpec(s=4), "rid", adaptive=True))
+
+
+def asof_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For drawn ordinals, the customer whose run of orders holds it: an as-of join on running totals."""
+    size = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("bucket")).agg(F.count(F.lit(1)).alias("b")).withColumn("pairs", F.lit(0).cast("long"))
+    starts = size.select("bucket", "b", (F.sum("b").over(Window.partitionBy(F.lit(0)).orderBy("bucket")) - F.col("b")).alias("start"))
+    return baselines.located(spark.range(0, 1000).select((F.col("id") * 13).alias("at")), starts, "start", "b").select("at", "bucket", "start")
+
+
+add("asof_bucket_lookup", asof_lookup, "WITH s AS (SELECT o_custkey AS bucket, count(*) AS b FROM orders GROUP BY 1), r AS (SELECT bucket, b, CAST(sum(b) OVER (ORDER BY bucket) - b AS BIGINT) AS start FROM s), q AS (SELECT unnest(range(1000)) * 13 AS at_) SELECT at_ AS \"at\", bucket, start FROM q JOIN r ON at_ >= start AND at_ < start + b")
+
+# ---- measures -------------------------------------------------------------------------------
+
+
+def error_summary(frame: Callable, cols: list[str], spec: EstimatorSpec, seeds: range = range(1, 6), size: int = 1000) -> Query:
+    """Mean and spread of relative errors of the estimator and the baselines, on equal terms."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        f = frame(spark, sf_dir)
+        true = estimate.self_join_size(f, cols, spec.with_(ratio=1.0), "exact", "rid")
+        methods = {
+            "lattice exact": lambda k: estimate.self_join_size(f, cols, spec.with_(seed=k), "exact", "rid"),
+            "lattice sketch": lambda k: estimate.self_join_size(f, cols, spec.with_(seed=k), "sketch", "rid"),
+            "pair sampling": lambda k: baselines.pair_sampling(f, cols, spec.with_(seed=k), "rid", size=size, engine="lattice"),
+        }
+        out = None
+        for name, one in methods.items():
+            runs = measures.repeat(lambda k, one=one: one(k).select("level", F.col("g").cast("double").alias("g")), seeds)
+            got = measures.summary(measures.relative_error(runs, true)).withColumn("method", F.lit(name))
+            out = got if out is None else out.unionByName(got)
+        return out
+
+    return run
+
+
+add("relative_error_summary", error_summary(ORDERS5.frame, ORDERS5.cols, EstimatorSpec(s=3, ratio=0.5), range(1, 4)))
+add("equal_space_orders6", error_summary(W.TABLES["orders6"].frame, W.TABLES["orders6"].cols, EstimatorSpec(s=4, ratio=0.5), range(1, 4)))
+
+
+def swept(settings: list[tuple[str, Callable[[SparkSession, str], DataFrame], int, EstimatorSpec]], seeds: range = range(1, 4)) -> Query:
+    """Spread of the sketch's error as one parameter moves."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = None
+        for name, frame, d, spec in settings:
+            cols, f = [f"a{i + 1}" for i in range(d)], frame(spark, sf_dir)
+            true = estimate.self_join_size(f, cols, spec.with_(ratio=1.0), "exact", "rid")
+            runs = measures.repeat(lambda k, f=f, cols=cols, spec=spec: estimate.self_join_size(f, cols, spec.with_(seed=k), "sketch", "rid").select("level", F.col("g").cast("double").alias("g")), seeds)
+            got = measures.summary(measures.relative_error(runs, true)).withColumn("setting", F.lit(name))
+            out = got if out is None else out.unionByName(got)
+        return out
+
+    return run
+
+
+add("ablation_ratio_orders5", swept([(f"r={r}", ORDERS5.frame, 5, EstimatorSpec(s=4, ratio=r)) for r in (0.25, 0.5, 0.75, 1.0)]))
+add("ablation_dimension_embed", swept([(f"d={d}", W.TABLES["embed8"].frame, d, EstimatorSpec(s=d - 1, ratio=0.5)) for d in (4, 6, 8)]))
+add("ablation_size_dup", swept([(f"x{x}", lambda sp, sf, x=x: W.duplicated(ORDERS5.frame(sp, sf), x), 5, EstimatorSpec(s=4, ratio=0.5)) for x in (1, 2, 4)]))
+add("bound_grid_exact", lambda sp, sf: bounds.grid(sp).select(F.col("d").cast("long").alias("d"), F.col("s").cast("long").alias("s"), F.round("exact").cast("long").alias("bound")),
+    "WITH RECURSIVE f(n, v) AS (SELECT 0, 1::HUGEINT UNION ALL SELECT n + 1, v * (n + 1) FROM f WHERE n < 20), g AS (SELECT d, s FROM range(3, 11) a(d), range(1, 11) b(s) WHERE s <= d) SELECT d, s, CAST(((SELECT v FROM f WHERE n = d) // ((SELECT v FROM f WHERE n = s) * (SELECT v FROM f WHERE n = d - s))) ** 2 * ((SELECT v FROM f WHERE n = 2 * (d - s)) // ((SELECT v FROM f WHERE n = d - s) ** 2)) AS BIGINT) AS bound FROM g")
+add("bound_grid_sketch", lambda sp, sf: bounds.grid(sp))
+add("asymptotic_grid", lambda sp, sf: bounds.asymptotic_grid(sp).select("n", "p", "s", "lattice"),
+    "SELECT n, p, 6 - p AS s, CAST(n * CASE p WHEN 2 THEN 6 ELSE 16 END AS DOUBLE) AS lattice FROM (VALUES (10000), (100000), (1000000), (10000000)) a(n), (VALUES (2), (3)) b(p)")
+add("space_table", lambda sp, sf: measures.space_table(ORDERS5.frame(sp, sf), ORDERS5.cols, 3).select("d", "s", "bytes4", "bytes8"),
+    "SELECT 5 AS d, s, (6 - s) * 3000 * 4 AS bytes4, (6 - s) * 3000 * 8 AS bytes8 FROM (VALUES (3), (4), (5)) v(s)")
+add("subvalues_per_record", lambda sp, sf: sp.createDataFrame([(d, s, sub_values(d, s)) for d in range(3, 11) for s in range(1, d + 1)], "d int, s int, sub_values long"),
+    "WITH m AS (SELECT d, x FROM range(3, 11) a(d), range(1, 1024) b(x) WHERE x < (1 << d)), c AS (SELECT d, bit_count(CAST(x AS BIGINT)) AS k FROM m) SELECT CAST(c.d AS INT) AS d, CAST(s AS INT) AS s, count(*) AS sub_values FROM c, range(1, 11) t(s) WHERE s <= c.d AND k >= s GROUP BY 1, 2")
+add("plan_sketch_size", lambda sp, sf: sp.createDataFrame([(d, d - 1, *bounds.size_sketch(0.1, 0.05, d, d - 1)) for d in range(3, 9)], "d int, s int, width long, depth int"),
+    "SELECT CAST(d AS INT) AS d, CAST(d - 1 AS INT) AS s, CAST(ceil(8 * CAST(d * d * 2 AS DOUBLE) / (0.1::DOUBLE * 0.1::DOUBLE)) AS BIGINT) AS width, 25 AS depth FROM range(3, 9) t(d)")
+add("worked_example", exact(lambda sp, sf: W.example_relation(sp), 3), profile_sql("SELECT * FROM (VALUES (1, 'a1', 'b1', 'c1'), (2, 'a2', 'b2', 'c2'), (3, 'a1', 'b1', 'c3'), (4, 'a3', 'b2', 'c2')) v(rid, a1, a2, a3)", 3))
+
+
+def counterexample_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = None
+    for a, b, s, _ in W.counterexamples(spark):
+        got = baselines.half_sum_bound(a, b, ["a1", "a2", "a3"], s)
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+add("half_sum_counterexamples", counterexample_rows)
+
+# ---- labels and shingles --------------------------------------------------------------------
+
+
+def labelled_docs(how: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        good = table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select(F.col("doc_id").alias("rid"))
+        return W.shingle_frame(spark, sf_dir).join(good, "rid", how)
+
+    return run
+
+
+_good = "SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0"
+add("label_semi_join_profile", exact(labelled_docs("left_semi"), 6, 4), profile_sql(f"SELECT * FROM ({W.shingle_sql()}) WHERE rid IN ({_good})", 6, 4))
+add("label_anti_join_profile", exact(labelled_docs("left_anti"), 6, 4), profile_sql(f"SELECT * FROM ({W.shingle_sql()}) WHERE rid NOT IN ({_good})", 6, 4))
+add("shingle_vectors_docs", W.shingle_frame, W.shingle_sql())
+add("shingle_sizes_docs", lambda sp, sf: table(sp, sf, "documents").select("doc_id", F.size(shingle_set(F.col("text"))).cast("long").alias("shingles")),
+    "SELECT doc_id, CAST(len(list_distinct(string_split_regex(trim(lower(text)), '\\s+'))) AS BIGINT) AS shingles FROM documents")
+
+# ---- streams --------------------------------------------------------------------------------
+
+
+def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = f"{sf_dir}/events.parquet"
+    raw = spark.read.parquet(path)
+    parent = path.rsplit("/", 1)[0]
+    stream = spark.readStream.schema(raw.schema).option("pathGlobFilter", "events.parquet").load(parent)
+    return stream.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def event_attrs(df: DataFrame) -> DataFrame:
+    return df.selectExpr("event_id AS rid", "ts", *[f"{e} AS a{i + 1}" for i, e in enumerate(W.EVENTS)])
+
+
+def checkpoint_dir(spark: SparkSession) -> str:
+    shared = spark.conf.get("spark.checkpoint.dir", None)
+    if shared:
+        import uuid
+
+        return f"{shared}/stream-{uuid.uuid4().hex}"
+    return tempfile.mkdtemp(prefix="stream-")
+
+
+def drained(spark: SparkSession, df: DataFrame, mode: str) -> DataFrame:
+    """The final table of a query that reads what is there and stops; the state's rows, bounded by keys times counters."""
+    held: dict[str, list] = {}
+
+    def keep(batch: DataFrame, _: int) -> None:
+        rows = batch.collect()
+        held["rows"] = rows if mode == "complete" else held.get("rows", []) + rows
+
+    schema = df.schema
+    q = df.writeStream.outputMode(mode).option("checkpointLocation", checkpoint_dir(spark)).foreachBatch(keep).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.createDataFrame(held.get("rows", []), schema)
+
+
+_a5 = [f"a{i}" for i in range(1, 6)]
+_small = MD5.with_(s=4, width=200)
+
+
+def stream_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return drained(spark, stream_profile.sketch_stream(event_attrs(events_stream(spark, sf_dir)), _a5, _small, "rid"), "complete")
+
+
+add("stream_profile_events", lambda sp, sf: shaped(estimate.from_sketch(stream_counters(sp, sf), 5, _small)), counter_sql(_ev, _small) + solved_sql(5, 4, SKETCHED))
+
+
+def stream_daily(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s = stream_profile.tumbling(event_attrs(events_stream(spark, sf_dir)), ["a1", "a3", "a4", "a5"], MD5.with_(s=4, width=16, depth=1), "rid", "ts", "1 day")
+    got = drained(spark, s, "complete")
+    return got.where("row = -1").groupBy(F.to_date("k0.start").alias("day")).agg(F.sum(F.when(F.col("level") == 0, F.col("counter"))).alias("n"), F.sum(F.when(F.col("level") == 4, F.col("counter"))).alias("emitted"))
+
+
+add("stream_tumbling_daily", stream_daily, "SELECT CAST(ts AS DATE) AS day, count(*) AS n, count(*) AS emitted FROM events GROUP BY 1")
+
+
+def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three-day windows each day, added up from daily panes."""
+    s = stream_profile.tumbling(event_attrs(events_stream(spark, sf_dir)), ["a1", "a3", "a4", "a5"], MD5.with_(s=4, width=16, depth=1), "rid", "ts", "1 day")
+    got = stream_profile.sliding_from_panes(drained(spark, s, "complete"), 3, 86400)
+    return got.where("row = -1 and level = 0").select(F.to_date("start").alias("day"), F.col("counter").alias("n"))
+
+
+add("stream_sliding_3d", stream_sliding, "SELECT day, CAST(sum(n) AS BIGINT) AS n FROM (SELECT CAST(CAST(ts AS DATE) - CAST(b AS INT) AS DATE) AS day, count(*) AS n FROM events, range(3) t(b) GROUP BY 1) GROUP BY 1")
+
+
+def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = drained(spark, stream_profile.sessions(events_stream(spark, sf_dir), "user_id", "ts", "1 hour"), "complete")
+    return got.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n_events").alias("events"))
+
+
+add("stream_sessions", stream_sessions, "SELECT user_id, CAST(sum(new) AS BIGINT) AS sessions, count(*) AS events FROM (SELECT user_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS new FROM events) GROUP BY 1")
+
+
+def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Join size of two streams from their two sketches; no rows are joined."""
+    e = event_attrs(events_stream(spark, sf_dir))
+    sides = [drained(spark, stream_profile.sketch_stream(e.where(f"a1 % 2 = {k}"), _a5, _small, "rid"), "complete") for k in (0, 1)]
+    sizes = [sketch.level_sizes(x).where("level = 0").select(F.col("emitted").alias("n")) for x in sides]
+    return estimate.join_profile(sketch.inner_product(*sides, _small), 5, _small, *sizes)
+
+
+add("stream_join_events", stream_join)
+
+
+def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Closed daily windows of a watermarked stream: the last windows stay open behind the watermark."""
+    e = stream_profile.event_time(events_stream(spark, sf_dir), "ts", "1 day")
+    got = drained(spark, e.groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n")), "append")
+    return got.select(F.to_date("window.start").alias("day"), "n")
+
+
+add("stream_late_rows", stream_late, "SELECT CAST(ts AS DATE) AS day, count(*) AS n FROM events GROUP BY 1 HAVING CAST(CAST(ts AS DATE) AS TIMESTAMP) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
