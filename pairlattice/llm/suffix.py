@@ -47,9 +47,9 @@ class Settings:
     #: Bytes of a piece; the longer, the fewer chance repeats and the more runs.
     gram: int = 24
     #: Payload that a part of the first step may hold, about.
-    part_bytes: int = 8 << 20
+    part_bytes: int = 3 << 20
     #: Bytes of stretches that a part of the second step may hold, about; suffix sorting takes some hundred times as much memory.
-    sort_bytes: int = 2 << 20
+    sort_bytes: int = 1 << 20
     #: Copies up to this number are kept out of the first step by broadcasting their ids.
     broadcast_copies: int = 500_000
 
@@ -224,9 +224,9 @@ def offer(reps: DataFrame, parts: int, settings: Settings) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), [t.encode("utf-8", "surrogatepass") if t else b"" for t in batch.column(2).to_pylist()]
-            for lo, hi in slices(texts, 1 << 20):
-                doc, h, _, _ = runs(texts[lo:hi], settings)
+            ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), batch.column(2).to_pylist()
+            for lo, hi in slices(texts, 1 << 19):
+                doc, h, _, _ = runs([t.encode("utf-8", "surrogatepass") for t in texts[lo:hi]], settings)
                 rows = []
                 if len(h):
                     # one entry for a document and hash
@@ -294,10 +294,11 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), [t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
+            ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), batch.column(2).to_pylist()
             wanted = batch.column(3).to_pylist()
-            for lo, hi in slices(texts, 1 << 20):
-                doc, h, first, last = runs(texts[lo:hi], settings)
+            for lo, hi in slices(texts, 1 << 19):
+                data = [t.encode("utf-8", "surrogatepass") for t in texts[lo:hi]]
+                doc, h, first, last = runs(data, settings)
                 if not len(h):
                     continue
                 begin = np.concatenate([np.searchsorted(doc, np.arange(hi - lo)), [len(doc)]])
@@ -308,7 +309,7 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
                 rows = []
                 for a, b in groups(p):
                     seen: dict[bytes, int] = {}
-                    owner = np.array([seen.setdefault(texts[lo + d][x : y + settings.length], len(seen)) for d, x, y in zip(doc[a:b].tolist(), first[a:b].tolist(), last[a:b].tolist())], np.int32)
+                    owner = np.array([seen.setdefault(data[d][x : y + settings.length], len(seen)) for d, x, y in zip(doc[a:b].tolist(), first[a:b].tolist(), last[a:b].tolist())], np.int32)
                     who = doc[a:b]
                     rows.append((int(p[a]), ids[lo:hi][who].tobytes(), keys[lo:hi][who].tobytes(), owner.tobytes(), first[a:b].astype(np.int32).tobytes(), np.array([len(x) for x in seen], np.int32).tobytes(), b"".join(seen)))
                 if rows:
