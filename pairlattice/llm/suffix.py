@@ -39,6 +39,8 @@ from pairlattice.llm.common import cut, parts_for, slices, text_bytes
 ODD = 0x9E3779B97F4A7C15
 MIX = np.uint64(0xD6E8FEB86659FD93)
 KEEP_BITS = np.uint64(16)
+#: Stands for a null id.
+NO_ID = -(1 << 62)
 
 
 @dataclass(frozen=True)
@@ -385,26 +387,28 @@ def merged(spans: list[bytes] | None) -> list[tuple[int, int]]:
 
 
 def marked(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """``docs`` with ``_spans`` (list of packed ranges, or null) and ``_copy`` (an earlier document has the same text)."""
+    """``docs`` with ``_doc`` (its id as a long), ``_spans`` (list of packed ranges, or null) and ``_copy`` (an earlier document has the same text)."""
     settings = settings or Settings()
-    named = docs.withColumns({"_doc": F.col("doc_id").cast("long"), "_text": F.coalesce("text", F.lit(""))})
-    named = named.withColumns({"_key": F.xxhash64("_text"), "_long": F.octet_length("_text") >= settings.length})
+    # no key is null, so no filter is inferred on either side and both joins below read the same exchange of the texts
+    own = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
+    named = docs.withColumns({"_doc": own, "_key": F.xxhash64("text")})
+    bytes_, digest_of = F.coalesce(F.octet_length("text"), F.lit(0)), F.md5(F.coalesce("text", F.lit("")))
     total = text_bytes(docs)
     parts = parts_for(total * 0.6, settings.part_bytes)
-    digest = named.where("_long").select("_doc", F.md5("_text").alias("digest"))
+    digest = named.where(bytes_ >= settings.length).select("_doc", digest_of.alias("digest"))
     copies = digest.groupBy("digest").agg(F.min("_doc").alias("least"), F.max("_doc").alias("most")).where("least < most")
     copies = digest.join(copies, "digest").where("_doc > least").select("_doc", "digest").distinct()
     copies = cut(copies.select(F.col("_doc").alias("_cd"), F.col("digest").alias("_cg")))
     flags = F.broadcast(copies) if copies.count() <= settings.broadcast_copies else copies
-    plain = named.where("_long").select("_doc", "_key", "_text")
-    reps = plain.join(flags, (F.col("_doc") == F.col("_cd")) & (F.md5("_text") == F.col("_cg")), "left_anti").select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), F.col("_text").alias("text"))
+    copy = (F.col("_doc") == F.col("_cd")) & (digest_of == F.col("_cg"))
+    reps = named.where(bytes_ >= settings.length).join(flags, copy, "left_anti").select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), "text")
     wanted = shared(offer(reps, parts, settings)).groupBy("doc_id", "key").agg(F.collect_set("hashes").alias("wanted"))
-    texts = plain.select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), F.col("_text").alias("text"))
-    found = texts.join(wanted, ["doc_id", "key"])
+    found = named.join(wanted.withColumnsRenamed({"doc_id": "_d", "key": "_k"}), (F.col("_doc") == F.col("_d")) & (F.col("_key") == F.col("_k")))
+    found = found.select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), "text", "wanted")
     spans = covered(stretches(found, parts_for(total, settings.sort_bytes), settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias("_spans"))
     out = named.join(spans.withColumnsRenamed({"doc_id": "_d", "key": "_k"}), (F.col("_doc") == F.col("_d")) & (F.col("_key") == F.col("_k")), "left").drop("_d", "_k")
-    out = out.join(flags, (F.col("_doc") == F.col("_cd")) & F.col("_long") & (F.md5("_text") == F.col("_cg")), "left")
-    return out.withColumn("_copy", F.col("_cd").isNotNull()).drop("_cd", "_cg", "_doc", "_key", "_long", "_text")
+    out = out.join(flags, copy, "left")
+    return out.withColumn("_copy", F.col("_cd").isNotNull()).drop("_cd", "_cg", "_key")
 
 
 def digests(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
@@ -426,7 +430,7 @@ def digests(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
             cols = list(zip(*rows)) or [[], [], [], []]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
-    found = marked(docs.select("doc_id", "text"), settings).select("doc_id", "text", "_spans", "_copy")
+    found = marked(docs.select("doc_id", "text"), settings).select(F.nullif("_doc", F.lit(NO_ID)).cast(kind).alias("doc_id"), "text", "_spans", "_copy")
     return found.mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
