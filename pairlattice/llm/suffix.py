@@ -185,7 +185,9 @@ def runs(texts: list[bytes], settings: Settings) -> tuple[np.ndarray, np.ndarray
     none = np.zeros(0, np.int64)
     if len(flat) < settings.length:
         return none, none.astype(np.uint64), none, none
-    low = least_of(hashes(flat, settings.gram), settings.length - settings.gram + 1) >> KEEP_BITS
+    low = least_of(hashes(flat, settings.gram), settings.length - settings.gram + 1)
+    low = (low ^ (low >> np.uint64(32))) * MIX  # minima crowd near zero; parts need even values
+    low = (low ^ (low >> np.uint64(29))) >> KEEP_BITS
     doc = np.repeat(np.arange(len(texts)), size)[: len(low)]
     inside = np.arange(len(low)) + settings.length <= (begin + size)[doc]
     new = np.ones(len(low), bool)
