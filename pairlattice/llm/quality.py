@@ -141,7 +141,7 @@ def train(texts: list[str | None], labels: list[int], settings: Settings) -> Mod
     table = rng.normal(0, 0.1, (settings.buckets, settings.dim))
     weight = rng.normal(0, 0.1, settings.dim)
     share = y.mean() if len(y) else 0.5
-    if not 0 < share < 1:
+    if not len(y) or not 0 < share < 1:
         return Model(table, weight * 0, float(np.log((share + 1e-6) / (1 - share + 1e-6))) if len(y) else 0.0, settings)
     bias, seen_t, seen_w, seen_b = float(np.log(share / (1 - share))), np.full(table.shape, 1e-8), np.full(weight.shape, 1e-8), 1e-8
     bags = [bag(t, settings) for t in texts]
