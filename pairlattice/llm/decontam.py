@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import slices
+from pairlattice.llm.common import slices, tidy
 
 ODD = np.uint64(0x9E3779B97F4A7C15)
 MIX = np.uint64(0xD6E8FEB86659FD93)
@@ -243,7 +243,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, settings: Settings | No
                     hits = [b + [{"item_id": i, "start_word": s, "distance": e} for i, s, e in f] for b, f in zip(before[lo:hi], found)]
                     yield pa.RecordBatch.from_arrays([*(batch.column(k).slice(lo, hi - lo) for k in range(2)), pa.array(hits, HITS_ARROW)], names=["doc_id", "text", "hits"])
 
-        now = now.mapInArrow(run, f"doc_id {kind}, text string, hits {HITS}")
+        now = now.mapInArrow(tidy(run), f"doc_id {kind}, text string, hits {HITS}")
     return now.select("doc_id", (F.size("hits") > 0).alias("contaminated"), F.size("hits").cast("long").alias("n_items"), "hits")
 
 
@@ -261,5 +261,5 @@ def clean(docs: DataFrame, benchmark: DataFrame, settings: Settings | None = Non
                 for lo, hi in slices(texts):
                     yield batch.slice(lo, hi - lo).filter(pa.array([not x for x in items.search(texts[lo:hi])]))
 
-        kept = kept.mapInArrow(run, kept.schema)
+        kept = kept.mapInArrow(tidy(run), kept.schema)
     return kept.drop(mark)

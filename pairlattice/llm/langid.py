@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairlattice.llm.common import tidy
+
 from pairlattice.llm.sentencepiece import SPACE, Encoder, PieceTable
 
 UNKNOWN = "und"
@@ -77,7 +79,7 @@ def piece_counts(docs: DataFrame, pieces: PieceTable) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at)), pa.array(np.where(at == n, -1, at), pa.int32()), pa.array(v[at].astype(np.int64))], names=["lang", "piece", "n"])
 
     rows = docs.select("text", "lang").where(F.col("text").isNotNull() & F.col("lang").isNotNull())
-    return rows.mapInArrow(run, "lang string, piece int, n long").groupBy("lang", "piece").agg(F.sum("n").alias("n"))
+    return rows.mapInArrow(tidy(run), "lang string, piece int, n long").groupBy("lang", "piece").agg(F.sum("n").alias("n"))
 
 
 def fit(docs: DataFrame, pieces: PieceTable, smoothing: float = 0.5, most_langs: int = 1000) -> LanguageModel:
@@ -182,4 +184,4 @@ def predict(docs: DataFrame, pieces: PieceTable, model: LanguageModel) -> DataFr
                         langs.append(model.langs[k]), scores.append(float(1 / np.exp(x - x[k]).sum())), logs.append(float(x[k]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(logs, pa.float64())], names=["doc_id", "lang_pred", "score", "log_prob"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, lang_pred string, score double, log_prob double")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), f"doc_id {kind}, lang_pred string, score double, log_prob double")

@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import Workspace
+from pairlattice.llm.common import Workspace, tidy
 from pairlattice.llm.components import components
 
 PRIME = np.uint64(0x9E3779B97F4A7C15)
@@ -134,7 +134,7 @@ def sketches(docs: DataFrame, settings: Settings) -> DataFrame:
             node = pc.if_else(pa.array([n > 0 for n in counts], pa.bool_()), batch.column(1), pa.scalar(None, pa.int64()))
             yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(briefs, pa.binary())], names=["doc", "node", "n_words", "sig", "brief"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(run, "doc long, node long, n_words int, sig array<long>, brief binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(tidy(run), "doc long, node long, n_words int, sig array<long>, brief binary")
 
 
 def banded(pairs: list[tuple[np.ndarray, np.ndarray]], band: int) -> np.ndarray:
@@ -234,7 +234,7 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
 
     a = texts.select(F.col("node").alias("a"), F.col("text").alias("ta"))
     b = texts.select(F.col("node").alias("b"), F.col("text").alias("tb"))
-    return edges.join(b, "b").join(a, "a").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
+    return edges.join(b, "b").join(a, "a").select("a", "b", "ta", "tb").mapInArrow(tidy(run), "a long, b long")
 
 
 def linked(mixed: DataFrame, settings: Settings) -> DataFrame:

@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pairlattice.llm.common import tidy
+
 CACHE_WORDS = 200_000
 
 
@@ -130,8 +132,8 @@ def bag(text: str | None, settings: Settings) -> tuple[np.ndarray, np.ndarray]:
         total += np.bincount(ids.ravel(), np.repeat(np.array([words[w] for w in same], float), ids.shape[1]), settings.buckets)
     if len(order) > 1:
         total += settings.pair_weight * np.bincount(pair_ids(np.array([whole[w] for w in order]), settings), minlength=settings.buckets)
-    at = np.nonzero(total)[0]
-    return at, total[at] / max(total.sum(), 1)
+    at = np.nonzero(total)[0].astype(np.int32)
+    return at, (total[at] / max(total.sum(), 1)).astype(np.float32)
 
 
 def train(texts: list[str | None], labels: list[int], settings: Settings) -> Model:
@@ -183,7 +185,7 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings | None = None) ->
         m = train([r[1] for r in got], [int(r[2] == 1) for r in got], settings)
         yield pa.RecordBatch.from_arrays([pa.array([m.table.astype(np.float32).tobytes()], pa.binary()), pa.array([m.weight.tobytes()], pa.binary()), pa.array([m.bias], pa.float64())], names=["table", "weight", "bias"])
 
-    got = docs.select("doc_id", "text").join(chosen, "doc_id").coalesce(1).mapInArrow(run, "table binary, weight binary, bias double").first()
+    got = docs.select("doc_id", "text").join(chosen, "doc_id").coalesce(1).mapInArrow(tidy(run), "table binary, weight binary, bias double").first()
     if got is None:
         return train([], [], settings)
     return Model(np.frombuffer(got[0], np.float32).reshape(settings.buckets, settings.dim).astype(float), np.frombuffer(got[1]), got[2], settings)
@@ -233,7 +235,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
             p = judge.scores(batch.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), pa.array((p >= model.settings.threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, score double, predicted int")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), f"doc_id {kind}, score double, predicted int")
 
 
 def accepted(docs: DataFrame, model: Model) -> DataFrame:
@@ -246,4 +248,4 @@ def accepted(docs: DataFrame, model: Model) -> DataFrame:
             p = judge.scores(batch.column(names.index("text")).to_pylist())
             yield batch.filter(pa.array(p >= model.settings.threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

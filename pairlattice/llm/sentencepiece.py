@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from pairlattice.llm.common import list_array, slices
+from pairlattice.llm.common import list_array, slices, tidy
 
 SPACE = "▁"
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -250,7 +250,7 @@ def encode(docs: DataFrame, table: PieceTable | None = None, id_col: str = "doc_
                     names=["id", "n_tokens", "ids", "decoded_sha256", "round_trip"],
                 )
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"`{id_col}` {kind}, n_tokens long, ids array<int>, decoded_sha256 string, round_trip boolean")
+    return docs.select(id_col, text_col).mapInArrow(tidy(run), f"`{id_col}` {kind}, n_tokens long, ids array<int>, decoded_sha256 string, round_trip boolean")
 
 
 def decode(encoded: DataFrame, table: PieceTable | None = None, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
@@ -263,4 +263,4 @@ def decode(encoded: DataFrame, table: PieceTable | None = None, id_col: str = "d
         for batch in batches:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([None if x is None else enc.decode(x) for x in batch.column(1).to_pylist()], pa.string())], names=["id", "text"])
 
-    return encoded.select(id_col, ids_col).mapInArrow(run, f"`{id_col}` {kind}, text string")
+    return encoded.select(id_col, ids_col).mapInArrow(tidy(run), f"`{id_col}` {kind}, text string")

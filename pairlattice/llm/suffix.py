@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import cut, parts_for, slices, text_bytes
+from pairlattice.llm.common import cut, parts_for, release, slices, text_bytes, tidy
 
 ODD = 0x9E3779B97F4A7C15
 MIX = np.uint64(0xD6E8FEB86659FD93)
@@ -256,13 +256,14 @@ def offer(reps: DataFrame, parts: int, settings: Settings) -> DataFrame:
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.bool_(), pa.binary(), pa.binary(), pa.binary(), pa.binary()))], names=["part", "known", "docs", "keys", "counts", "hashes"])
 
-    return reps.select("doc_id", "key", "text").mapInArrow(run, RUN_ROWS)
+    return reps.select("doc_id", "key", "text").mapInArrow(tidy(run), RUN_ROWS)
 
 
 def shared(offered: DataFrame) -> DataFrame:
     """(doc_id, key, hashes): the hashes of each document that another document holds too."""
 
     def resolve(table: pa.Table) -> pa.Table:
+        release()
         doc, key, h, known = [], [], [], []
         for k, d, t, n, x in zip(*(table.column(c).to_pylist() for c in ("known", "docs", "keys", "counts", "hashes"))):
             n = np.frombuffer(n, np.int32)
@@ -319,13 +320,14 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 6))], names=["part", "docs", "keys", "owners", "firsts", "sizes", "bytes"])
 
-    return found.select("doc_id", "key", "text", "wanted").mapInArrow(run, STRETCH_ROWS)
+    return found.select("doc_id", "key", "text", "wanted").mapInArrow(tidy(run), STRETCH_ROWS)
 
 
 def covered(packed: DataFrame, settings: Settings) -> DataFrame:
     """(doc_id, key, spans): byte ranges of each document that strings of earlier documents cover."""
 
     def resolve(table: pa.Table) -> pa.Table:
+        release()
         docs, keys, firsts, which = [], [], [], []
         seen: dict[bytes, int] = {}
         for d, t, o, f, n, x in zip(*(table.column(c).to_pylist() for c in ("docs", "keys", "owners", "firsts", "sizes", "bytes"))):
@@ -433,7 +435,7 @@ def digests(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     found = marked(docs.select("doc_id", "text"), settings).select(F.nullif("_doc", F.lit(NO_ID)).cast(kind).alias("doc_id"), "text", "_spans", "_copy")
-    return found.mapInArrow(run, f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return found.mapInArrow(tidy(run), f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def kept_text(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
@@ -463,7 +465,7 @@ def kept_text(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
                 new.append(text if text is None else strip(data, [(0, len(data))] if copy else merged(spans)))
             yield pa.RecordBatch.from_arrays([pa.array(new, pa.string()) if c == "text" else batch.column(at[c]) for c in names], names=names)
 
-    return marked(docs, settings).mapInArrow(run, docs.schema)
+    return marked(docs, settings).mapInArrow(tidy(run), docs.schema)
 
 
 def oracle(length: int = 50) -> str:
