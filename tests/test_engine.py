@@ -271,3 +271,34 @@ def test_entry(spark):
 
     out = e.entry(spark)
     assert out.count() == 3 and set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_error_falls_with_the_ratio_and_not_with_duplication(spark):
+    f = W.generated_pairs(spark, SF, 0.2, 16).limit(1500)
+    low, high = (spread(spark, f, O5.cols, EstimatorSpec(s=4, ratio=r), "exact", range(1, 9))[4]["std_error"] for r in (0.25, 0.75))
+    assert high < low
+    twice = spread(spark, W.duplicated(f, 2), O5.cols, EstimatorSpec(s=4, ratio=0.25), "exact", range(1, 9))[4]["std_error"]
+    assert twice < 1.5 * low
+
+
+def test_replacement_draws_are_biased(spark):
+    f = W.generated_pairs(spark, SF, 0.2, 16).limit(1500)
+    fair, odd = (spread(spark, f, O5.cols, EstimatorSpec(s=4, ratio=0.8, sampler=m), "exact", range(1, 7))[4]["mean_error"] for m in ("fixed", "replacement"))
+    assert abs(odd) > abs(fair)
+
+
+def test_sample_of_a_stream_is_the_sample_of_the_table(spark, tmp_path):
+    from pairlattice.streaming import profile as P
+
+    f = O5.frame(spark, SF)
+    f.repartition(3).write.parquet(str(tmp_path / "in"))
+    store: dict = {}
+    P.sample_stream(tables.stream(spark, str(tmp_path / "in"), f.schema, files_per_trigger=1), 50, 7, "rid", store, str(tmp_path / "c")).awaitTermination()
+    want = f.withColumn("h", F.xxhash64(F.lit(7), "rid")).orderBy("h").limit(50)
+    assert store["n"] == 1500 and sorted(store["sample"]["rid"]) == sorted(r["rid"] for r in want.collect())
+
+
+def test_matching_sample_grows_until_it_is_good_enough(spark):
+    f = O5.frame(spark, SF)
+    size, e = measures.matching_sample(f, O5.cols, EstimatorSpec(s=3), "rid", 0.2, [1, 2, 3], [20, 700, 1500])
+    assert size in (700, 1500) and 0 < e <= 1
