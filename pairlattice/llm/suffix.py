@@ -229,7 +229,7 @@ def offer(reps: DataFrame, parts: int, settings: Settings) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), batch.column(2).to_pylist()
-            for lo, hi in slices(texts, 1 << 19):
+            for lo, hi in slices(texts, 1 << 20):
                 doc, h, _, _ = runs([t.encode("utf-8", "surrogatepass") for t in texts[lo:hi]], settings)
                 rows = []
                 if len(h):
@@ -292,7 +292,7 @@ STRETCH_ROWS = "part int, docs binary, keys binary, owners binary, firsts binary
 
 
 def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
-    """The bytes of the runs with a shared hash, packed by part; equal stretches of a block are sent once.
+    """The bytes of the runs with a shared hash, packed by part; equal stretches of a batch are sent once.
 
     ``owners`` tells the stretch of each (document, first byte); ``sizes`` the bytes of each stretch.
     """
@@ -301,6 +301,7 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
         for batch in batches:
             ids, keys, texts = np.array(batch.column(0).to_pylist(), np.int64), np.array(batch.column(1).to_pylist(), np.int64), batch.column(2).to_pylist()
             wanted = batch.column(3).to_pylist()
+            held: dict[int, tuple[dict[bytes, int], list[np.ndarray], list[int], list[np.ndarray]]] = {}
             for lo, hi in slices(texts, 1 << 19):
                 data = [t.encode("utf-8", "surrogatepass") for t in texts[lo:hi]]
                 doc, h, first, last = runs(data, settings)
@@ -311,14 +312,17 @@ def stretches(found: DataFrame, parts: int, settings: Settings) -> DataFrame:
                 doc, first, last, p = doc[hit], first[hit], last[hit], part_of(h[hit], parts)
                 order = np.argsort(p, kind="stable")
                 doc, first, last, p = doc[order], first[order], last[order], p[order]
-                rows = []
                 for a, b in groups(p):
-                    seen: dict[bytes, int] = {}
-                    owner = np.array([seen.setdefault(data[d][x : y + settings.length], len(seen)) for d, x, y in zip(doc[a:b].tolist(), first[a:b].tolist(), last[a:b].tolist())], np.int32)
-                    who = doc[a:b]
-                    rows.append((int(p[a]), ids[lo:hi][who].tobytes(), keys[lo:hi][who].tobytes(), owner.tobytes(), first[a:b].astype(np.int32).tobytes(), np.array([len(x) for x in seen], np.int32).tobytes(), b"".join(seen)))
-                if rows:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 6))], names=["part", "docs", "keys", "owners", "firsts", "sizes", "bytes"])
+                    seen, who, owner, starts = held.setdefault(int(p[a]), ({}, [], [], []))
+                    owner.extend(seen.setdefault(data[d][x : y + settings.length], len(seen)) for d, x, y in zip(doc[a:b].tolist(), first[a:b].tolist(), last[a:b].tolist()))
+                    who.append(doc[a:b] + lo)
+                    starts.append(first[a:b])
+            rows = []
+            for part, (seen, who, owner, starts) in held.items():
+                at = np.concatenate(who)
+                rows.append((part, ids[at].tobytes(), keys[at].tobytes(), np.array(owner, np.int32).tobytes(), np.concatenate(starts).astype(np.int32).tobytes(), np.array([len(x) for x in seen], np.int32).tobytes(), b"".join(seen)))
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), *[pa.binary()] * 6))], names=["part", "docs", "keys", "owners", "firsts", "sizes", "bytes"])
 
     return found.select("doc_id", "key", "text", "wanted").mapInArrow(tidy(run), STRETCH_ROWS)
 
