@@ -30,9 +30,10 @@ def coefficients(seed: int, row: int, what: str) -> list[list[int]]:
 
 def cubic(c: list[int], x: Column) -> Column:
     """Horner's rule; every step uses its input once, so the expression stays linear in size."""
-    out = F.lit(c[0]).cast("long")
+    of = lambda a: a if isinstance(a, Column) else F.lit(a).cast("long")
+    out = of(c[0])
     for a in c[1:]:
-        out = (out * x + F.lit(a)) % F.lit(PRIME)
+        out = (out * x + of(a)) % F.lit(PRIME)
     return out
 
 

@@ -22,19 +22,20 @@ LOW60 = (1 << 60) - 1
 def updates(stream: DataFrame, spec: EstimatorSpec, keep: Sequence[str] = ()) -> DataFrame:
     """(keep.., level, row, bucket, sign): what each sub-value adds to the counters."""
     fp = F.col("fp").bitwiseAND(F.lit(LOW60))
-    slots = [F.struct(F.lit(-1).alias("row"), F.lit(0).alias("bucket"), F.lit(1).alias("sign"))]
-    for row in range(spec.depth):
-        sign = F.when(tab4(coefficients(spec.seed, row, "sign"), fp).bitwiseAND(F.lit(1)) == 1, 1).otherwise(-1)
-        if spec.kind == "fast":
-            bucket = (tab4(coefficients(spec.seed, row, "bucket"), fp) % F.lit(spec.width)).cast("int")
-            slots.append(F.struct(F.lit(row).alias("row"), bucket.alias("bucket"), sign.alias("sign")))
-    if spec.kind == "plain":  # every counter is touched; a counter has signs of its own
-        for j in range(spec.width * spec.depth):
-            sign = F.when(tab4(coefficients(spec.seed, j, "plain"), fp).bitwiseAND(F.lit(1)) == 1, 1).otherwise(-1)
-            slots.append(F.struct(F.lit(j // spec.width).alias("row"), F.lit(j % spec.width).alias("bucket"), sign.alias("sign")))
-    only_count = F.slice(F.array(*slots), 1, 1)
-    chosen = F.when(F.col("level") == 0, only_count).otherwise(F.array(*slots))
-    return stream.select(*keep, "level", F.explode(chosen).alias("u")).select(*keep, "level", "u.*")
+    longs = lambda c: F.array(*[F.lit(v).cast("long") for p in c for v in p])
+    none = [[0] * 4] * 3
+    if spec.kind == "fast":
+        rows = [(r, 0, coefficients(spec.seed, r, "sign"), coefficients(spec.seed, r, "bucket")) for r in range(spec.depth)]
+    else:  # every counter is touched; a counter has signs of its own
+        rows = [(j // spec.width, j % spec.width, coefficients(spec.seed, j, "plain"), none) for j in range(spec.width * spec.depth)]
+    # the coefficients travel as rows of a literal, so the hash is compiled once, not once for each row of counters
+    table = F.array(*[F.struct(F.lit(r).alias("row"), F.lit(j).alias("j"), longs(s).alias("s"), longs(b).alias("b")) for r, j, s, b in [(-1, 0, none, none), *rows]])
+    out = stream.select(*keep, "level", fp.alias("fp"), F.explode(table).alias("t")).where("t.row = -1 or level > 0")
+    poly = lambda name: [[F.get(F.col(f"t.{name}"), F.lit(4 * k + i)) for i in range(4)] for k in range(3)]
+    counts = F.col("t.row") == -1
+    sign = F.when(counts | (tab4(poly("s"), F.col("fp")).bitwiseAND(F.lit(1)) == 1), 1).otherwise(-1)
+    bucket = (tab4(poly("b"), F.col("fp")) % F.lit(spec.width)).cast("int") if spec.kind == "fast" else F.col("t.j")
+    return out.select(*keep, "level", F.col("t.row").alias("row"), F.when(counts, F.lit(0)).otherwise(bucket).alias("bucket"), sign.alias("sign"))
 
 
 def build(stream: DataFrame, spec: EstimatorSpec) -> DataFrame:
