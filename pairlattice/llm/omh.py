@@ -9,9 +9,10 @@ Classes are the connected components of the links.
 
 First every text is compared with one text that leads one of its buckets, then in two rounds a text
 of every class of a bucket with one of its first class; both are linear in the buckets.  In buckets
-whose texts are still in several classes, the pairs of different classes that agree in at least
-``agree`` slots and fit in length are compared too; agreement is counted on 16 bits of each signature
-and pairs are aligned inside the task, so only links become rows.  Large buckets are cut into blocks and dealt as pairs of
+whose texts are still in several classes, all pairs of different classes that fit in length are
+compared too, each in its first common slot, which is told by 32 bits of each signature.  Counts of
+the words by 64 classes of hashes bound the distance from below before words are looked at.  Pairs are
+aligned inside the task, so only links become rows.  Large buckets are cut into blocks and dealt as pairs of
 blocks, so no task holds more than two blocks and no pair is left out.
 
 Nodes are texts, named by a 64-bit hash; the class id is the least document id of the class.
@@ -47,11 +48,11 @@ class Settings:
     shingle: int = 5
     order: int = 2
     slots: int = 40
-    #: Slots in which two texts of different classes must agree to be compared after the first round.
-    agree: int = 6
+    #: Slots in which two texts of different classes must agree to be compared after the first rounds; more than 1 loses pairs.
+    agree: int = 1
     similarity: float = 0.8
     seed: int = 5
-    #: Rounds that compare classes by a text of each, before all agreeing pairs of different classes are compared.
+    #: Rounds that compare classes by a text of each, before all pairs of different classes are compared.
     class_rounds: int = 2
     #: Texts of a block of a large bucket.
     block: int = 4096
@@ -119,22 +120,29 @@ def constants(settings: Settings) -> tuple[np.ndarray, np.ndarray]:
     return draw(), draw() | np.uint64(1)
 
 
+def bag(words: np.ndarray) -> np.ndarray:
+    """Numbers of the words by the first six bits of their hashes; all zero, which bounds nothing, for a text too long for 16 bits."""
+    return (np.bincount(mix(words) >> np.uint64(58), minlength=64) * (len(words) < 1 << 16)).astype("<u2")
+
+
 def sketches(docs: DataFrame, settings: Settings) -> DataFrame:
-    """(doc, node, n_words, sig, brief) of each row; ``node`` is null for word-less texts, ``brief`` holds 16 bits a slot."""
+    """(doc, node, n_words, sig, brief, bag) of each row; ``node`` is null for word-less texts, ``brief`` holds 32 bits a slot."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, (seeds, odd) = WordHash(), constants(settings)
         for batch in batches:
-            counts, sigs, briefs = [], [], []
+            counts, sigs, briefs, bags = [], [], [], []
             for text in batch.column(2).to_pylist():
                 w = text.split() if text else []
                 counts.append(len(w))
-                sigs.append(signature(words.of(w), settings, seeds, odd).view(np.int64) if w else np.zeros(0, np.int64))
-                briefs.append((sigs[-1] & 0xFFFF).astype("<u2").tobytes())
+                h = words.of(w)
+                sigs.append(signature(h, settings, seeds, odd).view(np.int64) if w else np.zeros(0, np.int64))
+                briefs.append((sigs[-1] & 0xFFFFFFFF).astype("<u4").tobytes())
+                bags.append(bag(h).tobytes())
             node = pc.if_else(pa.array([n > 0 for n in counts], pa.bool_()), batch.column(1), pa.scalar(None, pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(briefs, pa.binary())], names=["doc", "node", "n_words", "sig", "brief"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(briefs, pa.binary()), pa.array(bags, pa.binary())], names=["doc", "node", "n_words", "sig", "brief", "bag"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(tidy(run), "doc long, node long, n_words int, sig array<long>, brief binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc"), F.xxhash64("text").alias("node"), "text").mapInArrow(tidy(run), "doc long, node long, n_words int, sig array<long>, brief binary, bag binary")
 
 
 def banded(pairs: list[tuple[np.ndarray, np.ndarray]], band: int) -> np.ndarray:
@@ -238,9 +246,9 @@ def verify(edges: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
 
 
 def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
-    """(a, b, x, y): verified pairs of texts of one bucket but different labels x, y that agree in enough slots.
+    """(a, b, x, y): verified pairs of texts of one bucket but different labels x, y.
 
-    ``mixed`` has (bucket, slot, node, n_words, label, brief, text, blocks): the number of blocks of
+    ``mixed`` has (bucket, slot, node, n_words, label, brief, bag, text, blocks): the number of blocks of
     its bucket.  A pair is compared in its first common slot only, and not where this task has linked
     its labels already; only links are rows.
     """
@@ -248,7 +256,7 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
     def pairs(key: tuple, table: pa.Table) -> pa.Table:
         col = lambda c: table.column(c).to_numpy()
         node, words, label, block, slot = col("node"), col("n_words"), col("label"), col("block"), int(table.column("slot")[0].as_py())
-        brief = np.frombuffer(b"".join(table.column("brief").to_pylist()), "<u2").reshape(len(node), -1)
+        brief, bags = (np.frombuffer(b"".join(table.column(c).to_pylist()), kind).reshape(len(node), -1) for c, kind in (("brief", "<u4"), ("bag", "<u2")))
         first, second = key[1].as_py(), key[2].as_py()
         left, right = np.flatnonzero(block == first), np.flatnonzero(block == second)
         hashed, texts, parent = WordHash(), {}, {}
@@ -264,16 +272,29 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
                 texts[i] = Prepared(hashed.of(table.column("text")[i].as_py().split()).view(np.int64))
             return texts[i]
 
-        step = max(1, (1 << 22) // max(1, len(right) * brief.shape[1]))
+        def kept(p: np.ndarray, q: np.ndarray) -> np.ndarray:
+            """The pairs of which this is the first common slot and whose words may be close enough."""
+            fresh = ~(brief[p, :slot] == brief[q, :slot]).any(1)
+            p, q = p[fresh], q[fresh]
+            if settings.agree > 1:
+                enough = (brief[p] == brief[q]).sum(1) >= settings.agree
+                p, q = p[enough], q[enough]
+            longer = np.maximum(words[p], words[q])
+            least = longer - np.minimum(bags[p], bags[q]).sum(1, dtype=np.int64)
+            near = (least <= (1 - settings.similarity) * longer + 1e-9) | (bags[p].sum(1) == 0) | (bags[q].sum(1) == 0)
+            return np.stack([p[near], q[near]])
+
+        step = max(1, (1 << 20) // max(1, len(right)))
         for lo in range(0, len(left), step):
             i = left[lo : lo + step]
-            same = brief[i][:, None, :] == brief[right][None, :, :]
-            short, long_ = np.minimum(words[i][:, None], words[right]), np.maximum(words[i][:, None], words[right])
-            ok = (same.sum(2) >= settings.agree) & (same.argmax(2) == slot) & (label[i][:, None] != label[right]) & (short >= settings.similarity * long_ - 1e-9)
+            roots = {x: top(x) for x in np.unique(label[np.concatenate([i, right])]).tolist()}
+            root = lambda at: np.array([roots[x] for x in label[at].tolist()], np.int64)
+            ok = (root(i)[:, None] != root(right)) & (np.minimum(words[i][:, None], words[right]) >= settings.similarity * np.maximum(words[i][:, None], words[right]) - 1e-9)
             if first == second:
                 ok &= node[i][:, None] < node[right]
             p, q = np.nonzero(ok)
-            todo = list(zip(i[p].tolist(), right[q].tolist()))
+            p, q = np.concatenate([kept(i[p[at : at + 65536]], right[q[at : at + 65536]]) for at in range(0, len(p), 65536)] or [np.zeros((2, 0), np.int64)], 1)
+            todo = list(zip(p.tolist(), q.tolist()))
             for at in range(0, len(todo), 128):
                 part = [(a, b) for a, b in todo[at : at + 128] if top(int(label[a])) != top(int(label[b]))]
                 for (a, b), good in zip(part, within([(text(a), text(b)) for a, b in part], settings.similarity)):
@@ -337,9 +358,9 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
         both = both.where(near).groupBy("x", "y").agg(F.min("e").alias("e0"), F.max("e").alias("e1"))
         pairs = space.keep(both.select("x", "y", F.explode(F.array_distinct(F.array("e0", "e1"))).alias("e")).select("e.a", "e.b", "x", "y"))
         labels = merged(labels, verify(pairs.select("a", "b"), texts, settings.similarity).join(pairs, ["a", "b"]))
-    # last: all pairs of texts of different classes that agree in enough slots
+    # last: all pairs of texts of different classes
     left = space.keep(labelled_members(labels).drop("lead"))
-    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", F.col("doc").alias("rep"), "brief"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief")
+    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", F.col("doc").alias("rep"), "brief", "bag"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief", "bag")
     labels = merged(labels, linked(left.join(brief.join(texts, "node"), "node"), settings))
     degree = reduce(DataFrame.union, [x.select("a", "b") for x in links]).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))

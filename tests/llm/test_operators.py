@@ -176,6 +176,22 @@ def test_classes_of_odd_rows(odd, empty):
     assert {r["doc_id"] for r in omh.keep_first(odd).collect()} >= {1, 2, 3, 6}
 
 
+def test_every_pair_of_a_bucket_is_compared(spark):
+    """Pairs that share one signature only, in buckets of many classes led by another class."""
+    rng, s, rows = random.Random(12), omh.Settings(), []
+    passage = sentence(rng, 60).split()
+    for _ in range(40):
+        own = sentence(rng, 60).split()
+        rows += [passage + own, edited(rng, passage + own, 23)]
+    seeds, odd = omh.constants(s)
+    hashed = omh.WordHash()
+    sigs = [omh.signature(hashed.of(w), s, seeds, odd) for w in rows]
+    want = [i for i in range(0, len(rows), 2) if (sigs[i] == sigs[i + 1]).any() and distance(rows[i], rows[i + 1]) <= 0.2 * max(len(rows[i]), len(rows[i + 1]))]
+    assert sum((sigs[i] == sigs[i + 1]).sum() < 6 for i in want) > 5
+    got = {r["doc_id"]: r["class_id"] for r in omh.classes(spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(rows)], "doc_id long, text string")).collect()}
+    assert [i for i in want if got[i] != got[i + 1]] == []
+
+
 def test_large_buckets_in_blocks_lose_nothing(spark):
     rng = random.Random(8)
     w = sentence(rng, 120).split()
