@@ -7,6 +7,13 @@ not only with what they share.  Texts with an equal signature in a slot are cand
 pair is linked when the word-level edit distance is at most (1 - similarity) of the longer text.
 Classes are the connected components of the links.
 
+The number of slots follows from ``recall``, by the mean share of shingles that survive, so that what is
+measured lies somewhat lower (README): the chance that a pair at exactly ``similarity``, with edits
+scattered over a long text, shares a slot.  Such edits can leave short texts no two common shingles, so
+texts of at most ``short`` words also meet without chance: with at most e edits, one of e + 1 equal
+pieces of the longer text stands whole in the other, shifted by at most e words.  Pieces are buckets
+like those of the slots.
+
 First every text is compared with one text that leads one of its buckets, then in two rounds a text
 of every class of a bucket with one of its first class; both are linear in the buckets.  In buckets
 whose texts are still in several classes, all pairs of different classes that fit in length are
@@ -25,6 +32,7 @@ pair with equal hashes has a chance of about 10^-7 to exist at all.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import reduce
@@ -47,7 +55,9 @@ MIX = np.uint64(0xD6E8FEB86659FD93)
 class Settings:
     shingle: int = 5
     order: int = 2
-    slots: int = 40
+    #: Chance that a pair at exactly ``similarity`` becomes a candidate, which sets the slots; texts of up to ``short`` words do without chance.
+    recall: float = 0.95
+    short: int = 24
     #: Slots in which two texts of different classes must agree to be compared after the first rounds; more than 1 loses pairs.
     agree: int = 1
     similarity: float = 0.8
@@ -59,6 +69,16 @@ class Settings:
     #: Buckets of several texts up to this number (16 bytes each) are broadcast.
     broadcast_buckets: int = 500_000
 
+    @property
+    def slots(self) -> int:
+        """Slots for ``recall``: of n shingles n * similarity ** shingle survive, and a slot agrees with their Jaccard similarity to the power ``order``."""
+        survive = self.similarity**self.shingle
+        return math.ceil(math.log(1 - self.recall) / math.log(1 - (survive / (2 - survive)) ** self.order))
+
+    def edits(self, n_words: int) -> int:
+        """Edits that a pair whose longer text has this many words may have."""
+        return int((1 - self.similarity) * n_words + 1e-9)
+
 
 class WordHash(dict):
     """64-bit hash of a word; forgets when full."""
@@ -120,13 +140,34 @@ def constants(settings: Settings) -> tuple[np.ndarray, np.ndarray]:
     return draw(), draw() | np.uint64(1)
 
 
+def pieces(words: np.ndarray, settings: Settings) -> np.ndarray:
+    """Keys of a short text; two short texts that are similar enough share one.
+
+    A key is the length of the longer text, the number of a piece of it and the words of the piece.  A
+    text has its own pieces, and for each length of a longer text what stands near the places of those.
+    """
+    m, keys = len(words), set()
+    if m > settings.short:
+        return np.zeros(0, np.int64)
+    raw, n = words.tobytes(), m
+    while n <= settings.short and n - m <= settings.edits(n):
+        e = settings.edits(n)
+        cut = [k * n // (e + 1) for k in range(e + 2)]
+        for k in range(e + 1):
+            size = cut[k + 1] - cut[k]
+            for at in range(max(0, cut[k] - e), min(m - size, cut[k] + e) + 1):
+                keys.add(xxhash.xxh3_64_intdigest(raw[8 * at : 8 * (at + size)], (n << 8) + k))
+        n += 1
+    return np.array(sorted(keys), np.uint64).view(np.int64)
+
+
 def bag(words: np.ndarray) -> np.ndarray:
     """Numbers of the words by the first six bits of their hashes; all zero, which bounds nothing, for a text too long for 16 bits."""
     return (np.bincount(mix(words) >> np.uint64(58), minlength=64) * (len(words) < 1 << 16)).astype("<u2")
 
 
 def sketches(docs: DataFrame, settings: Settings) -> DataFrame:
-    """(doc, node, n_words, sig, brief, bag) of each row; ``node`` is null for word-less texts, ``brief`` holds 32 bits a slot."""
+    """(doc, node, n_words, sig, brief, bag) of each row; ``node`` is null for word-less texts, ``sig`` ends with the keys of short texts, ``brief`` holds 32 bits a slot."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, (seeds, odd) = WordHash(), constants(settings)
@@ -136,8 +177,9 @@ def sketches(docs: DataFrame, settings: Settings) -> DataFrame:
                 w = text.split() if text else []
                 counts.append(len(w))
                 h = words.of(w)
-                sigs.append(signature(h, settings, seeds, odd).view(np.int64) if w else np.zeros(0, np.int64))
-                briefs.append((sigs[-1] & 0xFFFFFFFF).astype("<u4").tobytes())
+                sig = signature(h, settings, seeds, odd).view(np.int64) if w else np.zeros(0, np.int64)
+                sigs.append(np.concatenate([sig, pieces(h, settings)]) if w else sig)
+                briefs.append((sig & 0xFFFFFFFF).astype("<u4").tobytes())
                 bags.append(bag(h).tobytes())
             node = pc.if_else(pa.array([n > 0 for n in counts], pa.bool_()), batch.column(1), pa.scalar(None, pa.int64()))
             yield pa.RecordBatch.from_arrays([batch.column(0), node, pa.array(counts, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(briefs, pa.binary()), pa.array(bags, pa.binary())], names=["doc", "node", "n_words", "sig", "brief", "bag"])
@@ -249,7 +291,7 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
     """(a, b, x, y): verified pairs of texts of one bucket but different labels x, y.
 
     ``mixed`` has (bucket, slot, node, n_words, label, brief, bag, text, blocks): the number of blocks of
-    its bucket.  A pair is compared in its first common slot only, and not where this task has linked
+    its bucket.  A pair is compared in its first common slot only, or in its pieces if it has none, and not where this task has linked
     its labels already; only links are rows.
     """
 
@@ -320,7 +362,7 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
     sk = space.keep(sketches(docs, settings))
     # equal texts: the least id stands for all of them
     first = space.keep(sk.where("node is not null").groupBy("node").agg(F.min("doc").alias("rep")))
-    rows = sk.join(first, (sk["node"] == first["node"]) & (sk["doc"] == first["rep"]), "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s"))
+    rows = sk.join(first, (sk["node"] == first["node"]) & (sk["doc"] == first["rep"]), "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s")).withColumn("slot", F.least("slot", F.lit(settings.slots)))
     rows = rows.select(F.xxhash64("slot", "s").alias("bucket"), "slot", "node", "n_words")
     several = space.keep(rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a"))
     small = several.count() <= settings.broadcast_buckets

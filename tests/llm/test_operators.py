@@ -192,6 +192,36 @@ def test_every_pair_of_a_bucket_is_compared(spark):
     assert [i for i in want if got[i] != got[i + 1]] == []
 
 
+def test_short_texts_share_a_key(spark):
+    rng, s, hashed = random.Random(13), omh.Settings(), omh.WordHash()
+    near = 0
+    for _ in range(3000):
+        a = [rng.choice("abcdefghijkl") for _ in range(rng.randint(1, s.short))]
+        b = edited(rng, a, rng.randint(0, s.edits(len(a)) + 1))
+        if b and max(len(a), len(b)) <= s.short and distance(a, b) <= s.edits(max(len(a), len(b))):
+            near += 1
+            assert set(omh.pieces(hashed.of(a), s)) & set(omh.pieces(hashed.of(b), s))
+    assert near > 1000
+    nine = sentence(rng, 9).split()
+    ten = sentence(rng, 10).split()
+    rows = [nine, nine[:4] + ["q"] + nine[5:], ten, ten[:4] + ["q"] + ten[5:]]
+    got = {r["doc_id"]: r["class_id"] for r in omh.classes(spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(rows)], "doc_id long, text string")).collect()}
+    assert got == {0: 0, 1: 0, 2: 2, 3: 2}
+
+
+def test_slots_reach_the_stated_recall():
+    rng, s, hashed = random.Random(14), omh.Settings(), omh.WordHash()
+    seeds, odd = omh.constants(s)
+    found = 0
+    for _ in range(200):
+        a = sentence(rng, 200).split()
+        b = list(a)
+        for i in rng.sample(range(200), 40):
+            b[i] = "q"
+        found += bool((omh.signature(hashed.of(a), s, seeds, odd) == omh.signature(hashed.of(b), s, seeds, odd)).any())
+    assert found >= 200 * (s.recall - 0.05)
+
+
 def test_large_buckets_in_blocks_lose_nothing(spark):
     rng = random.Random(8)
     w = sentence(rng, 120).split()
