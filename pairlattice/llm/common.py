@@ -25,23 +25,28 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_folder(spark: SparkSession) -> str:
     """The folder that the cluster shares for checkpoints.
 
-    It is the session's ``spark.checkpoint.dir``; only where that is unset (tests, one machine) a
+    It is the session's ``spark.checkpoint.dir``; only on one machine (tests) may that be unset, and a
     temporary folder takes its place.
     """
     sc = spark.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder:
+            if not sc.master.startswith("local"):
+                raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+            folder = tempfile.mkdtemp(prefix="checkpoint-")
+        sc.setCheckpointDir(folder)
     return sc._jsc.sc().getCheckpointDir().get()
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint; Spark deletes it when nothing refers to it any more."""
+    """Cut the lineage with a reliable checkpoint; Spark deletes it after use only if told to (``spark.cleaner.referenceTracking.cleanCheckpoints``)."""
     shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
 class Workspace:
-    """Written tables in the shared folder for the steps of one operator; ``close`` deletes them.
+    """Written tables in the shared folder for the steps of one operator, used by ``with``, whose end deletes them.
 
     Unlike a checkpoint, a written table has the sizes of what it holds, not those estimated from
     the plan that made it, so plans of later rounds stay as they are.
@@ -50,6 +55,12 @@ class Workspace:
     def __init__(self, spark: SparkSession):
         self.spark, self.root, self.n = spark, f"{shared_folder(spark)}/tables-{uuid.uuid4().hex}", 0
 
+    def __enter__(self) -> Workspace:
+        return self
+
+    def __exit__(self, *_: object) -> None:
+        self.close()
+
     def keep(self, df: DataFrame) -> DataFrame:
         self.n += 1
         path = f"{self.root}/{self.n}"
@@ -61,11 +72,13 @@ class Workspace:
         path = jvm.org.apache.hadoop.fs.Path(self.root)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
-    def finish(self, df: DataFrame) -> DataFrame:
-        """The result, checkpointed, with all tables of the workspace deleted."""
-        out = cut(df)
-        self.close()
-        return out
+
+def unused(df: DataFrame, name: str) -> str:
+    """``name``, lengthened until ``df`` has no such column."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
 
 
 def text_bytes(docs: DataFrame, column: str = "text") -> int:

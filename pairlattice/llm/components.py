@@ -25,7 +25,8 @@ def components(edges: DataFrame, space: Workspace, rounds: int = 60) -> DataFram
     """(node, label): the least node of its component for every node with a link; ``edges`` has columns a, b.
 
     Each round sends a node its least neighbour, combined before the shuffle; a star's centre may be
-    any share of all links, its rows are split by the joins' skew handling.
+    any share of all links, its rows are split by the joins' skew handling.  The number of rounds grows
+    with the square of the logarithm of the longest chain; an error tells if ``rounds`` are not enough.
     """
     now = space.keep(edges.where("a <> b").select("a", "b").distinct())
     before = None
@@ -35,4 +36,6 @@ def components(edges: DataFrame, space: Workspace, rounds: int = 60) -> DataFram
         if seen == before or seen[0] == 0:
             break
         before = seen
+    else:
+        raise RuntimeError(f"components are not settled after {rounds} rounds")
     return space.keep(now.select(F.col("a").alias("node"), F.col("b").alias("label")).union(now.select(F.col("b").alias("node"), F.col("b").alias("label")).distinct()))

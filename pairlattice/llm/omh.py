@@ -26,7 +26,8 @@ Nodes are texts, named by a 64-bit hash; the class id is the least document id o
 
 Defined results: equal texts form one class whatever their number; null and word-less texts stand
 alone; a text of fewer than five words is one shingle; repeated rows, and several texts under one id,
-get a row each; further columns are ignored; an empty table gives no rows.  Of millions of texts a
+get a row each; a null id comes after all others, so a class has a null id only if no text of it has
+another; further columns are ignored; an empty table gives no rows.  Of millions of texts a
 pair with equal hashes has a chance of about 10^-7 to exist at all.
 """
 
@@ -44,7 +45,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import Workspace, tidy
+from pairlattice.llm.common import Workspace, cut, tidy, unused
 from pairlattice.llm.components import components
 
 PRIME = np.uint64(0x9E3779B97F4A7C15)
@@ -58,16 +59,12 @@ class Settings:
     #: Chance that a pair at exactly ``similarity`` becomes a candidate, which sets the slots; texts of up to ``short`` words do without chance.
     recall: float = 0.95
     short: int = 24
-    #: Slots in which two texts of different classes must agree to be compared after the first rounds; more than 1 loses pairs.
-    agree: int = 1
     similarity: float = 0.8
     seed: int = 5
     #: Rounds that compare classes by a text of each, before all pairs of different classes are compared.
     class_rounds: int = 2
     #: Texts of a block of a large bucket.
     block: int = 4096
-    #: Buckets of several texts up to this number (16 bytes each) are broadcast.
-    broadcast_buckets: int = 500_000
 
     @property
     def slots(self) -> int:
@@ -318,9 +315,6 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
             """The pairs of which this is the first common slot and whose words may be close enough."""
             fresh = ~(brief[p, :slot] == brief[q, :slot]).any(1)
             p, q = p[fresh], q[fresh]
-            if settings.agree > 1:
-                enough = (brief[p] == brief[q]).sum(1) >= settings.agree
-                p, q = p[enough], q[enough]
             longer = np.maximum(words[p], words[q])
             least = longer - np.minimum(bags[p], bags[q]).sum(1, dtype=np.int64)
             near = (least <= (1 - settings.similarity) * longer + 1e-9) | (bags[p].sum(1) == 0) | (bags[q].sum(1) == 0)
@@ -351,36 +345,35 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
     return dealt.groupBy(*keys).applyInArrow(pairs, "a long, b long, x long, y long")
 
 
-def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """(doc_id, class_id, n_links): each row's class and the number of verified links of its text.
+#: Stands for a null id, after all others.
+NO_ID = (1 << 63) - 1
 
-    Not every link of a class is looked for: two texts already in one class are not compared.
-    """
-    settings = settings or Settings()
+
+def members(docs: DataFrame, settings: Settings, space: Workspace) -> tuple[DataFrame, DataFrame]:
+    """(doc, node) of each row, ``node`` null for word-less texts, and (node, rep, label, n_links) of each node: the least id of its text and its class."""
+    key = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
     docs = docs.select("doc_id", "text")
-    space = Workspace(docs.sparkSession)
-    sk = space.keep(sketches(docs, settings))
+    sk = space.keep(sketches(docs, settings).withColumn("rep", F.coalesce("doc", F.lit(NO_ID))))
     # equal texts: the least id stands for all of them
-    first = space.keep(sk.where("node is not null").groupBy("node").agg(F.min("doc").alias("rep")))
-    rows = sk.join(first, (sk["node"] == first["node"]) & (sk["doc"] == first["rep"]), "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s")).withColumn("slot", F.least("slot", F.lit(settings.slots)))
+    first = space.keep(sk.where("node is not null").groupBy("node").agg(F.min("rep").alias("rep")))
+    rows = sk.join(first, ["node", "rep"], "left_semi").select("node", "n_words", F.posexplode("sig").alias("slot", "s")).withColumn("slot", F.least("slot", F.lit(settings.slots)))
     rows = rows.select(F.xxhash64("slot", "s").alias("bucket"), "slot", "node", "n_words")
-    several = space.keep(rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a"))
-    small = several.count() <= settings.broadcast_buckets
-    buckets = space.keep(rows.join(F.broadcast(several) if small else several, "bucket"))
+    several = rows.groupBy("bucket").agg(F.min("node").alias("a"), F.max("node").alias("z")).where("a <> z").select("bucket", "a")
+    buckets = space.keep(rows.join(several, "bucket"))
     needed = buckets.select("node").distinct().join(first, "node")
-    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.xxhash64("text").alias("node"), "text")
-    texts = space.keep(texts.join(F.broadcast(needed) if small else needed, ["rep", "node"]).dropDuplicates(["rep", "node"]).select("node", "text"))
+    texts = docs.select(key.alias("rep"), F.xxhash64("text").alias("node"), "text")
+    texts = space.keep(texts.join(needed, ["rep", "node"]).dropDuplicates(["rep", "node"]).select("node", "text"))
     near = F.least("n_words", "na") >= settings.similarity * F.greatest("n_words", "na") - 1e-9
     # first round: every text with the first of the texts that lead its buckets
     lengths = buckets.select(F.col("node").alias("a"), F.col("n_words").alias("na")).distinct()
     star = buckets.where("node <> a").select("node", "n_words", "a").distinct().join(lengths, "a").where(near)
     links = [space.keep(verify(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"), texts, settings.similarity))]
     labels = components(links[0], space)
-    members = space.keep(buckets.select("bucket", "slot", "node", "n_words").distinct())
+    inside = space.keep(buckets.select("bucket", "slot", "node", "n_words").distinct())
 
     def labelled_members(labels: DataFrame) -> DataFrame:
         """Members of buckets in which texts of several classes are left, with ``blocks`` of the bucket."""
-        at = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        at = inside.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
         blocks = F.ceil(F.count(F.lit(1)) / settings.block).cast("int").alias("blocks")
         mixed = at.groupBy("bucket").agg(F.min("label").alias("lead"), F.max("label").alias("l1"), blocks).where("lead <> l1").select("bucket", "lead", "blocks")
         return at.join(mixed, "bucket")
@@ -402,21 +395,40 @@ def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
         labels = merged(labels, verify(pairs.select("a", "b"), texts, settings.similarity).join(pairs, ["a", "b"]))
     # last: all pairs of texts of different classes
     left = space.keep(labelled_members(labels).drop("lead"))
-    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", F.col("doc").alias("rep"), "brief", "bag"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief", "bag")
+    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", "rep", "brief", "bag"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief", "bag")
     labels = merged(labels, linked(left.join(brief.join(texts, "node"), "node"), settings))
     degree = reduce(DataFrame.union, [x.select("a", "b") for x in links]).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    ids = named.groupBy("label").agg(F.min("rep").alias("class_id"))
-    member = named.join(ids, "label").join(degree, "node", "left").select("node", "class_id", "n_links")
-    out = sk.select("doc", "node").join(member, "node", "left")
-    return space.finish(out.select(F.col("doc").alias("doc_id"), F.coalesce("class_id", "doc").alias("class_id"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links")))
+    return sk.select("doc", "node"), named.join(degree, "node", "left").select("node", "rep", "label", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
+
+
+def classes(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
+    """(doc_id, class_id, n_links): each row's class and the number of verified links of its text.
+
+    Not every link of a class is looked for: two texts already in one class are not compared.  Classes
+    whose least texts stand under one id get the same id.
+    """
+    with Workspace(docs.sparkSession) as space:
+        rows, nodes = members(docs, settings or Settings(), space)
+        ids = nodes.groupBy("label").agg(F.min("rep").alias("class_id"))
+        member = nodes.join(ids, "label").select("node", F.nullif("class_id", F.lit(NO_ID)).alias("class_id"), "n_links")
+        out = rows.join(member, "node", "left")
+        class_id = F.when(F.col("n_links").isNull(), F.col("doc")).otherwise(F.col("class_id"))
+        return cut(out.select(F.col("doc").alias("doc_id"), class_id.alias("class_id"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links")))
 
 
 def keep_first(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """The rows of ``docs`` that stay: of each class one row of the least id; null and word-less texts all stay."""
-    found = classes(docs, settings).where("doc_id = class_id").select("doc_id").distinct()
-    text = F.coalesce("text", F.lit(""))
-    named = docs.withColumn("_node", F.when(text.rlike(r"\S"), F.xxhash64("text")))
-    alone, rest = named.where("_node is null").drop("_node"), named.where("_node is not null")
-    first = rest.join(found, "doc_id", "left_semi").dropDuplicates(["doc_id"]).drop("_node")
-    return first.unionByName(alone)
+    """The rows of ``docs`` that stay: of each class one row of its least id; null and word-less texts all stay.
+
+    Classes are told by their texts, so several under one id, or under none, each keep a row.
+    """
+    with Workspace(docs.sparkSession) as space:
+        _, nodes = members(docs, settings or Settings(), space)
+        stay = nodes.groupBy("label").agg(F.min(F.struct("rep", "node")).alias("t")).select("t.rep", "t.node")
+        node, rep = unused(docs, "node"), unused(docs, "rep")
+        stay = stay.toDF(rep, node)
+        has_words = F.coalesce("text", F.lit("")).rlike(r"\S")
+        named = docs.withColumns({node: F.when(has_words, F.xxhash64("text")), rep: F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))})
+        alone, rest = named.where(F.col(node).isNull()), named.where(F.col(node).isNotNull())
+        first = rest.join(stay, [node, rep], "left_semi").dropDuplicates([node])
+        return cut(first.unionByName(alone).select(*[F.col(f"`{c}`") for c in docs.columns]))
