@@ -51,9 +51,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    space = Workspace(spark)
-    for name, stage in STAGES[:-1]:
-        docs = space.keep(stage(spark, docs, sf_dir))
-    out = cut(STAGES[-1][1](spark, docs, sf_dir))
-    space.close()
-    return out
+    with Workspace(spark) as space:
+        for _, stage in STAGES[:-1]:
+            docs = space.keep(stage(spark, docs, sf_dir))
+        return cut(STAGES[-1][1](spark, docs, sf_dir))
