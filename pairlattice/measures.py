@@ -4,11 +4,11 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable, Sequence
-from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pairlattice.operators import subvalues
 from pairlattice.plans import bounds, estimate
 from pairlattice.spec import EstimatorSpec
 
@@ -20,14 +20,34 @@ def relative_error(est: DataFrame, true: DataFrame) -> DataFrame:
     return est.join(F.broadcast(t), "level").withColumn("error", e).withColumn("abs_error", F.abs("error"))
 
 
-def repeat(estimator: Callable[[int], DataFrame], seeds: Sequence[int]) -> DataFrame:
-    """Estimates of all seeds in one plan, with the seed as a column."""
-    return reduce(DataFrame.unionByName, [estimator(s).withColumn("seed", F.lit(s)) for s in seeds])
+def summary(errors: DataFrame, *keys: str) -> DataFrame:
+    """(keys.., level, runs, mean_error, std_error, mean_abs_error) over repeats."""
+    return errors.groupBy(*keys, "level").agg(F.count("error").alias("runs"), F.avg("error").alias("mean_error"), F.stddev_samp("error").alias("std_error"), F.avg("abs_error").alias("mean_abs_error"))
 
 
-def summary(errors: DataFrame) -> DataFrame:
-    """(level, runs, mean_error, std_error, mean_abs_error) over repeats."""
-    return errors.groupBy("level").agg(F.count("error").alias("runs"), F.avg("error").alias("mean_error"), F.stddev_samp("error").alias("std_error"), F.avg("abs_error").alias("mean_abs_error"))
+def deleted(spark: SparkSession, path: str) -> None:
+    jvm = spark._jvm
+    p = jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
+def materialization(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, folder: str) -> DataFrame:
+    """(s, values, lattice_bytes, lsh_bytes): what several passes have to keep on disk, by threshold.
+
+    The lattice keeps the drawn sub-values of the levels from s up, an LSH-based sampler its records by bucket.
+    """
+    from pairlattice.operators.baselines import lsh_buckets
+
+    d, spark = len(attrs), df.sparkSession
+    buckets = materialized_bytes(lsh_buckets(df, attrs, record_id, seed=spec.seed), f"{folder}/lsh")
+    rows, values, size = [], 0, 0
+    for k in range(d, spec.s - 1, -1):
+        path = f"{folder}/level-{k}"
+        size += materialized_bytes(subvalues.level_stream(df, attrs, spec, record_id).where(F.col("level") == k).select("mask", "fp"), path)
+        values += spark.read.parquet(path).count()
+        rows.append((k, values, size, buckets))
+    deleted(spark, folder)
+    return spark.createDataFrame(rows, "s int, values long, lattice_bytes long, lsh_bytes long")
 
 
 def timed(action: Callable[[], object]) -> tuple[object, float]:
@@ -64,7 +84,7 @@ def matching_sample(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, re
     true = estimate.self_join_size(df, attrs, spec.with_(ratio=1.0), "exact", record_id)
     n = df.count()
     for size in sizes:
-        runs = repeat(lambda k, size=size: pair_sampling(df, attrs, spec.with_(seed=k), record_id, size=size, engine="lattice"), seeds)
+        runs = pair_sampling(df, attrs, spec, record_id, size=size, engine="lattice", seeds=seeds)
         got = summary(relative_error(runs, true)).where(F.col("level") == spec.s).first()
         if got["std_error"] is not None and got["std_error"] <= target_std:
             return size, bounds.matching_exponent(n, size)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import random
 from collections.abc import Callable, Sequence
 
 from pyspark.sql import Column, DataFrame, Window
@@ -10,12 +11,12 @@ from pyspark.sql import functions as F
 
 from pairlattice.functions.hashing import md5_60
 from pairlattice.operators import moments, subvalues
-from pairlattice.operators.records import agreement, attributes, canonicalized
+from pairlattice.operators.records import agreement, attributes, canonicalized, numbered
 from pairlattice.plans import estimate
 from pairlattice.spec import EstimatorSpec
 
 
-def _agreeing(a: DataFrame, b: DataFrame, d: int, null_policy: str = "equal") -> Column:
+def _agreeing(d: int, null_policy: str = "equal") -> Column:
     return agreement([F.col(f"l.a{i}") for i in range(1, d + 1)], [F.col(f"r.a{i}") for i in range(1, d + 1)], null_policy)
 
 
@@ -25,53 +26,104 @@ def all_pairs(df: DataFrame, attrs: Sequence[str], record_id: str, most_rows: in
     if (n := base.count()) > most_rows:
         raise ValueError(f"{n} records are too many to compare all pairs")
     pairs = base.alias("l").join(F.broadcast(base.alias("r")), F.col("l.rid") < F.col("r.rid"))
-    return pairs.groupBy(_agreeing(base, base, len(attrs), null_policy).alias("level")).agg((F.lit(2) * F.count(F.lit(1))).alias("x"))
+    return pairs.groupBy(_agreeing(len(attrs), null_policy).alias("level")).agg((F.lit(2) * F.count(F.lit(1))).alias("x"))
 
 
-def draw_order(rid: Column, seed: int, oracle: bool) -> Column:
-    return md5_60(F.concat_ws("|", F.lit(f"p{seed}"), rid.cast("string"))) if oracle else F.xxhash64(F.lit(seed), rid)
+# ---- record sampling ------------------------------------------------------------------------
 
 
-def pair_sampling(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, size: int | Callable[[int], int] | None = None, fraction: float | None = None, engine: str = "pairs", oracle: bool = False, most: int = 20_000) -> DataFrame:
-    """Profile from ``size`` records drawn without replacement: the pairs of the sample scaled by n(n-1) / (R(R-1)).
+def draw_order(rid: Column, seed: Column, oracle: bool) -> Column:
+    return md5_60(F.concat_ws("|", F.concat(F.lit("p"), seed.cast("string")), rid.cast("string"))) if oracle else F.xxhash64(seed, rid)
 
-    The records with the least hashes are the sample, so partial samples merge.  ``engine='lattice'``
-    counts the sample's pairs by the lattice, with the same numbers and no quadratic step.
+
+def seeded(df: DataFrame, seeds: Sequence[int]) -> DataFrame:
+    """``df`` once for each seed, in a column."""
+    return df.withColumn("seed", F.explode(F.array(*[F.lit(int(k)) for k in seeds])))
+
+
+def least(base: DataFrame, want: int, seeds: Sequence[int], oracle: bool) -> DataFrame:
+    """The ``want`` records of least hash for each seed.
+
+    Cells of hashes are counted first; records below the cell in which the sample ends are taken as
+    they are, only those of that cell are ranked.
+    """
+    bits = 16 if len(seeds) == 1 else 10
+    h = seeded(base, seeds).withColumn("_h", draw_order(F.col("rid"), F.col("seed"), oracle))
+    h = h.withColumn("_cell", F.shiftright("_h", (60 if oracle else 64) - bits))
+    ends, left = {}, dict.fromkeys(map(int, seeds), want)
+    for r in h.groupBy("seed", "_cell").agg(F.count(F.lit(1)).alias("c")).orderBy("seed", "_cell").collect():  # cells x seeds rows
+        if left[r["seed"]] > 0:
+            ends[r["seed"]] = r["_cell"], left[r["seed"]]
+            left[r["seed"]] -= r["c"]
+    if not ends:
+        return h.drop("_h", "_cell").limit(0)
+    last = base.sparkSession.createDataFrame([(k, c, x) for k, (c, x) in ends.items()], "seed int, _end long, _rest long")
+    near = h.join(F.broadcast(last), "seed").where("_cell <= _end")
+    rank = F.row_number().over(Window.partitionBy("seed").orderBy("_h", "rid"))
+    edge = near.where("_cell = _end").withColumn("_rank", rank).where("_rank <= _rest").drop("_rank")
+    return near.where("_cell < _end").unionByName(edge).drop("_h", "_cell", "_end", "_rest")
+
+
+def pair_sampling(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, size: int | Callable[[int], int] | None = None, fraction: float | None = None, bytes: float | None = None, engine: str = "pairs", oracle: bool = False, most: int = 20_000, seeds: Sequence[int] | None = None) -> DataFrame:
+    """Profile from records drawn without replacement: the pairs of the sample scaled by n(n-1) / (R(R-1)).
+
+    R is ``size``, a function of n, a ``fraction`` of n, or as many records as fit in ``bytes``.  The
+    records with the least hashes are the sample, so partial samples merge.  ``engine='lattice'``
+    counts the sample's pairs by the lattice, with the same numbers and no quadratic step.  ``seeds``
+    makes a sample for each of them, told by a column ``seed``.
     """
     attrs = attributes(df, attrs)
-    d = len(attrs)
+    d, many = len(attrs), [spec.seed] if seeds is None else list(seeds)
     base = canonicalized(df, attrs, record_id, spec.null_policy)
     n = base.count()
-    want = round(fraction * n) if fraction is not None else size(n) if callable(size) else int(size)
+    if bytes is not None:
+        from pairlattice.measures import record_bytes
+        from pairlattice.plans.bounds import sample_size_for_bytes
+
+        want = sample_size_for_bytes(bytes, max(1.0, record_bytes(df, attrs)))
+    else:
+        want = round(fraction * n) if fraction is not None else size(n) if callable(size) else int(size)
     want = min(want, n)
     if engine == "pairs" and want > most:
         raise ValueError(f"a sample of {want} has too many pairs; use engine='lattice'")
-    sample = base.orderBy(draw_order(F.col("rid"), spec.seed, oracle), "rid").limit(want)
+    sample = least(base, want, many, oracle)
     if engine == "lattice":
         cols = [f"a{i}" for i in range(1, d + 1)]
-        x = estimate.self_join_size(sample, cols, EstimatorSpec(s=spec.s), "exact").select("level", F.col("x").cast("double").alias("x"))
+        x = estimate.repeated(sample, cols, EstimatorSpec(s=spec.s, null_policy=spec.null_policy), "rid", None, "exact").select("seed", "level", "x")
     else:
-        pairs = sample.alias("l").join(F.broadcast(sample.alias("r")), F.col("l.rid") < F.col("r.rid"))
-        x = pairs.groupBy(_agreeing(sample, sample, d).alias("level")).agg((F.lit(2.0) * F.count(F.lit(1))).alias("x"))
+        pairs = sample.alias("l").join(F.broadcast(sample.alias("r")), (F.col("l.seed") == F.col("r.seed")) & (F.col("l.rid") < F.col("r.rid")))
+        x = pairs.groupBy(F.col("l.seed").alias("seed"), _agreeing(d, spec.null_policy).alias("level")).agg((F.lit(2.0) * F.count(F.lit(1))).alias("x"))
     scale = F.lit(n * (n - 1) / (want * (want - 1)) if want > 1 else None).cast("double")
-    every = df.sparkSession.createDataFrame([(k,) for k in range(spec.s, d + 1)], "level int")
-    x = F.broadcast(every).join(x, "level", "left").select("level", (F.coalesce("x", F.lit(0.0)) * scale).alias("x"))
-    down = Window.orderBy(F.desc("level")).rowsBetween(Window.unboundedPreceding, 0)
-    return x.select("level", "x", (F.sum("x").over(down) + n).alias("g"), F.lit(n).cast("long").alias("n"), F.lit(want).cast("long").alias("sample"))
+    out = completed(x, many, spec.s, d).select("seed", "level", (F.col("x") * scale).alias("x"))
+    out = cumulated(out, F.lit(n)).select("seed", "level", "x", "g", F.lit(n).cast("long").alias("n"), F.lit(want).cast("long").alias("sample"))
+    return out if seeds is not None else out.drop("seed")
 
 
-def signature_patterns(df: DataFrame, attrs: Sequence[str], s: int, min_support: int = 2, miner: str = "partition", overlap: str = "lattice", tail: str = "none", record_id: str | None = None, sample: float = 0.1) -> DataFrame:
+def completed(x: DataFrame, seeds: Sequence[int], s: int, d: int) -> DataFrame:
+    """(seed, level, x) with a row for every seed and level."""
+    every = x.sparkSession.createDataFrame([(int(q), k) for q in seeds for k in range(s, d + 1)], "seed int, level int")
+    return F.broadcast(every).join(x, ["seed", "level"], "left").select("seed", "level", F.coalesce("x", F.lit(0.0)).alias("x"))
+
+
+def cumulated(x: DataFrame, n: Column) -> DataFrame:
+    """``x`` with ``g``: pairs of this level and above, and self-pairs."""
+    down = Window.partitionBy("seed").orderBy(F.desc("level")).rowsBetween(Window.unboundedPreceding, 0)  # d rows at most
+    return x.withColumn("g", F.sum("x").over(down) + n)
+
+
+# ---- signature patterns ---------------------------------------------------------------------
+
+
+def signature_patterns(df: DataFrame, attrs: Sequence[str], s: int, min_support: int = 2, miner: str = "partition", overlap: str = "lattice", tail: str = "none", record_id: str | None = None, sample: float = 0.1, oracle: bool = False) -> DataFrame:
     """(level, patterns, pair_sum, x): pairs that match frequent patterns with at least ``s`` constants.
 
-    ``miner``: ``levelwise`` counts level after level, keeping candidates whose parts are frequent;
-    ``partition`` counts all at once; ``sample`` finds candidates in a sample and counts them in full;
-    ``lossy`` keeps what passes half the support in a partition.  ``overlap='none'`` adds up f(f-1)
-    and counts pairs several times; ``lattice`` takes the overlap of levels out exactly for the
-    patterns kept.  ``tail='powerlaw'`` adds low supports by a line through log counts.
+    ``overlap='none'`` adds up f(f-1) and counts pairs several times; ``lattice`` takes the overlap of
+    levels out exactly for the patterns kept.  ``tail='powerlaw'`` adds low supports by a line through
+    log counts.  ``miner``: see :func:`patterns`.
     """
     attrs = attributes(df, attrs)
     d = len(attrs)
-    found = patterns(df, attrs, s, min_support, miner, sample)
+    found = patterns(df, attrs, s, min_support, miner, sample, record_id, oracle)
     per = found.groupBy("level").agg(F.count(F.lit(1)).alias("patterns"), F.sum(F.col("c") * (F.col("c") - 1)).cast("double").alias("pair_sum"))
     if tail == "powerlaw":
         per = per.join(power_tail(found, min_support), "level", "left").withColumn("pair_sum", F.col("pair_sum") + F.coalesce("tail", F.lit(0.0))).drop("tail")
@@ -84,28 +136,46 @@ def signature_patterns(df: DataFrame, attrs: Sequence[str], s: int, min_support:
     return per.join(F.broadcast(solve(per.select("level", F.col("pair_sum").alias("z")), d, s)), "level")
 
 
-def patterns(df: DataFrame, attrs: Sequence[str], s: int, min_support: int, miner: str = "partition", sample: float = 0.1) -> DataFrame:
-    """(level, mask, fp, c): frequent patterns; ``fp`` stands for the constants."""
+def patterns(df: DataFrame, attrs: Sequence[str], s: int, min_support: int, miner: str = "partition", sample: float = 0.1, record_id: str | None = None, oracle: bool = False, parts: int = 8, slack: float = 0.5) -> DataFrame:
+    """(level, mask, fp, c): frequent patterns; ``fp`` stands for the constants.
+
+    ``levelwise``: a count for each level, of candidates whose parts are all frequent.
+    ``partition``: a pattern that is frequent is frequent, in proportion, in one of ``parts`` parts of
+    the records at least; such candidates are found first and counted in full after.
+    ``sample``: candidates from a share of the records, at half the support in proportion, counted in full.
+    ``lossy``: one pass; each part forgets patterns it holds no more often than its share of ``slack`` x
+    the support, so counts fall short by at most ``slack`` x support in all; patterns that may reach the
+    support are given, with their short counts.
+    Without a key, equal rows are told apart by their occurrence number.
+    """
     d = len(attrs)
-    low = 1 if miner == "levelwise" else s
-    stream = subvalues.level_stream(df, attrs, EstimatorSpec(s=low))
-    if miner == "partition":
-        return moments.counts(stream).where(F.col("c") >= min_support)
+    if record_id is None:
+        df, record_id = numbered(df.select(*attrs), "_rid"), "_rid"
+    stream = subvalues.level_stream(df, attrs, EstimatorSpec(s=1 if miner == "levelwise" else s, fingerprint="md5_60" if oracle else "xx64"), record_id)
+    draw = (lambda what: md5_60(F.concat(F.lit(f"{what}|"), F.col("rid").cast("string")))) if oracle else (lambda what: F.xxhash64(F.lit(what), "rid"))
+    if miner in ("partition", "lossy"):
+        part = F.pmod(draw("part"), F.lit(parts)).alias("part")
+        local = stream.groupBy("level", "mask", "fp", part).agg(F.count(F.lit(1)).alias("c"))
+        size = local.groupBy("mask", "part").agg(F.sum("c").alias("held"))  # every record has each mask once
+        total = size.groupBy("mask").agg(F.sum("held").alias("n"))
+        local = local.join(F.broadcast(size.join(total, "mask")), ["mask", "part"])
+        if miner == "partition":
+            near = local.where(F.col("c") * F.col("n") >= F.lit(min_support) * F.col("held")).select("mask", "fp").distinct()
+            return moments.counts(stream.join(near, ["mask", "fp"], "left_semi")).where(F.col("c") >= min_support)
+        held = local.where(F.col("c") * F.col("n") > F.lit(slack * min_support) * F.col("held"))
+        return held.groupBy("level", "mask", "fp").agg(F.sum("c").alias("c")).where(F.col("c") >= (1 - slack) * min_support)
     if miner == "sample":
-        part = stream.where(F.pmod(F.xxhash64("rid"), F.lit(1000)) < int(1000 * sample))
+        part = stream.where(F.pmod(draw("sample"), F.lit(1000)) < int(1000 * sample))
         near = moments.counts(part).where(F.col("c") >= max(1, math.floor(min_support * sample * 0.5))).select("mask", "fp")
         return moments.counts(stream.join(near, ["mask", "fp"], "left_semi")).where(F.col("c") >= min_support)
-    if miner == "lossy":  # a partition's counts below a share of the support cannot make a pattern frequent alone
-        part = F.pmod(F.xxhash64("rid"), F.lit(8))
-        local = stream.groupBy("level", "mask", "fp", part.alias("p")).agg(F.count(F.lit(1)).alias("c")).where(F.col("c") * 8 >= min_support)
-        return local.groupBy("level", "mask", "fp").agg(F.sum("c").alias("c")).where(F.col("c") >= min_support)
+    if miner != "levelwise":
+        raise ValueError("miner is levelwise, partition, sample or lossy")
     out, frequent = None, None
-    for k in range(1, d + 1):  # one job per level: candidates are those with every smaller part frequent
+    for k in range(1, d + 1):
         at = stream.where(F.col("level") == k)
         if frequent is not None:
-            parts = subvalues.level_stream(df, attrs, EstimatorSpec(s=k - 1)).where(F.col("level") == k - 1).join(frequent, ["mask", "fp"], "left_semi").select("rid", F.col("mask").alias("part"))
-            inside = at.join(parts, "rid").where((F.col("part").bitwiseAND(F.col("mask")) == F.col("part"))).groupBy("rid", "level", "mask", "fp").agg(F.count_distinct("part").alias("k")).where(F.col("k") == k)
-            at = inside
+            below = stream.where(F.col("level") == k - 1).join(frequent, ["mask", "fp"], "left_semi").select("rid", F.col("mask").alias("part"))
+            at = at.join(below, "rid").where(F.col("part").bitwiseAND(F.col("mask")) == F.col("part")).groupBy("rid", "level", "mask", "fp").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") == k)
         got = moments.counts(at).where(F.col("c") >= min_support)
         frequent = got.select("mask", "fp")
         if k >= s:
@@ -124,101 +194,123 @@ def power_tail(found: DataFrame, min_support: int) -> DataFrame:
     return line.select("level", "a", "b", low.alias("f")).groupBy("level").agg(F.sum(F.exp(F.col("a") + F.col("b") * F.log("f")) * F.col("f") * (F.col("f") - 1)).alias("tail"))
 
 
-def lsh_buckets(df: DataFrame, attrs: Sequence[str], record_id: str, n_hash_cols: int | None = None, seed: int = 7, oracle: bool = False) -> DataFrame:
-    """(rid, a1..ad, bucket): records by the values of some attributes, column sampling as the hash for Hamming distance."""
-    import random
+# ---- LSH strata -----------------------------------------------------------------------------
+
+
+def chosen_columns(d: int, n_hash_cols: int | None, seed: int) -> list[int]:
+    return sorted(random.Random(seed).sample(range(1, d + 1), n_hash_cols or max(1, (d + 1) // 2)))
+
+
+def bucketed(base: DataFrame, d: int, seeds: Sequence[int], n_hash_cols: int | None, oracle: bool) -> DataFrame:
+    """``base`` for each seed with ``bucket``, the hash of the seed's columns: column sampling is the hash family of Hamming distance."""
+    mask = F.create_map(*[F.lit(x) for k in seeds for x in (int(k), sum(1 << i for i in chosen_columns(d, n_hash_cols, k)))])
+    out = seeded(base, seeds).withColumn("_m", mask[F.col("seed")])
+    if oracle:
+        value = lambda i: F.coalesce(F.col(f"a{i}").cast("string"), F.lit("~"))
+    else:
+        value = lambda i: F.xxhash64(F.isnull(f"a{i}"), F.col(f"a{i}"))
+    cols = [F.when(F.col("_m").bitwiseAND(F.lit(1 << i)) != 0, value(i)) for i in range(1, d + 1)]
+    return out.withColumn("bucket", md5_60(F.concat_ws("|", *cols)) if oracle else F.xxhash64("_m", *cols)).drop("_m")
 
-    d = len(attrs)
-    chosen = sorted(random.Random(seed).sample(range(1, d + 1), n_hash_cols or max(1, (d + 1) // 2)))
-    base = canonicalized(df, attrs, record_id)
-    key = md5_60(F.concat_ws("|", *[F.coalesce(F.col(f"a{i}").cast("string"), F.lit("~")) for i in chosen])) if oracle else F.xxhash64(*[x for i in chosen for x in (F.isnull(f"a{i}"), F.col(f"a{i}"))])
-    return base.withColumn("bucket", key)
 
+def lsh_buckets(df: DataFrame, attrs: Sequence[str], record_id: str, n_hash_cols: int | None = None, seed: int = 7, oracle: bool = False, null_policy: str = "equal") -> DataFrame:
+    """(rid, a1..ad, bucket): records by the values of some attributes."""
+    return bucketed(canonicalized(df, attrs, record_id, null_policy), len(attrs), [seed], n_hash_cols, oracle).drop("seed")
 
-def lsh_strata(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, n_hash_cols: int | None = None, policy: str = "linear", fraction: float = 0.005, sizes: tuple[int, int] | None = None, adaptive: bool = False, min_hits: int | None = None) -> DataFrame:
+
+def lsh_strata(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, n_hash_cols: int | None = None, policy: str = "linear", fraction: float = 0.005, sizes: tuple[int, int] | None = None, adaptive: bool = False, min_hits: int | None = None, seeds: Sequence[int] | None = None, oracle: bool = False) -> DataFrame:
     """Profile from pairs drawn within buckets and across them, each stratum scaled to its number of pairs.
 
     Two passes: one to count buckets, one to look up the drawn records.  A record is found by its
-    place in the order of buckets; per-bucket counts stay distributed.  ``policy='linear'`` draws n
-    pairs of each stratum, ``fraction`` a share of all pairs.  ``adaptive`` keeps the low stratum only
-    if ``min_hits`` (log2 n) of its pairs reach the threshold.
+    place in the order of buckets; within a bucket records are numbered by cells of their hash, so a
+    bucket of any size is dealt to many tasks.  ``policy='linear'`` draws n pairs of each stratum,
+    ``fraction`` a share of all pairs.  Across buckets two records are drawn each; pairs that share a
+    bucket are left out and the others scaled by their number.  ``adaptive`` scales the low stratum
+    only if ``min_hits`` (log2 n) of its pairs reach the threshold; with fewer the pairs seen are
+    all that is counted, a lower bound.  ``seeds``: an estimate for each, told by a column ``seed``.
     """
     attrs = attributes(df, attrs)
-    d = len(attrs)
-    placed = lsh_buckets(df, attrs, record_id, n_hash_cols, spec.seed)
-    size = placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("b"))
-    got = size.agg(F.sum("b").alias("n"), F.sum((F.col("b") * (F.col("b") - 1) / 2)).alias("h")).first()
-    n, high = int(got["n"] or 0), int(got["h"] or 0)
-    low = n * (n - 1) // 2 - high
-    want = sizes or ((n, n) if policy == "linear" else (max(1, round(fraction * high)), max(1, round(fraction * low))))
-    spark = df.sparkSession
-    # places: records ordered by bucket; partial sums per range partition, then within
-    order = Window.partitionBy("bucket").orderBy("rid")
-    inside = placed.withColumn("k", F.row_number().over(order) - 1)
-    starts = running(size.withColumn("pairs", (F.col("b") * (F.col("b") - 1) / 2).cast("long")))
-
-    def drawn(m: int, total: int, what: str) -> DataFrame:
-        return spark.range(m).select("id", (F.pmod(F.xxhash64(F.lit(spec.seed), F.lit(what), "id"), F.lit(max(total, 1)))).alias("at"))
-
-    def stratum(pairs: DataFrame, total: int, m: int) -> DataFrame:
-        hit = pairs.groupBy("level").agg(F.count(F.lit(1)).alias("hits"))
-        return hit.select("level", "hits", (F.col("hits") * (2.0 * total / max(m, 1))).alias("x"))
+    d, many, spark = len(attrs), [spec.seed] if seeds is None else list(seeds), df.sparkSession
+    placed = bucketed(canonicalized(df, attrs, record_id, spec.null_policy), d, many, n_hash_cols, oracle)
+    hashed = md5_60(F.concat_ws("|", F.lit("o"), F.col("rid").cast("string"))) if oracle else F.xxhash64(F.lit("o"), "rid")
+    placed = placed.withColumn("_h", hashed).withColumn("_cell", F.shiftright("_h", 54 if oracle else 58))
+    cells = placed.groupBy("seed", "bucket", "_cell").agg(F.count(F.lit(1)).alias("c"))
+    two = (F.col("b") * (F.col("b") - 1) / 2).cast("long")
+    size = cells.groupBy("seed", "bucket").agg(F.sum("c").alias("b")).withColumn("pairs", two)
+    plan = []
+    for r in size.groupBy("seed").agg(F.sum("b").alias("n"), F.sum("pairs").alias("high"), F.count(F.lit(1)).alias("buckets")).collect():  # a row for each seed
+        n, high = r["n"], r["high"]
+        low = n * (n - 1) // 2 - high
+        m_high, m_low = sizes or ((n, n) if policy == "linear" else (max(1, round(fraction * high)), max(1, round(fraction * low))))
+        tries = math.ceil(m_low * n * n / (2 * low)) if low else 0
+        plan.append((r["seed"], n, high, low, m_high if high else 0, tries, r["buckets"]))
+    plan = plan or [(int(k), 0, 0, 0, 0, 0, 0) for k in many]
+    sizes_of = F.broadcast(spark.createDataFrame([p[:6] for p in plan], "seed int, n long, high long, low long, m_high long, tries long"))
+    # within a bucket: records before a cell of hashes, then the rank within
+    before = Window.partitionBy("seed", "bucket").orderBy("_cell").rowsBetween(Window.unboundedPreceding, -1)
+    first = cells.select("seed", "bucket", "_cell", F.coalesce(F.sum("c").over(before), F.lit(0)).alias("_first"))
+    inside = placed.withColumn("_rank", F.row_number().over(Window.partitionBy("seed", "bucket", "_cell").orderBy("_h", "rid")) - 1)
+    inside = inside.join(first, ["seed", "bucket", "_cell"]).withColumn("k", F.col("_first") + F.col("_rank"))
+    starts = running(size, max(p[6] for p in plan), 60 if oracle else 64)
+
+    def drawn(m: str, total: str, what: str) -> DataFrame:
+        draw = md5_60(F.concat_ws("|", F.concat(F.lit(what), F.col("seed").cast("string")), F.col("id").cast("string"))) if oracle else F.xxhash64("seed", F.lit(what), "id")
+        most = max(p[4] if m == "m_high" else p[5] for p in plan)
+        return spark.range(most).crossJoin(sizes_of).where(F.col("id") < F.col(m)).select("seed", "id", F.pmod(draw, F.col(total)).alias("at"))
 
     def looked_up(ends: DataFrame, side: str) -> DataFrame:
         cols = [F.col(f"a{i}").alias(f"{side}{i}") for i in range(1, d + 1)]
-        return ends.join(inside.select(F.col("bucket").alias(f"{side}_bucket"), F.col("k").alias(f"{side}_k"), *cols), [f"{side}_bucket", f"{side}_k"])
-
-    def level(pairs: DataFrame) -> DataFrame:
-        same = agreement([F.col(f"l{i}") for i in range(1, d + 1)], [F.col(f"r{i}") for i in range(1, d + 1)])
-        return pairs.withColumn("level", same)
-
-    out = None
-    m_high = want[0] if high else 0
-    if m_high:
-        pick = located(drawn(m_high, high, "h"), starts, "pair_start", "pairs")
-        # ordinal within the bucket to a pair: row a has the pairs a(a-1)/2 .. a(a+1)/2 - 1
-        o = F.col("at") - F.col("pair_start")
-        a = F.floor((F.sqrt(8.0 * o + 1) + 1) / 2).cast("long")
-        pick = pick.withColumn("a", a).withColumn("o", o)
-        pick = pick.withColumn("a", F.when(F.col("a") * (F.col("a") - 1) / 2 > F.col("o"), F.col("a") - 1).when(F.col("a") * (F.col("a") + 1) / 2 <= F.col("o"), F.col("a") + 1).otherwise(F.col("a")))
-        ends = pick.select("id", F.col("bucket").alias("l_bucket"), F.col("a").alias("l_k"), F.col("bucket").alias("r_bucket"), (F.col("o") - (F.col("a") * (F.col("a") - 1) / 2).cast("long")).alias("r_k"))
-        out = stratum(level(looked_up(looked_up(ends, "l"), "r")), high, m_high)
-    m_low = want[1] if low else 0
-    if m_low:
-        # two records each; pairs within one bucket are drawn again by taking more and keeping the first m
-        tries = max(m_low + 16, math.ceil(1.3 * m_low * n * n / max(1, 2 * low)))
-        left = located(drawn(tries, n, "l"), starts, "start", "b").select("id", F.col("bucket").alias("l_bucket"), (F.col("at") - F.col("start")).alias("l_k"))
-        right = located(drawn(tries, n, "r"), starts, "start", "b").select("id", F.col("bucket").alias("r_bucket"), (F.col("at") - F.col("start")).alias("r_k"))
-        ends = left.join(right, "id").where("l_bucket <> r_bucket").orderBy("id").limit(m_low)
-        across = stratum(level(looked_up(looked_up(ends, "l"), "r")), low, m_low)
-        if adaptive:
-            hits = across.where(F.col("level") >= spec.s).agg(F.coalesce(F.sum("hits"), F.lit(0))).first()[0]
-            across = across if hits >= (min_hits or max(1, math.ceil(math.log2(max(n, 2))))) else across.where("false")
-        out = across if out is None else out.unionByName(across)
-    every = spark.createDataFrame([(k,) for k in range(spec.s, d + 1)], "level int")
-    total = out.groupBy("level").agg(F.sum("x").alias("x")) if out is not None else spark.createDataFrame([], "level int, x double")
-    x = F.broadcast(every).join(total, "level", "left").fillna(0.0, ["x"])
-    down = Window.orderBy(F.desc("level")).rowsBetween(Window.unboundedPreceding, 0)
-    return x.select("level", "x", (F.sum("x").over(down) + n).alias("g"), F.lit(n).cast("long").alias("n"), F.lit(high).cast("long").alias("pairs_high"), F.lit(low).cast("long").alias("pairs_low"))
-
-
-def running(size: DataFrame, groups: int = 256) -> DataFrame:
-    """Buckets with the number of records (``start``) and pairs (``pair_start``) before them, in two steps: sums of groups, then within."""
-    g = size.withColumn("grp", F.pmod(F.xxhash64("bucket"), F.lit(groups)).cast("int"))
-    per = g.groupBy("grp").agg(F.sum("b").alias("gb"), F.sum("pairs").alias("gp"))
-    w = Window.orderBy("grp").rowsBetween(Window.unboundedPreceding, -1)  # as many rows as groups
-    per = per.select("grp", F.coalesce(F.sum("gb").over(w), F.lit(0)).alias("gb"), F.coalesce(F.sum("gp").over(w), F.lit(0)).alias("gp"))
-    inner = Window.partitionBy("grp").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    return g.join(F.broadcast(per), "grp").select("bucket", "b", "pairs", "grp", (F.col("gb") + F.coalesce(F.sum("b").over(inner), F.lit(0))).alias("start"), (F.col("gp") + F.coalesce(F.sum("pairs").over(inner), F.lit(0))).alias("pair_start"))
-
-
-def located(drawn: DataFrame, starts: DataFrame, start: str, width: str, cells: int = 4096) -> DataFrame:
-    """Each drawn ordinal with the bucket that holds it: an as-of join by union and a running last value within a grid cell."""
-    held = starts.where(F.col(width) > 0).select("bucket", F.col(start).alias("start_"), (F.col(start) + F.col(width)).alias("end_"), start)
+        return ends.join(inside.select("seed", F.col("bucket").alias(f"{side}_bucket"), F.col("k").alias(f"{side}_k"), *cols), ["seed", f"{side}_bucket", f"{side}_k"])
+
+    def hits(ends: DataFrame, stratum: str) -> DataFrame:
+        same = agreement([F.col(f"l{i}") for i in range(1, d + 1)], [F.col(f"r{i}") for i in range(1, d + 1)], spec.null_policy)
+        return looked_up(looked_up(ends, "l"), "r").groupBy("seed", same.alias("level")).agg(F.count(F.lit(1)).alias("hits")).withColumn("stratum", F.lit(stratum))
+
+    pick = located(drawn("m_high", "high", "h"), starts, "pair_start", "pairs")
+    # ordinal within the bucket to a pair: row a has the pairs a(a-1)/2 .. a(a+1)/2 - 1
+    o, a = F.col("at") - F.col("pair_start"), F.col("a")
+    pick = pick.withColumn("o", o).withColumn("a", F.floor((F.sqrt(8.0 * o + 1) + 1) / 2).cast("long"))
+    pick = pick.withColumn("a", F.when(a * (a - 1) / 2 > F.col("o"), a - 1).when(a * (a + 1) / 2 <= F.col("o"), a + 1).otherwise(a))
+    within = pick.select("seed", "id", F.col("bucket").alias("l_bucket"), F.col("a").alias("l_k"), F.col("bucket").alias("r_bucket"), (F.col("o") - (a * (a - 1) / 2).cast("long")).alias("r_k"))
+    one = lambda what, side: located(drawn("tries", "n", what), starts, "start", "b").select("seed", "id", F.col("bucket").alias(f"{side}_bucket"), (F.col("at") - F.col("start")).alias(f"{side}_k"))
+    across = one("l", "l").join(one("r", "r"), ["seed", "id"]).where("l_bucket <> r_bucket")
+    found = hits(within, "high").unionByName(hits(across, "low"))
+    every = Window.partitionBy("seed", "stratum")
+    found = found.withColumn("drawn", F.sum("hits").over(every)).withColumn("reach", F.sum(F.when(F.col("level") >= spec.s, F.col("hits")).otherwise(0)).over(every)).join(sizes_of, "seed")
+    scale = F.when(F.col("stratum") == "high", F.col("high")).otherwise(F.col("low")) / F.col("drawn")
+    if adaptive:
+        enough = F.lit(min_hits) if min_hits else F.greatest(F.lit(1), F.ceil(F.log2(F.greatest(F.col("n"), F.lit(2)).cast("double"))))
+        scale = F.when((F.col("stratum") == "low") & (F.col("reach") < enough), F.lit(1.0)).otherwise(scale)
+    x = found.groupBy("seed", "level").agg(F.sum(F.col("hits") * 2.0 * scale).alias("x"))
+    out = cumulated(completed(x, many, spec.s, d).join(sizes_of, "seed"), F.col("n"))
+    out = out.select("seed", "level", "x", "g", "n", F.col("high").alias("pairs_high"), F.col("low").alias("pairs_low"))
+    return out if seeds is not None else out.drop("seed")
+
+
+def running(size: DataFrame, buckets: int, hash_bits: int, per_group: int = 50_000) -> DataFrame:
+    """Buckets of each seed with the records (``start``) and pairs (``pair_start``) before them, in the order of their hashes.
+
+    Two steps: sums of groups of neighbouring hashes, then within a group; the number of groups follows that of buckets.
+    """
+    bits = max(0, math.ceil(math.log2(max(1, buckets / per_group))))
+    g = size.withColumn("grp", F.shiftright("bucket", hash_bits - bits) if bits else F.lit(0).cast("long"))
+    per = g.groupBy("seed", "grp").agg(F.sum("b").alias("gb"), F.sum("pairs").alias("gp"))
+    w = Window.partitionBy("seed").orderBy("grp").rowsBetween(Window.unboundedPreceding, -1)  # as many rows as groups
+    per = per.select("seed", "grp", F.coalesce(F.sum("gb").over(w), F.lit(0)).alias("gb"), F.coalesce(F.sum("gp").over(w), F.lit(0)).alias("gp"))
+    inner = Window.partitionBy("seed", "grp").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    return g.join(per, ["seed", "grp"]).select("seed", "bucket", "b", "pairs", (F.col("gb") + F.coalesce(F.sum("b").over(inner), F.lit(0))).alias("start"), (F.col("gp") + F.coalesce(F.sum("pairs").over(inner), F.lit(0))).alias("pair_start"))
+
+
+def located(drawn: DataFrame, starts: DataFrame, start: str, width: str, cells: int = 4096, keys: Sequence[str] = ("seed",)) -> DataFrame:
+    """Each drawn ordinal ``at`` with the bucket that holds it: a range join on the cells of a grid.
+
+    A bucket is listed in every cell that its range [start, start + width) touches, an ordinal stands in one cell.
+    """
+    held = starts.where(F.col(width) > 0).select(*keys, "bucket", F.col(start).alias("start_"), (F.col(start) + F.col(width)).alias("end_"), start)
     step = held.agg(F.greatest(F.lit(1), F.ceil(F.max("end_") / cells))).first()[0] or 1
     cell = F.floor(F.col("start_") / step)
     held = held.withColumn("cell", F.explode(F.sequence(cell, F.floor((F.col("end_") - 1) / step))))
-    return drawn.withColumn("cell", F.floor(F.col("at") / step)).join(held, "cell").where((F.col("at") >= F.col("start_")) & (F.col("at") < F.col("end_"))).drop("cell", "start_", "end_")
+    return drawn.withColumn("cell", F.floor(F.col("at") / step)).join(held, [*keys, "cell"]).where((F.col("at") >= F.col("start_")) & (F.col("at") < F.col("end_"))).drop("cell", "start_", "end_")
 
 
 def half_sum_bound(a: DataFrame, b: DataFrame, attrs: Sequence[str], s: int) -> DataFrame:

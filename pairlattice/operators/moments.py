@@ -25,14 +25,14 @@ def second_moment(df: DataFrame, cols: Sequence[str]) -> DataFrame:
     return df.groupBy(*cols).agg(F.count(F.lit(1)).alias("c")).agg(F.sum("c").alias("n"), F.count("c").alias("distinct"), square_sum("c").alias("f2"))
 
 
-def counts(stream: DataFrame) -> DataFrame:
-    """(level, mask, fp, c): multiplicities of sub-values, combined before the shuffle."""
-    return stream.groupBy("level", "mask", "fp").agg(F.count(F.lit(1)).alias("c"))
+def counts(stream: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
+    """(keys.., level, mask, fp, c): multiplicities of sub-values, combined before the shuffle."""
+    return stream.groupBy(*keys, "level", "mask", "fp").agg(F.count(F.lit(1)).alias("c"))
 
 
-def level_moments(stream: DataFrame) -> DataFrame:
-    """(level, y, emitted) of a level stream."""
-    return counts(stream).groupBy("level").agg(square_sum("c").alias("y"), F.sum("c").alias("emitted"))
+def level_moments(stream: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
+    """(keys.., level, y, emitted) of a level stream, or of one for each value of ``keys``."""
+    return counts(stream, keys).groupBy(*keys, "level").agg(square_sum("c").alias("y"), F.sum("c").alias("emitted"))
 
 
 def projection_moments(df: DataFrame, attrs: Sequence[str] | str, k: int, null_policy: str = "equal") -> DataFrame:

@@ -26,14 +26,14 @@ def canonical(column: Column, kind: T.DataType) -> Column:
     return column
 
 
-def canonicalized(df: DataFrame, attrs: Sequence[str], record_id: str | None = None, null_policy: str = "equal") -> DataFrame:
-    """(rid, a1..ad): the attributes in order; ``rid`` is a hash of the key where one is named, else of the whole row.
+def canonicalized(df: DataFrame, attrs: Sequence[str], record_id: str | None = None, null_policy: str = "equal", keep: Sequence[str] = ()) -> DataFrame:
+    """(rid, a1..ad, keep..): the attributes in order; ``rid`` is a hash of the key where one is named, else of the whole row.
 
     Without a key equal rows would draw alike; :func:`numbered` tells them apart.
     """
     kinds = {f.name: f.dataType for f in df.schema.fields}
     rid = F.col(record_id) if record_id else F.xxhash64(*[F.isnull(c) for c in df.columns], *[canonical(F.col(c), kinds[c]) for c in df.columns])
-    out = df.select(rid.alias("rid"), *[canonical(F.col(a), kinds[a]).alias(f"a{i + 1}") for i, a in enumerate(attrs)])
+    out = df.select(rid.alias("rid"), *[canonical(F.col(a), kinds[a]).alias(f"a{i + 1}") for i, a in enumerate(attrs)], *keep)
     if null_policy == "drop":
         out = out.dropna(subset=[f"a{i + 1}" for i in range(len(attrs))])
     return out

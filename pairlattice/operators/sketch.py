@@ -19,18 +19,32 @@ from pairlattice.spec import EstimatorSpec
 LOW60 = (1 << 60) - 1
 
 
-def updates(stream: DataFrame, spec: EstimatorSpec, keep: Sequence[str] = ()) -> DataFrame:
-    """(keep.., level, row, bucket, sign): what each sub-value adds to the counters."""
-    fp = F.col("fp").bitwiseAND(F.lit(LOW60))
-    longs = lambda c: F.array(*[F.lit(v).cast("long") for p in c for v in p])
-    none = [[0] * 4] * 3
+def coefficient_rows(spec: EstimatorSpec, seed: int) -> list[tuple[int, int, list[int], list[int]]]:
+    """(row, counter, sign, bucket): the polynomials of each row of counters, those of row -1 unused."""
+    none = [0] * 12
+    flat = lambda c: [v for p in c for v in p]
     if spec.kind == "fast":
-        rows = [(r, 0, coefficients(spec.seed, r, "sign"), coefficients(spec.seed, r, "bucket")) for r in range(spec.depth)]
+        rows = [(r, 0, flat(coefficients(seed, r, "sign")), flat(coefficients(seed, r, "bucket"))) for r in range(spec.depth)]
     else:  # every counter is touched; a counter has signs of its own
-        rows = [(j // spec.width, j % spec.width, coefficients(spec.seed, j, "plain"), none) for j in range(spec.width * spec.depth)]
-    # the coefficients travel as rows of a literal, so the hash is compiled once, not once for each row of counters
-    table = F.array(*[F.struct(F.lit(r).alias("row"), F.lit(j).alias("j"), longs(s).alias("s"), longs(b).alias("b")) for r, j, s, b in [(-1, 0, none, none), *rows]])
-    out = stream.select(*keep, "level", fp.alias("fp"), F.explode(table).alias("t")).where("t.row = -1 or level > 0")
+        rows = [(j // spec.width, j % spec.width, flat(coefficients(seed, j, "plain")), none) for j in range(spec.width * spec.depth)]
+    return [(-1, 0, none, none), *rows]
+
+
+def updates(stream: DataFrame, spec: EstimatorSpec, keep: Sequence[str] = (), seeds: Sequence[int] | None = None) -> DataFrame:
+    """(keep.., level, row, bucket, sign): what each sub-value adds to the counters.
+
+    ``seeds``: the stream has a column ``seed``, also in ``keep``, and there is a sketch for each.
+    """
+    fp = F.col("fp").bitwiseAND(F.lit(LOW60))
+    if seeds is None:  # the coefficients travel as rows of a literal, so the hash is compiled once, not once for each row of counters
+        longs = lambda c: F.array(*[F.lit(v).cast("long") for v in c])
+        table = F.array(*[F.struct(F.lit(r).alias("row"), F.lit(j).alias("j"), longs(s).alias("s"), longs(b).alias("b")) for r, j, s, b in coefficient_rows(spec, spec.seed)])
+        out = stream.select(*keep, "level", fp.alias("fp"), F.explode(table).alias("t"))
+    else:
+        rows = [(k, *r) for k in seeds for r in coefficient_rows(spec, k)]
+        table = stream.sparkSession.createDataFrame(rows, "seed int, row int, j int, s array<bigint>, b array<bigint>")  # seeds x rows of counters
+        out = stream.join(F.broadcast(table), "seed").select(*keep, "level", fp.alias("fp"), F.struct("row", "j", "s", "b").alias("t"))
+    out = out.where("t.row = -1 or level > 0")
     poly = lambda name: [[F.get(F.col(f"t.{name}"), F.lit(4 * k + i)) for i in range(4)] for k in range(3)]
     counts = F.col("t.row") == -1
     sign = F.when(counts | (tab4(poly("s"), F.col("fp")).bitwiseAND(F.lit(1)) == 1), 1).otherwise(-1)
@@ -116,22 +130,22 @@ def combined(values: str, how: str) -> Column:
     return F.median(values) if how == "median" else F.avg(values)
 
 
-def row_moments(sketch: DataFrame, spec: EstimatorSpec) -> DataFrame:
-    """(level, row, f2): the estimate of each row of counters."""
+def row_moments(sketch: DataFrame, spec: EstimatorSpec, keys: Sequence[str] = ()) -> DataFrame:
+    """(keys.., level, row, f2): the estimate of each row of counters."""
     sq = F.col("counter").cast("decimal(19,0)") * F.col("counter").cast("decimal(19,0)")
-    out = sketch.where("row >= 0").groupBy("level", "row").agg(F.sum(sq).cast("double").alias("f2"))
+    out = sketch.where("row >= 0").groupBy(*keys, "level", "row").agg(F.sum(sq).cast("double").alias("f2"))
     return out.withColumn("f2", F.col("f2") / spec.width) if spec.kind == "plain" else out
 
 
-def level_sizes(sketch: DataFrame) -> DataFrame:
-    """(level, emitted) of each level, n at level 0."""
-    return sketch.where("row = -1").select("level", F.col("counter").alias("emitted"))
+def level_sizes(sketch: DataFrame, keys: Sequence[str] = ()) -> DataFrame:
+    """(keys.., level, emitted) of each level, n at level 0."""
+    return sketch.where("row = -1").select(*keys, "level", F.col("counter").alias("emitted"))
 
 
-def second_moment(sketch: DataFrame, spec: EstimatorSpec) -> DataFrame:
-    """(level, y, emitted): moments by the median (or mean) of the rows."""
-    y = row_moments(sketch, spec).groupBy("level").agg(combined("f2", spec.combine).alias("y"))
-    return level_sizes(sketch).where("level > 0").join(F.broadcast(y), "level", "left").select("level", F.coalesce("y", F.lit(0.0)).alias("y"), "emitted")
+def second_moment(sketch: DataFrame, spec: EstimatorSpec, keys: Sequence[str] = ()) -> DataFrame:
+    """(keys.., level, y, emitted): moments by the median (or mean) of the rows."""
+    y = row_moments(sketch, spec, keys).groupBy(*keys, "level").agg(combined("f2", spec.combine).alias("y"))
+    return level_sizes(sketch, keys).where("level > 0").join(y if keys else F.broadcast(y), [*keys, "level"], "left").select(*keys, "level", F.coalesce("y", F.lit(0.0)).alias("y"), "emitted")
 
 
 def inner_product(a: DataFrame, b: DataFrame, spec: EstimatorSpec) -> DataFrame:

@@ -96,10 +96,49 @@ def from_sketch(built: DataFrame, d: int, spec: EstimatorSpec) -> DataFrame:
     return profile(all_levels(with_n(levels, zero), d, spec.s).fillna(0, ["n"]), d, spec)
 
 
-def join_profile(levels: DataFrame, d: int, spec: EstimatorSpec, na: DataFrame, nb: DataFrame) -> DataFrame:
-    """Profile of a join from (level, y): no self-pairs, each pair once."""
-    exact = dict(levels.dtypes)["y"].startswith("decimal") and all(spec.ratio_of(k) == 1 for k in range(spec.s, d + 1))
-    z = F.col("y") if exact else F.col("y").cast("double") / per_level(d, spec, lambda k: spec.ratio_of(k) ** 2)
+def profiles_by(levels: DataFrame, keys: Sequence[str], d: int, spec: EstimatorSpec) -> DataFrame:
+    """(keys.., level, y, emitted, n, x, pairs_at_least, g): a profile for each value of ``keys`` (windows, seeds) from (keys.., level, y, emitted, n)."""
+    every = levels.sparkSession.createDataFrame([(k,) for k in range(spec.s, d + 1)], "level int")
+    full = levels.select(*keys, "n").distinct().crossJoin(F.broadcast(every)).join(levels.drop("n"), [*keys, "level"], "left")
+    full = full.select(*keys, "level", F.coalesce(F.col("y").cast("double"), F.lit(0.0)).alias("y"), F.coalesce("emitted", F.lit(0).cast("long")).alias("emitted"), "n")
+    known = F.col("emitted").cast("double") if spec.self_pairs == "emitted" else per_level(d, spec, lambda k: spec.ratio_of(k) * comb(d, k)) * F.col("n")
+    z = full.select(*keys, "level", ((F.col("y") - known) / per_level(d, spec, lambda k: spec.ratio_of(k) ** 2)).alias("z"))
+    coef = F.broadcast(lattice.coefficients(levels.sparkSession, d, spec.s))
+    solved = z.join(coef, "level").groupBy(*keys, "k").agg(F.sum(F.col("coef") * F.col("z")).alias("x")).withColumnRenamed("k", "level")
+    down = Window.partitionBy(*keys).orderBy(F.desc("level")).rowsBetween(Window.unboundedPreceding, 0)  # d rows at most
+    out = full.join(solved, [*keys, "level"]).withColumn("pairs_at_least", F.sum("x").over(down))
+    return out.withColumn("g", F.col("pairs_at_least") + F.col("n"))
+
+
+def from_sketches(built: DataFrame, keys: Sequence[str], d: int, spec: EstimatorSpec) -> DataFrame:
+    """A profile for each value of ``keys`` from sketches that carry these columns."""
+    n = sketch.level_sizes(built, keys).where("level = 0").select(*keys, F.col("emitted").alias("n"))
+    return profiles_by(sketch.second_moment(built, spec, keys).join(n, list(keys)), keys, d, spec)
+
+
+def repeated(df: DataFrame, attrs: Sequence[str] | str, spec: EstimatorSpec, record_id: str, seeds: Sequence[int] | None, mode: str = "sketch") -> DataFrame:
+    """Profiles of repeated estimates, one for each seed, in one plan with ``seed`` as a group key.
+
+    ``seeds=None``: ``df`` has a column ``seed`` already, which groups its records.
+    """
+    attrs = attributes(df, attrs)
+    d = len(attrs)
+    spec.check(d)
+    base = df if seeds is None else df.select(record_id, *attrs).withColumn("seed", F.explode(subvalues.int_array(seeds)))
+    stream = subvalues.level_stream(base, attrs, spec, record_id, True, ["seed"], F.col("seed"))
+    if mode == "sketch":
+        up = sketch.updates(stream, spec, ["seed"], seeds)
+        return from_sketches(up.groupBy("seed", "level", "row", "bucket").agg(F.sum("sign").alias("counter")), ["seed"], d, spec)
+    all_ = moments.level_moments(stream, ["seed"])
+    n = all_.where("level = 0").select("seed", F.col("emitted").alias("n"))
+    return profiles_by(all_.where("level > 0").join(n, "seed"), ["seed"], d, spec)
+
+
+def join_profile(levels: DataFrame, d: int, spec: EstimatorSpec, na: DataFrame, nb: DataFrame, spec_b: EstimatorSpec | None = None) -> DataFrame:
+    """Profile of a join from (level, y): no self-pairs, each pair once; both sides must be drawn, so their ratios multiply."""
+    other = spec_b or spec
+    exact = dict(levels.dtypes)["y"].startswith("decimal") and all(spec.ratio_of(k) == other.ratio_of(k) == 1 for k in range(spec.s, d + 1))
+    z = F.col("y") if exact else F.col("y").cast("double") / per_level(d, spec, lambda k: spec.ratio_of(k) * other.ratio_of(k))
     every = all_levels(levels.withColumn("emitted", F.lit(0)), d, spec.s).drop("emitted")
     out = every.join(F.broadcast(lattice.solve(every.select("level", z.alias("z")), d, spec.s)), "level").crossJoin(F.broadcast(na.select(F.col("n").alias("na")))).crossJoin(F.broadcast(nb.select(F.col("n").alias("nb"))))
     down = Window.orderBy(F.desc("level")).rowsBetween(Window.unboundedPreceding, 0)
@@ -107,11 +146,12 @@ def join_profile(levels: DataFrame, d: int, spec: EstimatorSpec, na: DataFrame,
     return out.select("level", "y", "x", "pairs_at_least", (F.col("pairs_at_least").cast("double") / F.nullif(F.col("na").cast("double") * F.col("nb").cast("double"), F.lit(0.0))).alias("selectivity"))
 
 
-def join_size(a: DataFrame, b: DataFrame, attrs_a: Sequence[str], attrs_b: Sequence[str], spec: EstimatorSpec, mode: str = "sketch", id_a: str | None = None, id_b: str | None = None, engine: str = "group") -> DataFrame:
+def join_size(a: DataFrame, b: DataFrame, attrs_a: Sequence[str], attrs_b: Sequence[str], spec: EstimatorSpec, mode: str = "sketch", id_a: str | None = None, id_b: str | None = None, engine: str = "group", ratio_b: float | dict | None = None) -> DataFrame:
     """Profile of the similarity join of two relations whose attributes correspond by position.
 
     ``exact`` with ``engine='group'`` counts both sides in one aggregation, with ``join`` it joins two
-    count tables.
+    count tables.  ``ratio_b`` draws the second relation at another ratio; its draws have a seed of
+    their own, so that records with equal ids draw alike only by chance.
     """
     attrs_a, attrs_b = attributes(a, attrs_a), attributes(b, attrs_b)
     kinds = [[dict(x.dtypes)[c] for c in cols] for x, cols in ((a, attrs_a), (b, attrs_b))]
@@ -119,11 +159,12 @@ def join_size(a: DataFrame, b: DataFrame, attrs_a: Sequence[str], attrs_b: Seque
         raise ValueError(f"attributes of both sides need equal types: {kinds[0]} and {kinds[1]}")
     d = len(attrs_a)
     sa = subvalues.level_stream(a, attrs_a, spec, id_a, count_level=True)
-    sb = subvalues.level_stream(b, attrs_b, spec.with_(seed=spec.seed), id_b, count_level=True)
+    spec_b = spec.with_(seed=spec.seed + 1, ratio=spec.ratio if ratio_b is None else ratio_b)
+    sb = subvalues.level_stream(b, attrs_b, spec_b.check(d), id_b, count_level=True)
     if mode == "sketch":
         ka, kb = sketch.build(sa, spec), sketch.build(sb, spec)
         size = lambda k: sketch.level_sizes(k).where("level = 0").agg(F.coalesce(F.sum("emitted"), F.lit(0)).alias("n"))
-        return join_profile(sketch.inner_product(ka, kb, spec), d, spec, size(ka), size(kb))
+        return join_profile(sketch.inner_product(ka, kb, spec), d, spec, size(ka), size(kb), spec_b)
     if engine == "join":
         ca, cb = moments.counts(sa), moments.counts(sb)
         both = ca.withColumnRenamed("c", "ca").join(cb.withColumnRenamed("c", "cb"), ["level", "mask", "fp"])
@@ -134,7 +175,7 @@ def join_size(a: DataFrame, b: DataFrame, attrs_a: Sequence[str], attrs_b: Seque
         size = lambda c: both.where("level = 0").agg(F.coalesce(F.sum(c), F.lit(0)).alias("n"))
         na, nb = size("ca"), size("cb")
     product = F.sum(F.col("ca").cast("decimal(19,0)") * F.col("cb").cast("decimal(19,0)")).cast("decimal(38,0)")
-    return join_profile(both.where("level > 0").groupBy("level").agg(product.alias("y")), d, spec, na, nb)
+    return join_profile(both.where("level > 0").groupBy("level").agg(product.alias("y")), d, spec, na, nb, spec_b)
 
 
 def profile_gaps(prof: DataFrame) -> DataFrame:

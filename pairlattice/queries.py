@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 from collections.abc import Callable
+from dataclasses import dataclass
 from functools import partial
 from math import comb
 
@@ -16,6 +18,7 @@ from pairlattice.functions.shingles import shingle_set
 from pairlattice.operators import baselines, moments, records, sketch, subvalues
 from pairlattice.operators.records import encoded_sql
 from pairlattice.plans import bounds, estimate
+from pairlattice.plans.attributes import choose_attributes
 from pairlattice.sources import workloads as W
 from pairlattice.spec import EstimatorSpec, sub_values
 from pairlattice.streaming import profile as stream_profile
@@ -62,12 +65,12 @@ def level_sql(d: int, s: int, source: str = "t") -> str:
     return f"SELECT level, CAST(coalesce(sum(y), 0) AS BIGINT) AS y, CAST(coalesce(sum(emitted), 0) AS BIGINT) AS emitted FROM ({' UNION ALL '.join(parts)}) GROUP BY level"
 
 
-def solved_sql(d: int, s: int, levels: str, n: str = "(SELECT count(*) FROM t)", factor: str = "1") -> str:
+def solved_sql(d: int, s: int, levels: str, n: str = "(SELECT count(*) FROM t)", factor: str = "1", known: str = "emitted") -> str:
     coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(d, s))
     return f"""
 , lv AS ({levels}), nn AS (SELECT CAST({n} AS BIGINT) AS n),
 cf(k, level, coef) AS (VALUES {coef}),
-xs AS (SELECT k AS level, sum(coef * (y - emitted) * {factor}) AS x FROM cf JOIN lv USING (level) GROUP BY k),
+xs AS (SELECT k AS level, sum(coef * (y - {known}) * {factor}) AS x FROM cf JOIN lv USING (level) GROUP BY k),
 pr AS (SELECT lv.level, y, emitted, n, x, sum(x) OVER (ORDER BY lv.level DESC) AS p FROM lv JOIN xs USING (level), nn)
 SELECT CAST(level AS BIGINT) AS level, CAST(round(y) AS BIGINT) AS y, CAST(emitted AS BIGINT) AS emitted, n, CAST(round(x) AS BIGINT) AS x, CAST(round(p) AS BIGINT) AS pairs_at_least,
   CAST(round(p + n) AS BIGINT) AS g, round(CAST(p + n AS DOUBLE) / (CAST(n AS DOUBLE) * n), 9) AS selectivity FROM pr"""
@@ -103,8 +106,8 @@ def projection_sql(w: W.Workload, k: int) -> str:
 for _k in (3, 4):
     add(f"projection_moments_orders5_k{_k}", lambda sp, sf, k=_k: longs(moments.projection_moments(ORDERS5.frame(sp, sf), ORDERS5.cols, k), "f2", "matching"), projection_sql(ORDERS5, _k))
 add("projection_moments_grouping_sets", lambda sp, sf: longs(moments.projection_moments_sql(ORDERS5.frame(sp, sf), ORDERS5.cols, 3), "f2", "matching"), projection_sql(ORDERS5, 3))
-add("projection_skew_part5", lambda sp, sf: longs(moments.projection_skew(W.TABLES["part5"].frame(sp, sf), W.TABLES["part5"].cols, 2), "f2").select("mask", "n", "f2", "rank"),
-    f"SELECT mask, n, f2, rank() OVER (ORDER BY f2 DESC, mask) AS rank FROM ({projection_sql(W.TABLES['part5'], 2)})")
+add("projection_skew_part5", lambda sp, sf: longs(moments.projection_skew(W.TABLES["part5"].frame(sp, sf), W.TABLES["part5"].cols, 2), "f2").select("mask", "n", "f2", "rank", F.round("match_share", 9).alias("match_share"), F.round("effective_values", 6).alias("effective_values")),
+    f"SELECT mask, n, f2, rank() OVER (ORDER BY f2 DESC, mask) AS rank, round(CAST(f2 AS DOUBLE) / (CAST(n AS DOUBLE) * n), 9) AS match_share, round(CAST(n AS DOUBLE) * n / f2, 6) AS effective_values FROM ({projection_sql(W.TABLES['part5'], 2)})")
 add("top_skewed_subsets", lambda sp, sf: longs(moments.projection_skew(ORDERS5.frame(sp, sf), ORDERS5.cols, 2), "f2").orderBy("rank").limit(3).select("mask", "n", "f2", "rank"),
     f"SELECT mask, n, f2, rank() OVER (ORDER BY f2 DESC, mask) AS rank FROM ({projection_sql(ORDERS5, 2)}) ORDER BY rank LIMIT 3")
 add("soft_dependencies_orders5", lambda sp, sf: moments.soft_dependencies(ORDERS5.frame(sp, sf), ORDERS5.cols, 1).select("mask", "added", F.round("kept", 9).alias("kept")),
@@ -173,24 +176,47 @@ def draw_sql(seed: int, what: str, key: str) -> str:
     return f"('0x' || substr(md5('{what}{seed}|' || CAST(rid AS VARCHAR) || '|' || CAST({key} AS VARCHAR)), 1, 15))::BIGINT"
 
 
-def drawn_sql(w: W.Workload, spec: EstimatorSpec) -> str:
-    """CTEs ``t`` and ``v`` (rid, level, mask, fp): the sub-values as drawn, fingerprinted by MD5."""
-    d, top = w.d, 1 << 60
+@dataclass(frozen=True)
+class Source:
+    """SQL of (rid, a1..ad, further columns)."""
+
+    text: str
+    d: int
+
+    def sql(self) -> str:
+        return self.text
+
+
+def digest_sql(text: str) -> str:
+    return f"('0x' || substr(md5({text}), 1, 15))::BIGINT"
+
+
+def drawn_sql(w: W.Workload | Source, spec: EstimatorSpec, p: str = "", more: str = "") -> str:
+    """CTEs ``t`` and ``v`` (rid, level, mask, fp): the sub-values as drawn, fingerprinted by MD5; ``p`` ends their names, ``more`` names columns that go along."""
+    d, top, levels = w.d, 1 << 60, range(spec.s, w.d + 1)
     rows, fps = [], []
     for m in lattice.masks(d, spec.s):
         text = " || ".join(encoded_sql(f"a{i + 1}") for i in range(d) if m >> i & 1)
         rows.append(f"({m}, {m.bit_count()})")
-        fps.append(f"WHEN {m} THEN ('0x' || substr(md5('{m}|' || {text}), 1, 15))::BIGINT")
-    if spec.sampler == "bernoulli":
-        limit = " ".join(f"WHEN {k} THEN {int(spec.ratio_of(k) * top)}" for k in range(spec.s, d + 1))
-        chosen = f"SELECT *, 0 AS pos FROM e WHERE {draw_sql(spec.seed, 'm', 'mask')} < CASE level {limit} END"
-    else:
-        count = " ".join(f"WHEN {k} THEN {int(spec.ratio_of(k) * comb(d, k) + 1e-12)} + CASE WHEN {draw_sql(spec.seed, 'n', 'level')} < {int((spec.ratio_of(k) * comb(d, k) - int(spec.ratio_of(k) * comb(d, k) + 1e-12)) * top)} THEN 1 ELSE 0 END" for k in range(spec.s, d + 1))
-        chosen = f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY rid, level ORDER BY {draw_sql(spec.seed, 'm', 'mask')}, mask) AS pos FROM e) WHERE pos <= CASE level {count} END"
+        fps.append(f"WHEN {m} THEN {digest_sql(f"'{m}|' || {text}")}")
+    pairs = f"SELECT t{p}.*, mask, level FROM t{p}, mk{p}"
+    if spec.null_policy == "never":
+        pairs += f" WHERE mask & ({' + '.join(f'CASE WHEN a{i + 1} IS NULL THEN {1 << i} ELSE 0 END' for i in range(d))}) = 0"
+    low = {k: int(spec.ratio_of(k) * comb(d, k) + 1e-12) for k in levels}
+    count = "CASE level " + " ".join(f"WHEN {k} THEN {low[k]} + CASE WHEN {draw_sql(spec.seed, 'n', 'level')} < {int((spec.ratio_of(k) * comb(d, k) - low[k]) * top)} THEN 1 ELSE 0 END" for k in levels) + " END"
     if spec.ratio == 1.0:
-        chosen = "SELECT *, 0 AS pos FROM e"
-    return f"""WITH t AS ({w.sql()}), mk(mask, level) AS (VALUES {', '.join(rows)}), e AS (SELECT t.*, mask, level FROM t, mk), ch AS ({chosen}),
-v AS (SELECT rid, level, mask, CASE mask {' '.join(fps)} END AS fp FROM ch)"""
+        chosen = f"SELECT *, 0 AS pos FROM e{p}"
+    elif spec.sampler == "bernoulli":
+        limit = " ".join(f"WHEN {k} THEN {int(spec.ratio_of(k) * top)}" for k in levels)
+        chosen = f"SELECT *, 0 AS pos FROM e{p} WHERE {draw_sql(spec.seed, 'm', 'mask')} < CASE level {limit} END"
+    elif spec.sampler == "replacement":
+        all_of = ", ".join(f"({k}, {lattice.subsets(d, k)})" for k in levels)
+        pairs = f"SELECT t{p}.*, level, of_ FROM t{p}, (VALUES {all_of}) AS of_(level, of_)"
+        chosen = f"SELECT *, of_[1 + {draw_sql(spec.seed, 'r', '(i + 1000 * level)')} % len(of_)] AS mask FROM (SELECT *, unnest(range(1, 1 + {count})) AS i FROM e{p})"
+    else:
+        chosen = f"SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY rid, level ORDER BY {draw_sql(spec.seed, 'm', 'mask')}, mask) AS pos FROM e{p}) WHERE pos <= {count}"
+    return f"""WITH t{p} AS ({w.sql()}), mk{p}(mask, level) AS (VALUES {', '.join(rows)}), e{p} AS ({pairs}), ch{p} AS ({chosen}),
+v{p} AS (SELECT rid, {more}level, mask, CASE mask {' '.join(fps)} END AS fp FROM ch{p})"""
 
 
 COUNTED = "SELECT level, CAST(sum(c * c) AS BIGINT) AS y, CAST(sum(c) AS BIGINT) AS emitted FROM (SELECT level, mask, fp, count(*) AS c FROM v GROUP BY 1, 2, 3) GROUP BY level"
@@ -206,30 +232,37 @@ sampled("sampled_bernoulli_orders5_r50", ORDERS5, MD5.with_(ratio=0.5, sampler="
 sampled("sampled_perlevel_orders6", W.TABLES["orders6"], MD5.with_(s=4, ratio={4: 0.25, 5: 0.5, 6: 1.0}))
 for _r in (25, 75):
     sampled(f"sampled_fixed_orders5_r{_r}", ORDERS5, MD5.with_(ratio=_r / 100))
-add("sampled_replacement_orders5", lambda sp, sf: estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3, ratio=0.5, sampler="replacement"), "exact", "rid"))
+sampled("sampled_replacement_orders5", ORDERS5, MD5.with_(ratio=0.5, sampler="replacement"))
 
 
 def expected_vs_emitted(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The two self-pair terms of one draw, and the exact profile."""
-    f, spec = ORDERS5.frame(spark, sf_dir), EstimatorSpec(s=3, ratio=0.5)
-    run = lambda s: estimate.self_join_size(f, ORDERS5.cols, s, "exact", "rid").select("level", F.col("g").cast("double").alias("g"))
+    f, spec = ORDERS5.frame(spark, sf_dir), MD5.with_(ratio=0.5)
+    run = lambda s: shaped(estimate.self_join_size(f, ORDERS5.cols, s, "exact", "rid")).select("level", "g")
     out = run(spec).withColumnRenamed("g", "g_emitted").join(run(spec.with_(self_pairs="expected")).withColumnRenamed("g", "g_expected"), "level")
     return out.join(run(spec.with_(ratio=1.0)).withColumnRenamed("g", "g_true"), "level")
 
 
-add("sampled_expected_vs_emitted", expected_vs_emitted)
+def expected_sql(w: W.Workload, spec: EstimatorSpec) -> str:
+    drawn = drawn_sql(w, spec)
+    share = "(CASE level " + " ".join(f"WHEN {k} THEN {spec.ratio_of(k) * comb(w.d, k)!r}" for k in range(spec.s, w.d + 1)) + " END * (SELECT n FROM nn))"
+    one = lambda known: drawn + solved_sql(w.d, spec.s, COUNTED, factor=repr(1 / spec.ratio**2), known=known)
+    return f"SELECT a.level, a.g AS g_emitted, b.g AS g_expected, c.g AS g_true FROM ({one('emitted')}) a JOIN ({one(share)}) b USING (level) JOIN ({profile_sql(w.sql(), w.d, spec.s)}) c USING (level)"
+
+
+add("sampled_expected_vs_emitted", expected_vs_emitted, expected_sql(ORDERS5, MD5.with_(ratio=0.5)))
 
 # ---- sketches -------------------------------------------------------------------------------
 
 
-def counter_sql(w: W.Workload, spec: EstimatorSpec, prefix: str = "") -> str:
-    """CTE ``k`` (level, row, bucket, counter) after those of :func:`drawn_sql`."""
-    parts = ["SELECT level, -1 AS row, 0 AS bucket, 1 AS sign FROM v"]
+def counter_sql(w: W.Workload | Source, spec: EstimatorSpec, p: str = "", more: str = "") -> str:
+    """CTE ``k`` (more.., level, row, bucket, counter) after those of :func:`drawn_sql`."""
+    parts = [f"SELECT {more}level, -1 AS row, 0 AS bucket, 1 AS sign FROM v{p}"]
     for r in range(spec.depth):
         b = hashing.tab4_sql(hashing.coefficients(spec.seed, r, "bucket"), "fp")
         s = hashing.tab4_sql(hashing.coefficients(spec.seed, r, "sign"), "fp")
-        parts.append(f"SELECT level, {r} AS row, CAST({b} % {spec.width} AS INT) AS bucket, CASE WHEN {s} & 1 = 1 THEN 1 ELSE -1 END AS sign FROM v")
-    return f"{drawn_sql(w, spec)}, k AS (SELECT level, row, bucket, CAST(sum(sign) AS BIGINT) AS counter FROM ({' UNION ALL '.join(parts)}) GROUP BY 1, 2, 3)"
+        parts.append(f"SELECT {more}level, {r} AS row, CAST({b} % {spec.width} AS INT) AS bucket, CASE WHEN {s} & 1 = 1 THEN 1 ELSE -1 END AS sign FROM v{p}")
+    return f"{drawn_sql(w, spec, p, more)}, k{p} AS (SELECT {more}level, row, bucket, CAST(sum(sign) AS BIGINT) AS counter FROM ({' UNION ALL '.join(parts)}) GROUP BY ALL)"
 
 
 def built(w: W.Workload, spec: EstimatorSpec, engine: str = "sql") -> Query:
@@ -259,8 +292,11 @@ add("sketch_moment_plain_orders5", lambda sp, sf: sketch.second_moment(built(ORD
 for _n in ("orders5", "events5"):
     _w = W.TABLES[_n]
     add(f"sketch_profile_{_n}", lambda sp, sf, w=_w: shaped(estimate.self_join_size(w.frame(sp, sf), w.cols, MD5, "sketch", "rid")), counter_sql(_w, MD5) + solved_sql(_w.d, 3, SKETCHED))
-add("sketch_profile_doc_shingles6", lambda sp, sf: estimate.self_join_size(W.shingle_frame(sp, sf, oracle=False), [f"a{i}" for i in range(1, 7)], EstimatorSpec(s=3, ratio=0.5), "sketch", "rid"))
-add("sketch_reliable_orders5", lambda sp, sf: estimate.sanity(estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "sketch", "rid"), 5, EstimatorSpec(s=3)))
+DOCS6, _c6 = Source(W.shingle_sql(), 6), [f"a{i}" for i in range(1, 7)]
+_half = MD5.with_(ratio=0.5)
+add("sketch_profile_doc_shingles6", lambda sp, sf: shaped(estimate.self_join_size(W.shingle_frame(sp, sf), _c6, _half, "sketch", "rid")), counter_sql(DOCS6, _half) + solved_sql(6, 3, SKETCHED, factor="4"))
+add("sketch_reliable_orders5", lambda sp, sf: longs(estimate.sanity(estimate.self_join_size(ORDERS5.frame(sp, sf), ORDERS5.cols, MD5, "sketch", "rid"), 5, MD5), "x").select(F.col("level").cast("long").alias("level"), "x", F.round("noise", 6).alias("noise"), "reliable"),
+    f"SELECT level, x, round(y * sqrt(2.0 / {MD5.width}), 6) AS noise, x >= 2 * y * sqrt(2.0 / {MD5.width}) AS reliable FROM ({counter_sql(ORDERS5, MD5) + solved_sql(5, 3, SKETCHED)})")
 
 
 def merged_by_year(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -311,8 +347,65 @@ add("join_profile_docs_benchmark", joined(W.shingle_frame, partial(W.shingle_fra
 _cust = W.Workload("customer2", "customer", "c_custkey", ("cast(c_nationkey as bigint)", "cast(floor(c_acctbal / 1000) as bigint)"))
 _supp = W.Workload("supplier2", "supplier", "s_suppkey", ("cast(s_nationkey as bigint)", "cast(floor(s_acctbal / 1000) as bigint)"))
 add("join_profile_customer_supplier", joined(_cust.frame, _supp.frame, 2), join_sql(_cust.sql(), _supp.sql(), 2))
-add("sketch_join_orders", joined(half(ORDERS5, _even), half(ORDERS5, _odd), 5, mode="sketch", spec=EstimatorSpec(s=3)))
-add("sketch_join_events", joined(half(_ev, "a1 % 2 = 0"), half(_ev, "a1 % 2 = 1"), 5, mode="sketch", spec=EstimatorSpec(s=3)))
+
+
+def join_solved_sql(d: int, s: int, levels: str, na: str, nb: str, factor: str = "1") -> str:
+    """The profile of a join from CTEs that end with ``levels`` (level, y)."""
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(d, s))
+    every = ", ".join(f"({k})" for k in range(s, d + 1))
+    return f""", l0(level) AS (VALUES {every}), lv AS (SELECT level, coalesce(y, 0) AS y FROM l0 LEFT JOIN ({levels}) USING (level)),
+cf(k, level, coef) AS (VALUES {coef}), xs AS (SELECT k AS level, sum(coef * y * {factor}) AS x FROM cf JOIN lv USING (level) GROUP BY k)
+SELECT CAST(level AS BIGINT) AS level, CAST(round(y) AS BIGINT) AS y, CAST(round(x) AS BIGINT) AS x, CAST(round(sum(x) OVER (ORDER BY level DESC)) AS BIGINT) AS pairs_at_least,
+  round(CAST(sum(x) OVER (ORDER BY level DESC) AS DOUBLE) / (CAST({na} AS DOUBLE) * {nb}), 9) AS selectivity FROM lv JOIN xs USING (level)"""
+
+
+PRODUCT = "SELECT level, median(f2) AS y FROM (SELECT level, row, CAST(coalesce(sum(l.counter * r.counter), 0) AS DOUBLE) AS f2 FROM (SELECT * FROM ka WHERE row >= 0) l LEFT JOIN kb r USING (level, row, bucket) GROUP BY 1, 2) GROUP BY level"
+
+
+def sketch_join_sql(a: Source, b: Source, spec: EstimatorSpec) -> str:
+    return f"{counter_sql(a, spec, 'a')}, {counter_sql(b, spec, 'b')[5:]}" + join_solved_sql(a.d, spec.s, PRODUCT, "(SELECT count(*) FROM ta)", "(SELECT count(*) FROM tb)")
+
+
+def parts_of(w: W.Workload, *wheres: str) -> tuple[Source, ...]:
+    return tuple(Source(f"SELECT * FROM ({w.sql()}) WHERE {x}", w.d) for x in wheres)
+
+
+_users = ("a1 % 2 = 0", "a1 % 2 = 1")
+add("sketch_join_orders", joined(half(ORDERS5, _even), half(ORDERS5, _odd), 5, mode="sketch", spec=MD5), sketch_join_sql(*parts_of(ORDERS5, _even, _odd), MD5))
+add("sketch_join_events", joined(half(_ev, _users[0]), half(_ev, _users[1]), 5, mode="sketch", spec=MD5), sketch_join_sql(*parts_of(_ev, *_users), MD5))
+
+
+def sampled_join_sql(a: Source, b: Source, sa: EstimatorSpec, sb: EstimatorSpec) -> str:
+    count = lambda p: f"(SELECT level, mask, fp, count(*) AS c FROM v{p} GROUP BY 1, 2, 3)"
+    levels = f"SELECT level, CAST(sum(l.c * r.c) AS DOUBLE) AS y FROM {count('a')} l JOIN {count('b')} r USING (level, mask, fp) GROUP BY level"
+    return f"{drawn_sql(a, sa, 'a')}, {drawn_sql(b, sb, 'b')[5:]}" + join_solved_sql(a.d, sa.s, levels, "(SELECT count(*) FROM ta)", "(SELECT count(*) FROM tb)", repr(1 / (sa.ratio * sb.ratio)))
+
+
+def sampled_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two relations drawn at unequal ratios."""
+    a, b = half(ORDERS5, _even)(spark, sf_dir), half(ORDERS5, _odd)(spark, sf_dir)
+    out = estimate.join_size(a, b, ORDERS5.cols, ORDERS5.cols, _half, "exact", "rid", "rid", ratio_b=0.75)
+    return longs(out, "y", "x", "pairs_at_least").select(F.col("level").cast("long").alias("level"), "y", "x", "pairs_at_least", F.round("selectivity", 9).alias("selectivity"))
+
+
+add("join_sampled_orders", sampled_join, sampled_join_sql(*parts_of(ORDERS5, _even, _odd), _half, _half.with_(ratio=0.75, seed=8)))
+
+
+def join_variance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bound of the variance of each level of a sketched join, from the self-join sizes of both sides."""
+    y = [{r["level"]: float(r["y"]) for r in moments.level_moments(subvalues.level_stream(half(ORDERS5, x)(spark, sf_dir), ORDERS5.cols, EstimatorSpec(s=3), "rid")).collect()} for x in (_even, _odd)]
+    var = bounds.variance_join({k: bounds.variance_inner_product(y[0][k], y[1][k], 1000) for k in y[0]}, 5, 3)
+    return spark.createDataFrame([(k, float(round(v))) for k, v in var.items()], "level int, variance double")
+
+
+def join_variance_sql() -> str:
+    a, b = (f"(WITH t AS ({x.sql()}) {level_sql(5, 3)})" for x in parts_of(ORDERS5, _even, _odd))
+    return f"""WITH y AS (SELECT level, 2 * CAST(a.y AS DOUBLE) * b.y / 1000 AS v FROM {a} a JOIN {b} b USING (level)),
+w AS (SELECT max(v) FILTER (level = 5) AS v5, max(v) FILTER (level = 4) + 25 * max(v) FILTER (level = 5) AS v4, max(v) FILTER (level = 3) AS y3 FROM y)
+SELECT unnest([5, 4, 3]) AS level, round(unnest([v5, v4, y3 + 16 * v4 + 100 * v5])) AS variance FROM w"""
+
+
+add("join_variance_orders", join_variance, join_variance_sql())
 add("half_sum_bound_orders", lambda sp, sf: baselines.half_sum_bound(half(ORDERS5, _even)(sp, sf), half(ORDERS5, _odd)(sp, sf), ORDERS5.cols, 4),
     f"""SELECT (a.g + b.g) / 2.0::DOUBLE AS bound, CAST(j.pairs_at_least AS DOUBLE) AS join_size FROM
     (SELECT g FROM ({profile_sql(f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_even}', 5, 4)}) WHERE level = 4) a, (SELECT g FROM ({profile_sql(f'SELECT * FROM ({ORDERS5.sql()}) WHERE {_odd}', 5, 4)}) WHERE level = 4) b,
@@ -321,8 +414,8 @@ add("half_sum_bound_orders", lambda sp, sf: baselines.half_sum_bound(half(ORDERS
 # ---- baselines ------------------------------------------------------------------------------
 
 
-def sampling_sql(w: W.Workload, s: int, size: int, seed: int = 7) -> str:
-    same = " + ".join(f"CAST(l.a{i} IS NOT DISTINCT FROM r.a{i} AS INT)" for i in range(1, w.d + 1))
+def sampling_sql(w: W.Workload, s: int, size: int | str, seed: int = 7, never: bool = False) -> str:
+    same = " + ".join(f"CAST(coalesce(l.a{i} = r.a{i}, false) AS INT)" if never else f"CAST(l.a{i} IS NOT DISTINCT FROM r.a{i} AS INT)" for i in range(1, w.d + 1))
     levels = ", ".join(f"({k})" for k in range(s, w.d + 1))
     return f"""WITH t AS ({w.sql()}), nn AS (SELECT count(*) AS n FROM t),
 sm AS (SELECT * FROM t ORDER BY ('0x' || substr(md5('p{seed}|' || CAST(rid AS VARCHAR)), 1, 15))::BIGINT, rid LIMIT {size}), ss AS (SELECT count(*) AS m FROM sm),
@@ -336,6 +429,13 @@ for _n, _e in (("orders5", "pairs"), ("events5", "pairs"), ("orders6", "lattice"
     add(f"pair_sampling_{_n}", lambda sp, sf, w=_w, e=_e: longs(baselines.pair_sampling(w.frame(sp, sf), w.cols, EstimatorSpec(s=3), "rid", size=1000, engine=e, oracle=True), "x", "g").withColumn("level", F.col("level").cast("long")), sampling_sql(_w, 3, 1000))
 
 
+for _e in ("pairs", "lattice"):
+    add(f"pair_sampling_nulls_never_{_e}", lambda sp, sf, e=_e: longs(baselines.pair_sampling(_nulls.frame(sp, sf), _nulls.cols, EstimatorSpec(s=1, null_policy="never"), "rid", size=500, engine=e, oracle=True), "x", "g").withColumn("level", F.col("level").cast("long")), sampling_sql(_nulls, 1, 500, never=True))
+_bytes = " + ".join(f"coalesce(octet_length(encode(CAST(a{i + 1} AS VARCHAR))), 0)" for i in range(5))
+add("pair_sampling_bytes_orders5", lambda sp, sf: longs(baselines.pair_sampling(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid", bytes=12_000, oracle=True), "x", "g").withColumn("level", F.col("level").cast("long")),
+    sampling_sql(ORDERS5, 3, f"(SELECT CAST(floor(12000 / avg({_bytes})) AS BIGINT) FROM t)"))
+
+
 def pattern_sql(w: W.Workload, s: int, support: int) -> str:
     parts = [f"SELECT {m.bit_count()} AS level, c FROM (SELECT count(*) AS c FROM t GROUP BY {', '.join(cols_of(w.d, m))}) WHERE c >= {support}" for m in lattice.masks(w.d, s)]
     levels = ", ".join(f"({k})" for k in range(s, w.d + 1))
@@ -348,37 +448,69 @@ def pattern_lattice_sql(w: W.Workload, s: int, support: int) -> str:
 
 
 def patterned(miner: str = "partition", overlap: str = "lattice", tail: str = "none", support: int = 4) -> Query:
-    return lambda sp, sf: baselines.signature_patterns(ORDERS5.frame(sp, sf), ORDERS5.cols, 3, support, miner, overlap, tail)
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = baselines.signature_patterns(ORDERS5.frame(spark, sf_dir), ORDERS5.cols, 3, support, miner, overlap, tail, "rid", oracle=True)
+        return out.select("level", "patterns", F.round("pair_sum", 3).alias("pair_sum"), F.round("x", 3).alias("x"))
+
+    return run
+
+
+def tail_sql(w: W.Workload, s: int, support: int) -> str:
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(w.d, s))
+    return pattern_sql(w, s, support) + f""", fq AS (SELECT level, c, count(*) AS m FROM f GROUP BY 1, 2),
+ln AS (SELECT level, regr_slope(ln(m), ln(c)) AS b, regr_intercept(ln(m), ln(c)) AS a FROM fq GROUP BY level HAVING count(*) > 1),
+tl AS (SELECT level, sum(exp(a + b * ln(f)) * f * (f - 1)) AS tail FROM ln, range(2, {support}) r(f) GROUP BY level),
+pt AS (SELECT level, patterns, pair_sum + coalesce(tail, 0) AS pair_sum FROM per LEFT JOIN tl USING (level)), cf(k, level, coef) AS (VALUES {coef})
+SELECT level, patterns, round(pair_sum, 3) AS pair_sum, round(x, 3) AS x FROM pt JOIN (SELECT k AS level, sum(coef * pair_sum) AS x FROM cf JOIN pt USING (level) GROUP BY k) USING (level)"""
+
+
+def mined_sql(w: W.Workload, s: int, frequent: Callable[[str], str]) -> str:
+    """Patterns of a miner: ``frequent`` makes (c) from the columns of a pattern."""
+    parts = [f"SELECT {m.bit_count()} AS level, c FROM ({frequent(', '.join(cols_of(w.d, m)))})" for m in lattice.masks(w.d, s)]
+    levels = ", ".join(f"({k})" for k in range(s, w.d + 1))
+    return f"""WITH t AS ({w.sql()}), q AS (SELECT *, {digest_sql("'part|' || CAST(rid AS VARCHAR)")} % 8 AS part, {digest_sql("'sample|' || CAST(rid AS VARCHAR)")} % 1000 AS draw FROM t),
+hd AS (SELECT part, count(*) AS held, (SELECT count(*) FROM t) AS n FROM q GROUP BY part), f AS ({' UNION ALL '.join(parts)}), lv(level) AS (VALUES {levels})
+SELECT lv.level, count(c) AS patterns, CAST(coalesce(sum(c * (c - 1)), 0) AS DOUBLE) AS pair_sum, CAST(coalesce(sum(c * (c - 1)), 0) AS DOUBLE) AS x FROM lv LEFT JOIN f USING (level) GROUP BY 1"""
 
 
 add("signature_patterns_orders5_none", patterned(overlap="none"), pattern_sql(ORDERS5, 3, 4) + " SELECT *, pair_sum AS x FROM per")
 add("signature_patterns_orders5_lattice", patterned(), pattern_lattice_sql(ORDERS5, 3, 4))
-add("signature_patterns_orders5_powerlaw", patterned(tail="powerlaw", support=6))
-add("signature_patterns_orders5_sample", patterned("sample", "none"))
-add("signature_patterns_orders5_lossy", patterned("lossy", "none"))
+add("signature_patterns_orders5_powerlaw", patterned(tail="powerlaw", support=6), tail_sql(ORDERS5, 3, 6))
+add("signature_patterns_orders5_sample", patterned("sample", "none"), mined_sql(ORDERS5, 3, lambda cols: f"SELECT count(*) AS c FROM q GROUP BY {cols} HAVING count(*) >= 4 AND count(*) FILTER (draw < 100) >= 1"))
+add("signature_patterns_orders5_lossy", patterned("lossy", "none"), mined_sql(ORDERS5, 3, lambda cols: f"SELECT CAST(sum(c) AS BIGINT) AS c FROM (SELECT {cols}, part, count(*) AS c FROM q GROUP BY ALL) JOIN hd USING (part) WHERE c * n > 2.0 * held GROUP BY {cols} HAVING sum(c) >= 2"))
+_bag = W.Workload("customer3_bag", "customer", "c_custkey", W.TABLES["customer3"].attrs)
+for _m in ("levelwise", "partition"):
+    add(f"signature_patterns_repeated_rows_{_m}", lambda sp, sf, m=_m: baselines.patterns(_bag.frame(sp, sf).drop("rid"), _bag.cols, 1, 3, m).groupBy("level").agg(F.count(F.lit(1)).alias("patterns"), F.sum("c").alias("matches")),
+        pattern_sql(_bag, 1, 3) + " SELECT level, count(*) AS patterns, CAST(sum(c) AS BIGINT) AS matches FROM f GROUP BY level")
 
 
 def levelwise(spark: SparkSession, sf_dir: str) -> DataFrame:
     f = ORDERS5.frame(spark, sf_dir)
-    return baselines.patterns(f, ORDERS5.cols, 3, 4, "levelwise").groupBy("level").agg(F.count(F.lit(1)).alias("patterns"), F.sum("c").alias("matches"))
+    return baselines.patterns(f, ORDERS5.cols, 3, 4, "levelwise", record_id="rid").groupBy("level").agg(F.count(F.lit(1)).alias("patterns"), F.sum("c").alias("matches"))
 
 
 add("signature_patterns_orders5_levelwise", levelwise, pattern_sql(ORDERS5, 3, 4) + " SELECT level, count(*) AS patterns, CAST(sum(c) AS BIGINT) AS matches FROM f GROUP BY level")
-add("patterns_intersect_except", lambda sp, sf: patterns_sets(sp, sf), None)
 
 
 def patterns_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Frequent patterns of two halves of orders: shared by both, and of the first only."""
-    a, b = (baselines.patterns(half(ORDERS5, w)(spark, sf_dir), ORDERS5.cols, 4, 3).select("mask", "fp") for w in (_even, _odd))
+    a, b = (baselines.patterns(half(ORDERS5, w)(spark, sf_dir), ORDERS5.cols, 4, 3, record_id="rid").select("mask", "fp") for w in (_even, _odd))
     tag = lambda df, name: df.groupBy("mask").agg(F.count(F.lit(1)).alias("patterns")).withColumn("part", F.lit(name))
     return tag(a.intersectAll(b), "shared").unionByName(tag(a.exceptAll(b), "first only"))
 
 
-def strata_sql(w: W.Workload) -> str:
-    import random
+def patterns_sets_sql() -> str:
+    side = lambda x: " UNION ALL ".join(f"SELECT {m} AS mask, {' || '.join(encoded_sql(c) for c in cols_of(5, m))} AS text FROM ({x.sql()}) GROUP BY ALL HAVING count(*) >= 3" for m in lattice.masks(5, 4))
+    a, b = parts_of(ORDERS5, _even, _odd)
+    return f"""WITH a AS ({side(a)}), b AS ({side(b)})
+SELECT mask, count(*) AS patterns, 'shared' AS part FROM (FROM a INTERSECT ALL FROM b) GROUP BY mask UNION ALL SELECT mask, count(*) AS patterns, 'first only' AS part FROM (FROM a EXCEPT ALL FROM b) GROUP BY mask"""
+
+
+add("patterns_intersect_except", patterns_sets, patterns_sets_sql())
 
-    chosen = sorted(random.Random(7).sample(range(1, w.d + 1), (w.d + 1) // 2))
-    cols = ", ".join(f"a{i}" for i in chosen)
+
+def strata_sql(w: W.Workload) -> str:
+    cols = ", ".join(f"a{i}" for i in baselines.chosen_columns(w.d, None, 7))
     return f"WITH t AS ({w.sql()}), b AS (SELECT count(*) AS b FROM t GROUP BY {cols}) SELECT count(*) AS buckets, CAST(sum(b) AS BIGINT) AS n, CAST(sum(b * (b - 1) // 2) AS BIGINT) AS pairs_high, CAST(sum(b) * (sum(b) - 1) // 2 - sum(b * (b - 1) // 2) AS BIGINT) AS pairs_low FROM b"
 
 
@@ -389,74 +521,192 @@ def bucket_strata(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 add("lsh_bucket_strata_orders5", bucket_strata, strata_sql(ORDERS5))
-add("lsh_strata_linear_orders5", lambda sp, sf: baselines.lsh_strata(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid"))
-add("lsh_strata_fraction_orders5", lambda sp, sf: baselines.lsh_strata(ORDERS5.frame(sp, sf), ORDERS5.cols, EstimatorSpec(s=3), "rid", policy="fraction", fraction=0.0005))
-add("lsh_strata_adaptive_orders6", lambda sp, sf: baselines.lsh_strata(W.TABLES["orders6"].frame(sp, sf), W.TABLES["orders6"].cols, EstimatorSpec(s=4), "rid", adaptive=True))
+
+
+def stratified(w: W.Workload, spec: EstimatorSpec, **kw) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = baselines.lsh_strata(w.frame(spark, sf_dir), w.cols, spec, "rid", oracle=True, **kw)
+        return longs(out, "x", "g").withColumn("level", F.col("level").cast("long"))
+
+    return run
+
+
+def stratified_sql(w: W.Workload, spec: EstimatorSpec, policy: str = "linear", fraction: float = 0.005, adaptive: bool = False) -> str:
+    bucket = "concat_ws('|', " + ", ".join(f"coalesce(CAST(a{i} AS VARCHAR), '~')" for i in baselines.chosen_columns(w.d, None, spec.seed)) + ")"
+    share = lambda c: "n" if policy == "linear" else f"greatest(1, CAST(round({fraction} * {c}) AS BIGINT))"
+    same = " + ".join(f"CAST(l.a{i} IS NOT DISTINCT FROM r.a{i} AS INT)" for i in range(1, w.d + 1))
+    levels = ", ".join(f"({k})" for k in range(spec.s, w.d + 1))
+    at = lambda what, total: f"{digest_sql(f"'{what}{spec.seed}|' || CAST(id AS VARCHAR)")} % {total}"
+    one = lambda what: f"SELECT id, bucket, at_ - start AS k FROM (SELECT id, {at(what, 'n')} AS at_ FROM il, tt) p ASOF JOIN st ON p.at_ >= st.start"
+    hits = lambda ends: f"SELECT {same} AS level, count(*) AS hits FROM ({ends}) e JOIN o l ON l.bucket = e.lb AND l.k = e.lk JOIN o r ON r.bucket = e.rb AND r.k = e.rk GROUP BY 1"
+    scale = f"CASE WHEN (SELECT coalesce(sum(hits), 0) FROM hl WHERE level >= {spec.s}) < greatest(1, ceil(log2(n))) THEN 1.0 ELSE low / (SELECT CAST(sum(hits) AS DOUBLE) FROM hl) END" if adaptive else "low / (SELECT CAST(sum(hits) AS DOUBLE) FROM hl)"
+    return f"""WITH t AS ({w.sql()}), kk AS (SELECT *, {digest_sql(bucket)} AS bucket, {digest_sql("'o|' || CAST(rid AS VARCHAR)")} AS h FROM t),
+o AS (SELECT *, row_number() OVER (PARTITION BY bucket ORDER BY h, rid) - 1 AS k FROM kk), sz AS (SELECT bucket, count(*) AS b FROM kk GROUP BY 1),
+st AS (SELECT bucket, b, b * (b - 1) // 2 AS pairs, CAST(sum(b) OVER w - b AS BIGINT) AS start, CAST(sum(b * (b - 1) // 2) OVER w - b * (b - 1) // 2 AS BIGINT) AS pair_start FROM sz WINDOW w AS (ORDER BY bucket ROWS UNBOUNDED PRECEDING)),
+t0 AS (SELECT CAST(sum(b) AS BIGINT) AS n, CAST(sum(pairs) AS BIGINT) AS high FROM st), tt AS (SELECT n, high, n * (n - 1) // 2 - high AS low FROM t0),
+ih AS (SELECT unnest(range({share('high')})) AS id FROM tt), il AS (SELECT unnest(range(CAST(ceil(CAST({share('low')} AS DOUBLE) * n * n / (2 * low)) AS BIGINT))) AS id FROM tt),
+p0 AS (SELECT bucket, at_ - pair_start AS o FROM (SELECT id, {at('h', 'high')} AS at_ FROM ih, tt) p ASOF JOIN (SELECT * FROM st WHERE pairs > 0) s ON p.at_ >= s.pair_start),
+p1 AS (SELECT bucket, o, CAST(floor((sqrt(8.0 * o + 1) + 1) / 2) AS BIGINT) AS a FROM p0), p2 AS (SELECT bucket, o, CASE WHEN a * (a - 1) // 2 > o THEN a - 1 WHEN a * (a + 1) // 2 <= o THEN a + 1 ELSE a END AS a FROM p1),
+hh AS ({hits("SELECT bucket AS lb, a AS lk, bucket AS rb, o - a * (a - 1) // 2 AS rk FROM p2")}),
+hl AS ({hits(f"SELECT x.bucket AS lb, x.k AS lk, y.bucket AS rb, y.k AS rk FROM ({one('l')}) x JOIN ({one('r')}) y USING (id) WHERE x.bucket <> y.bucket")}),
+al AS (SELECT level, 2.0 * hits * (high / (SELECT CAST(sum(hits) AS DOUBLE) FROM hh)) AS x FROM hh, tt UNION ALL SELECT level, 2.0 * hits * ({scale}) AS x FROM hl, tt),
+lv(level) AS (VALUES {levels}), xs AS (SELECT lv.level, coalesce(sum(x), 0) AS x FROM lv LEFT JOIN al USING (level) GROUP BY 1)
+SELECT CAST(level AS BIGINT) AS level, CAST(round(x) AS BIGINT) AS x, CAST(round(sum(x) OVER (ORDER BY level DESC) + n) AS BIGINT) AS g, n, high AS pairs_high, low AS pairs_low FROM xs, tt"""
+
+
+for _n, _w, _spec, _kw in (("linear_orders5", ORDERS5, EstimatorSpec(s=3), {}), ("fraction_orders5", ORDERS5, EstimatorSpec(s=3), {"policy": "fraction"}), ("adaptive_orders6", W.TABLES["orders6"], EstimatorSpec(s=4), {"adaptive": True})):
+    add(f"lsh_strata_{_n}", stratified(_w, _spec, **_kw), stratified_sql(_w, _spec, **_kw))
 
 
 def asof_lookup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """For drawn ordinals, the customer whose run of orders holds it: an as-of join on running totals."""
-    size = table(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("bucket")).agg(F.count(F.lit(1)).alias("b")).withColumn("pairs", F.lit(0).cast("long"))
-    starts = size.select("bucket", "b", (F.sum("b").over(Window.partitionBy(F.lit(0)).orderBy("bucket")) - F.col("b")).alias("start"))
-    return baselines.located(spark.range(0, 1000).select((F.col("id") * 13).alias("at")), starts, "start", "b").select("at", "bucket", "start")
+    """For a thousand ordinals spread over all orders, the customer whose run of orders holds it: an as-of join on running totals."""
+    orders = table(spark, sf_dir, "orders")
+    n = orders.count()
+    size = orders.groupBy(F.xxhash64("o_custkey").alias("bucket"), "o_custkey").agg(F.count(F.lit(1)).alias("b"))
+    size = size.select(F.col("o_custkey").alias("bucket"), "b", F.lit(0).cast("long").alias("pairs"), F.lit(0).alias("seed"))
+    starts = baselines.running(size, 1, 64)
+    asked = spark.range(0, 1000).select(F.lit(0).alias("seed"), F.floor(F.col("id") * n / 1000).cast("long").alias("at"))
+    return baselines.located(asked, starts, "start", "b").select("at", "bucket", "start")
 
 
-add("asof_bucket_lookup", asof_lookup, "WITH s AS (SELECT o_custkey AS bucket, count(*) AS b FROM orders GROUP BY 1), r AS (SELECT bucket, b, CAST(sum(b) OVER (ORDER BY bucket) - b AS BIGINT) AS start FROM s), q AS (SELECT unnest(range(1000)) * 13 AS at_) SELECT at_ AS \"at\", bucket, start FROM q JOIN r ON at_ >= start AND at_ < start + b")
+add("asof_bucket_lookup", asof_lookup, "WITH s AS (SELECT o_custkey AS bucket, count(*) AS b FROM orders GROUP BY 1), r AS (SELECT bucket, b, CAST(sum(b) OVER (ORDER BY bucket) - b AS BIGINT) AS start FROM s), q AS (SELECT unnest(range(1000)) * (SELECT count(*) FROM orders) // 1000 AS at_) SELECT at_ AS \"at\", bucket, start FROM q JOIN r ON at_ >= start AND at_ < start + b")
 
 # ---- measures -------------------------------------------------------------------------------
 
 
-def error_summary(frame: Callable, cols: list[str], spec: EstimatorSpec, seeds: range = range(1, 6), size: int = 1000) -> Query:
-    """Mean and spread of relative errors of the estimator and the baselines, on equal terms."""
+SEEDS = range(1, 31)
+
+
+def compared(frame: Callable[[SparkSession, str], DataFrame], d: int, spec: EstimatorSpec, methods: dict[str, Callable[[DataFrame, list[str]], DataFrame]]) -> Query:
+    """(method, level, runs, mean_error, std_error, mean_abs_error): relative errors of repeated estimates, made by each method from the records."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        f = frame(spark, sf_dir)
-        true = estimate.self_join_size(f, cols, spec.with_(ratio=1.0), "exact", "rid")
-        methods = {
-            "lattice exact": lambda k: estimate.self_join_size(f, cols, spec.with_(seed=k), "exact", "rid"),
-            "lattice sketch": lambda k: estimate.self_join_size(f, cols, spec.with_(seed=k), "sketch", "rid"),
-            "pair sampling": lambda k: baselines.pair_sampling(f, cols, spec.with_(seed=k), "rid", size=size, engine="lattice"),
-        }
-        out = None
+        f, cols, out = frame(spark, sf_dir), [f"a{i + 1}" for i in range(d)], None
+        true = estimate.self_join_size(f, cols, EstimatorSpec(s=spec.s), "exact", "rid")
         for name, one in methods.items():
-            runs = measures.repeat(lambda k, one=one: one(k).select("level", F.col("g").cast("double").alias("g")), seeds)
-            got = measures.summary(measures.relative_error(runs, true)).withColumn("method", F.lit(name))
+            got = measures.relative_error(one(f, cols).select("seed", "level", F.col("g").cast("double").alias("g")), true).withColumn("method", F.lit(name))
             out = got if out is None else out.unionByName(got)
-        return out
+        return measures.summary(out, "method")
 
     return run
 
 
-add("relative_error_summary", error_summary(ORDERS5.frame, ORDERS5.cols, EstimatorSpec(s=3, ratio=0.5), range(1, 4)))
-add("equal_space_orders6", error_summary(W.TABLES["orders6"].frame, W.TABLES["orders6"].cols, EstimatorSpec(s=4, ratio=0.5), range(1, 4)))
+def lattice_runs(spec: EstimatorSpec, mode: str, seeds: range = SEEDS) -> Callable:
+    return lambda f, cols: estimate.repeated(f, cols, spec, "rid", seeds, mode)
+
+
+def strata_runs(spec: EstimatorSpec, seeds: range = SEEDS, **kw) -> Callable:
+    return lambda f, cols: baselines.lsh_strata(f, cols, spec, "rid", seeds=seeds, **kw)
+
+
+def sampling_runs(spec: EstimatorSpec, seeds: range = SEEDS, **kw) -> Callable:
+    return lambda f, cols: baselines.pair_sampling(f, cols, spec, "rid", engine="lattice", seeds=seeds, **kw)
 
 
-def swept(settings: list[tuple[str, Callable[[SparkSession, str], DataFrame], int, EstimatorSpec]], seeds: range = range(1, 4)) -> Query:
+def shingles(features: int = 6, table: str = "documents", rid: str = "doc_id") -> Callable[[SparkSession, str], DataFrame]:
+    return partial(W.shingle_frame, table=table, rid=rid, features=features, oracle=False)
+
+
+_h3 = EstimatorSpec(s=3, ratio=0.5)
+add("relative_error_summary", compared(ORDERS5.frame, 5, _h3, {"lattice exact": lattice_runs(_h3, "exact"), "lattice sketch": lattice_runs(_h3, "sketch"), "pair sampling": sampling_runs(_h3, size=1000)}))
+# exact moments against LSH strata: 30 runs, half of the sub-values, as many pairs of each stratum as records
+for _n, _f, _d in (("orders5", ORDERS5.frame, 5), ("orders6", W.TABLES["orders6"].frame, 6), ("doc_shingles6", shingles(), 6)):
+    add(f"exact_vs_strata_{_n}", compared(_f, _d, _h3, {"lattice exact": lattice_runs(_h3, "exact"), "lsh strata": strata_runs(_h3)}))
+# the policy that draws a constant share of all pairs is quadratic: 10 runs
+add("exact_vs_strata_fraction_orders5", compared(ORDERS5.frame, 5, _h3, {"lattice exact": lattice_runs(_h3, "exact", range(1, 11)), "lsh strata": strata_runs(_h3, range(1, 11), policy="fraction")}))
+# sketches of s levels x 3 x 1000 counters of 4 bytes against a sample of as many bytes
+for _n, _f in (("orders6", W.TABLES["orders6"].frame), ("doc_shingles6", shingles())):
+    add(f"equal_space_{_n}", compared(_f, 6, _h3, {"lattice sketch": lattice_runs(_h3, "sketch"), "pair sampling": sampling_runs(_h3, bytes=bounds.sketch_bytes(6, 3, 1000, 3))}))
+
+
+def swept(settings: list[tuple[str, Callable[[SparkSession, str], DataFrame], int, EstimatorSpec]], seeds: range = SEEDS) -> Query:
     """Spread of the sketch's error as one parameter moves."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         out = None
         for name, frame, d, spec in settings:
-            cols, f = [f"a{i + 1}" for i in range(d)], frame(spark, sf_dir)
-            true = estimate.self_join_size(f, cols, spec.with_(ratio=1.0), "exact", "rid")
-            runs = measures.repeat(lambda k, f=f, cols=cols, spec=spec: estimate.self_join_size(f, cols, spec.with_(seed=k), "sketch", "rid").select("level", F.col("g").cast("double").alias("g")), seeds)
-            got = measures.summary(measures.relative_error(runs, true)).withColumn("setting", F.lit(name))
+            got = compared(frame, d, spec, {name: lattice_runs(spec, "sketch", seeds)})(spark, sf_dir).withColumnRenamed("method", "setting")
             out = got if out is None else out.unionByName(got)
         return out
 
     return run
 
 
-add("ablation_ratio_orders5", swept([(f"r={r}", ORDERS5.frame, 5, EstimatorSpec(s=4, ratio=r)) for r in (0.25, 0.5, 0.75, 1.0)]))
+def resized(frame: Callable, times: float) -> Callable:
+    """The table ``times`` over, or half of it by a hash of its key."""
+    return (lambda sp, sf: frame(sp, sf).where(F.pmod(F.xxhash64("rid"), F.lit(2)) == 0)) if times < 1 else (lambda sp, sf: W.duplicated(frame(sp, sf), int(times)))
+
+
+add("ablation_ratio_shingles", swept([(f"r={r}", shingles(), 6, EstimatorSpec(s=1, ratio=r)) for r in (0.25, 0.5, 0.75, 1.0)]))
+add("ablation_ratio_orders5", swept([(f"r={r}", ORDERS5.frame, 5, EstimatorSpec(s=1, ratio=r)) for r in (0.25, 0.5, 0.75, 1.0)]))
+add("ablation_dimension_shingles", swept([(f"d={d}", shingles(d), d, EstimatorSpec(s=d - 2, ratio=0.5)) for d in (4, 5, 6, 7, 8)]))
 add("ablation_dimension_embed", swept([(f"d={d}", W.TABLES["embed8"].frame, d, EstimatorSpec(s=d - 1, ratio=0.5)) for d in (4, 6, 8)]))
-add("ablation_size_dup", swept([(f"x{x}", lambda sp, sf, x=x: W.duplicated(ORDERS5.frame(sp, sf), x), 5, EstimatorSpec(s=4, ratio=0.5)) for x in (1, 2, 4)]))
+for _n, _f, _d in (("shingles", shingles(), 6), ("orders5", ORDERS5.frame, 5)):
+    add("ablation_size_" + ("dup" if _n == "orders5" else _n), swept([(f"x{x:g}", resized(_f, x), _d, EstimatorSpec(s=3, ratio=0.5)) for x in (0.5, 1, 2, 4, 8)]))
+
+
+def materialized(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes that several passes keep on disk, by threshold: level streams against buckets."""
+    return measures.materialization(ORDERS5.frame(spark, sf_dir), ORDERS5.cols, EstimatorSpec(s=1, ratio=0.5), "rid", shared_path(spark, "levels"))
+
+
+add("materialization_orders5", materialized)
+
+
+def method_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(method, passes, summarize_s, calculate_s): what reads the data and what comes after."""
+    f, spec, folder = ORDERS5.frame(spark, sf_dir), EstimatorSpec(s=3), shared_path(spark, "costs")
+    n = f.count()
+    _, built_s = measures.timed(lambda: sketch.save(sketch.build(subvalues.level_stream(f, ORDERS5.cols, spec, "rid", True), spec), f"{folder}/sketch"))
+    _, solved_s = measures.timed(lambda: estimate.from_sketch(sketch.load(spark, f"{folder}/sketch"), 5, spec).collect())
+    base = records.canonicalized(f, ORDERS5.cols, "rid")
+    _, drawn_s = measures.timed(lambda: baselines.least(base, 1000, [7], False).write.parquet(f"{folder}/sample"))
+    held = spark.read.parquet(f"{folder}/sample")
+    _, pairs_s = measures.timed(lambda: baselines.all_pairs(held, ORDERS5.cols, "rid").collect())
+    _, strata_s = measures.timed(lambda: baselines.lsh_strata(f, ORDERS5.cols, spec, "rid", sizes=(n, n)).collect())
+    _, pattern_s = measures.timed(lambda: baselines.signature_patterns(f, ORDERS5.cols, 3, 4, record_id="rid").collect())
+    measures.deleted(spark, folder)
+    rows = [("lattice", built_s, solved_s), ("pair_sampling", drawn_s, pairs_s), ("lsh_strata", strata_s, 0.0), ("signature_partition", pattern_s, 0.0)]
+    return spark.createDataFrame([(m, bounds.PASSES[m], a, b) for m, a, b in rows], "method string, passes int, summarize_s double, calculate_s double")
+
+
+add("method_costs_orders5", method_costs)
+
+
+def matching(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The least sample that reaches the spread of the sketch, and its exponent of n, on the skewed generated set."""
+    g, spec = W.generated_pairs(spark, sf_dir, *W.GENERATED["pairs_20_80"]), EstimatorSpec(s=4)
+    target = compared(lambda *_: g, 5, spec, {"sketch": lattice_runs(spec, "sketch", range(1, 11))})(spark, sf_dir).where("level = 4").first()["std_error"]
+    n = g.count()
+    size, exponent = measures.matching_sample(g, ORDERS5.cols, spec, "rid", target, range(1, 6), [max(2, n * k // 8) for k in (1, 2, 4, 6, 8)])
+    return spark.createDataFrame([(n, float(target), size, float(exponent))], "n long, target_std double, size long, exponent double")
+
+
+add("matching_sample_pairs_20_80", matching)
+add("choose_attributes_orders5", lambda sp, sf: sp.createDataFrame([(i, a) for i, a in enumerate(choose_attributes(ORDERS5.frame(sp, sf), ORDERS5.cols, 3))], "place long, attribute string"),
+    f"WITH t AS ({ORDERS5.sql()}), c AS ({' UNION ALL '.join(f"SELECT 'a{i + 1}' AS a, count(DISTINCT a{i + 1}) AS n FROM t" for i in range(5))}), k AS (SELECT a FROM c ORDER BY n DESC, a LIMIT 3) SELECT row_number() OVER (ORDER BY a) - 1 AS place, a AS attribute FROM k")
+add("ratio_for_budget", lambda sp, sf: sp.createDataFrame([(d, k, r) for d in (6, 8, 10) for k, r in bounds.ratio_for_budget(d, 2, 20).items()], "d int, level int, ratio double"),
+    "SELECT CAST(d AS INT) AS d, CAST(k AS INT) AS level, least(1.0, 20 / (gamma(d + 1) / (gamma(k + 1) * gamma(d - k + 1)))) AS ratio FROM (VALUES (6), (8), (10)) a(d), range(2, 11) b(k) WHERE k <= d")
+add("sample_sizes", lambda sp, sf: sp.createDataFrame([(n, bounds.min_sample_size(n), bounds.sample_exponent(n, 2), bounds.sample_exponent(n, 3)) for n in (10**3, 10**4, 10**5, 10**6)], "n long, least long, p2 long, p3 long"),
+    "SELECT n, CAST(ceil(sqrt(n)) AS BIGINT) AS least, CAST(round(pow(n, 2 / 3)) AS BIGINT) AS p2, CAST(round(pow(n, 3 / 4)) AS BIGINT) AS p3 FROM (VALUES (1000::BIGINT), (10000), (100000), (1000000)) v(n)")
+
+
+def advised(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether to run a similarity join over the documents, from the estimated size."""
+    rows = [r.asDict() for r in estimate.self_join_size(shingles()(spark, sf_dir), _c6, EstimatorSpec(s=4), "sketch", "rid").collect()]
+    return spark.createDataFrame([(bounds.advise(rows, rows[0]["n"]),)], "advice string")
+
+
+add("dedup_advice_docs", advised)
 add("bound_grid_exact", lambda sp, sf: bounds.grid(sp).select(F.col("d").cast("long").alias("d"), F.col("s").cast("long").alias("s"), F.round("exact").cast("long").alias("bound")),
     "WITH RECURSIVE f(n, v) AS (SELECT 0, 1::HUGEINT UNION ALL SELECT n + 1, v * (n + 1) FROM f WHERE n < 20), g AS (SELECT d, s FROM range(3, 11) a(d), range(1, 11) b(s) WHERE s <= d) SELECT d, s, CAST(((SELECT v FROM f WHERE n = d) // ((SELECT v FROM f WHERE n = s) * (SELECT v FROM f WHERE n = d - s))) ** 2 * ((SELECT v FROM f WHERE n = 2 * (d - s)) // ((SELECT v FROM f WHERE n = d - s) ** 2)) AS BIGINT) AS bound FROM g")
-add("bound_grid_sketch", lambda sp, sf: bounds.grid(sp))
-add("asymptotic_grid", lambda sp, sf: bounds.asymptotic_grid(sp).select("n", "p", "s", "lattice"),
-    "SELECT n, p, 6 - p AS s, CAST(n * CASE p WHEN 2 THEN 6 ELSE 16 END AS DOUBLE) AS lattice FROM (VALUES (10000), (100000), (1000000), (10000000)) a(n), (VALUES (2), (3)) b(p)")
-add("space_table", lambda sp, sf: measures.space_table(ORDERS5.frame(sp, sf), ORDERS5.cols, 3).select("d", "s", "bytes4", "bytes8"),
-    "SELECT 5 AS d, s, (6 - s) * 3000 * 4 AS bytes4, (6 - s) * 3000 * 8 AS bytes8 FROM (VALUES (3), (4), (5)) v(s)")
+_spread = "pow(round(gamma(d + 1) / (gamma(s + 1) * gamma(d - s + 1))), 2) * round(gamma(2 * (d - s) + 1) / pow(gamma(d - s + 1), 2))"
+add("bound_grid_sketch", lambda sp, sf: bounds.grid(sp).select("d", "s", F.round("exact", 3).alias("exact"), F.round("sketch", 3).alias("sketch"), F.round("sketch_tenth", 3).alias("sketch_tenth")),
+    f"SELECT CAST(d AS INT) AS d, CAST(s AS INT) AS s, round(v, 3) AS exact, round(v * 1.004, 3) AS sketch, round(v * 10.04, 3) AS sketch_tenth FROM (SELECT d, s, {_spread} AS v FROM range(3, 11) a(d), range(1, 11) b(s) WHERE s <= d)")
+add("asymptotic_grid", lambda sp, sf: bounds.asymptotic_grid(sp).select("n", "p", "s", "lattice", F.round("sampling").alias("sampling")),
+    "SELECT n, p, 6 - p AS s, CAST(n * CASE p WHEN 2 THEN 6 ELSE 16 END AS DOUBLE) AS lattice, round(pow(n, 2 * p / (p + 1))) AS sampling FROM (VALUES (10000), (100000), (1000000), (10000000)) a(n), (VALUES (2), (3)) b(p)")
+add("space_table", lambda sp, sf: measures.space_table(ORDERS5.frame(sp, sf), ORDERS5.cols, 3),
+    f"SELECT 5 AS d, s, (6 - s) * 3000 * 4 AS bytes4, (6 - s) * 3000 * 8 AS bytes8, CAST(floor((6 - s) * 12000 / (SELECT avg({_bytes}) FROM ({ORDERS5.sql()}))) AS BIGINT) AS equal_sample FROM (VALUES (3), (4), (5)) v(s)")
 add("subvalues_per_record", lambda sp, sf: sp.createDataFrame([(d, s, sub_values(d, s)) for d in range(3, 11) for s in range(1, d + 1)], "d int, s int, sub_values long"),
     "WITH m AS (SELECT d, x FROM range(3, 11) a(d), range(1, 1024) b(x) WHERE x < (1 << d)), c AS (SELECT d, bit_count(CAST(x AS BIGINT)) AS k FROM m) SELECT CAST(c.d AS INT) AS d, CAST(s AS INT) AS s, count(*) AS sub_values FROM c, range(1, 11) t(s) WHERE s <= c.d AND k >= s GROUP BY 1, 2")
 add("plan_sketch_size", lambda sp, sf: sp.createDataFrame([(d, d - 1, *bounds.size_sketch(0.1, 0.05, d, d - 1)) for d in range(3, 9)], "d int, s int, width long, depth int"),
@@ -472,7 +722,7 @@ def counterexample_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-add("half_sum_counterexamples", counterexample_rows)
+add("half_sum_counterexamples", counterexample_rows, "SELECT CAST(bound AS DOUBLE) AS bound, CAST(join_size AS DOUBLE) AS join_size FROM (VALUES (1.5, 2), (2, 3)) v(bound, join_size)")
 
 # ---- labels and shingles --------------------------------------------------------------------
 
@@ -507,27 +757,28 @@ def event_attrs(df: DataFrame) -> DataFrame:
     return df.selectExpr("event_id AS rid", "ts", *[f"{e} AS a{i + 1}" for i, e in enumerate(W.EVENTS)])
 
 
-def checkpoint_dir(spark: SparkSession) -> str:
+def shared_path(spark: SparkSession, what: str) -> str:
+    """A new folder below the one the cluster shares; only on one machine may that be unset."""
     shared = spark.conf.get("spark.checkpoint.dir", None)
-    if shared:
-        import uuid
-
-        return f"{shared}/stream-{uuid.uuid4().hex}"
-    return tempfile.mkdtemp(prefix="stream-")
+    if not shared and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+    return f"{shared}/{what}-{uuid.uuid4().hex}" if shared else tempfile.mkdtemp(prefix=f"{what}-")
 
 
 def drained(spark: SparkSession, df: DataFrame, mode: str) -> DataFrame:
-    """The final table of a query that reads what is there and stops; the state's rows, bounded by keys times counters."""
-    held: dict[str, list] = {}
+    """The final table of a query that reads what is there and stops, written to the shared folder batch by batch."""
+    folder, last = shared_path(spark, "stream"), {}
 
-    def keep(batch: DataFrame, _: int) -> None:
-        rows = batch.collect()
-        held["rows"] = rows if mode == "complete" else held.get("rows", []) + rows
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={number}")
+        last["number"] = number
 
-    schema = df.schema
-    q = df.writeStream.outputMode(mode).option("checkpointLocation", checkpoint_dir(spark)).foreachBatch(keep).trigger(availableNow=True).start()
+    q = df.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/state").foreachBatch(keep).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.createDataFrame(held.get("rows", []), schema)
+    if not last:
+        return spark.createDataFrame([], df.schema)
+    out = spark.read.schema(df.schema)
+    return out.parquet(f"{folder}/out/batch={last['number']}") if mode == "complete" else out.option("recursiveFileLookup", True).parquet(f"{folder}/out")
 
 
 _a5 = [f"a{i}" for i in range(1, 6)]
@@ -540,24 +791,73 @@ def stream_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 add("stream_profile_events", lambda sp, sf: shaped(estimate.from_sketch(stream_counters(sp, sf), 5, _small)), counter_sql(_ev, _small) + solved_sql(5, 4, SKETCHED))
 
+_bern = _small.with_(ratio=0.5, sampler="bernoulli")
+add("stream_bernoulli_events", lambda sp, sf: shaped(estimate.from_sketch(drained(sp, stream_profile.sketch_stream(event_attrs(events_stream(sp, sf)), _a5, _bern, "rid"), "complete"), 5, _bern)), counter_sql(_ev, _bern) + solved_sql(5, 4, SKETCHED, factor="4"))
 
-def stream_daily(spark: SparkSession, sf_dir: str) -> DataFrame:
-    s = stream_profile.tumbling(event_attrs(events_stream(spark, sf_dir)), ["a1", "a3", "a4", "a5"], MD5.with_(s=4, width=16, depth=1), "rid", "ts", "1 day")
-    got = drained(spark, s, "complete")
-    return got.where("row = -1").groupBy(F.to_date("k0.start").alias("day")).agg(F.sum(F.when(F.col("level") == 0, F.col("counter"))).alias("n"), F.sum(F.when(F.col("level") == 4, F.col("counter"))).alias("emitted"))
+
+def file_stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
+    return spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").load(sf_dir)
+
+
+_never3 = MD5.with_(s=1, width=300, null_policy="never")
+
+
+def stream_nulls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = file_stream(spark, sf_dir, "orders").selectExpr("o_orderkey AS rid", *[f"{e} AS a{i + 1}" for i, e in enumerate(_nulls.attrs)])
+    return shaped(estimate.from_sketch(drained(spark, stream_profile.sketch_stream(rows, _nulls.cols, _never3, "rid"), "complete"), 3, _never3))
+
+
+add("stream_profile_nulls_never", stream_nulls, counter_sql(_nulls, _never3) + solved_sql(3, 1, SKETCHED))
+_drip = MD5.with_(s=5, width=200)
+
+
+def stream_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate pairs of a stream of documents, by super-shingles."""
+    rows = W.shingled(file_stream(spark, sf_dir, "documents").selectExpr("doc_id AS rid", "text"))
+    return shaped(estimate.from_sketch(drained(spark, stream_profile.sketch_stream(rows, _c6, _drip, "rid"), "complete"), 6, _drip))
+
+
+add("stream_profile_docs", stream_docs, counter_sql(DOCS6, _drip) + solved_sql(6, 5, SKETCHED))
 
 
-add("stream_tumbling_daily", stream_daily, "SELECT CAST(ts AS DATE) AS day, count(*) AS n, count(*) AS emitted FROM events GROUP BY 1")
+_win = MD5.with_(s=3, width=100)
+_four = ["a1", "a3", "a4", "a5"]
+
+
+def daily_panes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return drained(spark, stream_profile.tumbling(event_attrs(events_stream(spark, sf_dir)), _four, _win, "rid", "ts", "1 day"), "complete")
+
+
+def by_day(prof: DataFrame) -> DataFrame:
+    return longs(prof, "y", "emitted", "n", "x", "pairs_at_least", "g").select("day", F.col("level").cast("long").alias("level"), "y", "emitted", "n", "x", "pairs_at_least", "g")
+
+
+def stream_daily(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A profile for each day."""
+    return by_day(estimate.from_sketches(daily_panes(spark, sf_dir).withColumn("day", F.to_date("k0.start")), ["day"], 4, _win))
 
 
 def stream_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Three-day windows each day, added up from daily panes."""
-    s = stream_profile.tumbling(event_attrs(events_stream(spark, sf_dir)), ["a1", "a3", "a4", "a5"], MD5.with_(s=4, width=16, depth=1), "rid", "ts", "1 day")
-    got = stream_profile.sliding_from_panes(drained(spark, s, "complete"), 3, 86400)
-    return got.where("row = -1 and level = 0").select(F.to_date("start").alias("day"), F.col("counter").alias("n"))
+    """A profile for three days from each day on, added up from daily panes."""
+    got = stream_profile.sliding_from_panes(daily_panes(spark, sf_dir), 3, 86400)
+    return by_day(estimate.from_sketches(got.withColumn("day", F.to_date("start")), ["day"], 4, _win))
 
 
-add("stream_sliding_3d", stream_sliding, "SELECT day, CAST(sum(n) AS BIGINT) AS n FROM (SELECT CAST(CAST(ts AS DATE) - CAST(b AS INT) AS DATE) AS day, count(*) AS n FROM events, range(3) t(b) GROUP BY 1) GROUP BY 1")
+def windows_sql(days: int) -> str:
+    rows = f"SELECT event_id AS rid, {', '.join(f'{W.EVENTS_DUCK[int(a[1]) - 1]} AS a{i + 1}' for i, a in enumerate(_four))}, CAST(ts AS DATE) AS day FROM events"
+    coef = ", ".join(f"({k}, {j}, {c})" for k, j, c in lattice.inversion_matrix(4, 3))
+    return f"""{counter_sql(Source(rows, 4), _win, more="day, ")}, kd AS (SELECT CAST(day - CAST(b AS INT) AS DATE) AS day, level, row, bucket, sum(counter) AS counter FROM k, range({days}) r(b) GROUP BY ALL),
+nn AS (SELECT CAST(day - CAST(b AS INT) AS DATE) AS day, count(*) AS n FROM t, range({days}) r(b) GROUP BY 1),
+mm AS (SELECT day, level, median(f2) AS y FROM (SELECT day, level, row, CAST(sum(counter * counter) AS DOUBLE) AS f2 FROM kd WHERE row >= 0 GROUP BY 1, 2, 3) GROUP BY 1, 2),
+lv AS (SELECT day, level, y, emitted, n FROM mm JOIN (SELECT day, level, counter AS emitted FROM kd WHERE row = -1) USING (day, level) JOIN nn USING (day)),
+cf(k, level, coef) AS (VALUES {coef}), xs AS (SELECT day, k AS level, sum(coef * (y - emitted)) AS x FROM cf JOIN lv USING (level) GROUP BY 1, 2),
+pr AS (SELECT *, sum(x) OVER (PARTITION BY day ORDER BY level DESC) AS p FROM lv JOIN xs USING (day, level))
+SELECT day, CAST(level AS BIGINT) AS level, CAST(round(y) AS BIGINT) AS y, CAST(emitted AS BIGINT) AS emitted, n, CAST(round(x) AS BIGINT) AS x, CAST(round(p) AS BIGINT) AS pairs_at_least, CAST(round(p + n) AS BIGINT) AS g FROM pr"""
+
+
+add("stream_tumbling_daily", stream_daily, windows_sql(1))
+add("stream_sliding_3d", stream_sliding, windows_sql(3))
 
 
 def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -568,15 +868,28 @@ def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
 add("stream_sessions", stream_sessions, "SELECT user_id, CAST(sum(new) AS BIGINT) AS sessions, count(*) AS events FROM (SELECT user_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS new FROM events) GROUP BY 1")
 
 
+def sessions_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The profile over sessions: type of the first event, number of events, day."""
+    got = drained(spark, stream_profile.sessions(events_stream(spark, sf_dir), "user_id", "ts", "1 hour"), "complete")
+    rows = got.select(F.xxhash64("user_id", "start").alias("rid"), F.col("first_type").alias("a1"), F.col("n_events").alias("a2"), F.col("day").alias("a3"))
+    return shaped(estimate.self_join_size(rows, ["a1", "a2", "a3"], EstimatorSpec(s=1), "exact", "rid"))
+
+
+_sess = """SELECT 0 AS rid, first(event_type ORDER BY ts, event_type) AS a1, count(*) AS a2, CAST(min(ts) AS DATE) AS a3 FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS nr FROM
+(SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, nr"""
+add("stream_sessions_profile", sessions_profile, profile_sql(_sess, 3))
+
+
 def stream_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Join size of two streams from their two sketches; no rows are joined."""
     e = event_attrs(events_stream(spark, sf_dir))
     sides = [drained(spark, stream_profile.sketch_stream(e.where(f"a1 % 2 = {k}"), _a5, _small, "rid"), "complete") for k in (0, 1)]
     sizes = [sketch.level_sizes(x).where("level = 0").select(F.col("emitted").alias("n")) for x in sides]
-    return estimate.join_profile(sketch.inner_product(*sides, _small), 5, _small, *sizes)
+    out = longs(estimate.join_profile(sketch.inner_product(*sides, _small), 5, _small, *sizes), "y", "x", "pairs_at_least")
+    return out.select(F.col("level").cast("long").alias("level"), "y", "x", "pairs_at_least", F.round("selectivity", 9).alias("selectivity"))
 
 
-add("stream_join_events", stream_join)
+add("stream_join_events", stream_join, sketch_join_sql(*parts_of(_ev, *_users), _small))
 
 
 def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:

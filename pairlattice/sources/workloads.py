@@ -79,7 +79,11 @@ TABLES = {
 
 def shingle_frame(spark: SparkSession, sf_dir: str, table: str = "documents", rid: str = "doc_id", features: int = 6, q: int = 1, m: int = 1, oracle: bool = True) -> DataFrame:
     """(rid, a1..): super-shingle vectors of a table's texts."""
-    df = spark.read.parquet(f"{sf_dir}/{table}.parquet").selectExpr(f"{rid} AS rid", "text")
+    return shingled(spark.read.parquet(f"{sf_dir}/{table}.parquet").selectExpr(f"{rid} AS rid", "text"), features, q, m, oracle)
+
+
+def shingled(df: DataFrame, features: int = 6, q: int = 1, m: int = 1, oracle: bool = True) -> DataFrame:
+    """(rid, a1..) from (rid, text), of a table or a stream."""
     df = df.withColumn("_s", shingle_set(F.col("text"), q))
     return df.select("rid", *[c.alias(f"a{i + 1}") for i, c in enumerate(super_shingles(F.col("_s"), features, m, oracle))])
 

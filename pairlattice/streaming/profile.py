@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Sequence
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pairlattice.operators import sketch, subvalues
@@ -21,23 +21,11 @@ def sketch_stream(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, reco
     names = [f"k{i}" for i in range(len(by))]
     more = ["_w"] if weight else []
     keyed = df.select(record_id, *attrs, *[c.alias(n) for c, n in zip(by, names)], *([F.col(weight).alias("_w")] if weight else []))
-    up = sketch.updates(carried(keyed, attrs, spec, record_id, [*names, *more]), spec, [*names, *more])
+    up = sketch.updates(subvalues.level_stream(keyed, attrs, spec, record_id, True, [*names, *more]), spec, [*names, *more])
     signed = F.col("sign") * F.col("_w") if weight else F.col("sign")
     return up.groupBy(*names, "level", "row", "bucket").agg(F.sum(signed).alias("counter"))
 
 
-def carried(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, record_id: str, keep: Sequence[str]) -> DataFrame:
-    """A level stream that keeps further columns of its record."""
-    d = len(attrs)
-    spec.check(d)
-    base = df.select(F.col(record_id).alias("rid"), *[F.col(a).alias(f"a{i + 1}") for i, a in enumerate(attrs)], *keep)
-    if spec.null_policy != "equal":
-        base = base.dropna(subset=[f"a{i + 1}" for i in range(d)])
-    base = base.withColumn("_masks", F.concat(F.array(F.lit(0)), subvalues.drawn_masks(d, spec, F.col("rid"))))
-    out = base.select(*keep, *[c.alias(f"c{i + 1}") for i, c in enumerate(subvalues.cells(base, d, spec))], F.explode("_masks").alias("mask"))
-    return out.select(*keep, F.bit_count("mask").cast("int").alias("level"), subvalues.fingerprint(F.col("mask"), d, spec).alias("fp"))
-
-
 def event_time(df: DataFrame, ts: str, lateness: str) -> DataFrame:
     """``df`` with a watermark; a time without zone becomes a timestamp of the session's zone first."""
     kind = dict(df.dtypes)[ts]
@@ -74,16 +62,26 @@ def start_profile(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, reco
     return writer.trigger(**(trigger or {"availableNow": True})).start()
 
 
-def sample_stream(df: DataFrame, size: int, seed: int, record_id: str, store: dict, checkpoint: str):
-    """Pair-sampling baseline on a stream: each micro-batch merges its records of least hash into the sample kept in ``store``."""
-    h = F.xxhash64(F.lit(seed), F.col(record_id))
+def sample_stream(df: DataFrame, size: int, seed: int, record_id: str, store: str, checkpoint: str):
+    """Pair-sampling baseline on a stream: each micro-batch merges its records of least hash into the sample kept under ``store``.
 
-    def merge(batch: DataFrame, _: int) -> None:
-        new = batch.withColumn("_h", h).orderBy("_h", record_id).limit(size).toPandas()
-        import pandas as pd
+    A batch reads what the one before wrote and writes its own folder, so a restart goes on from there
+    and a batch that runs again counts once.  :func:`stored_sample` reads the result.
+    """
+    h = F.xxhash64(F.lit(seed), F.col(record_id))
 
-        both = pd.concat([store["sample"], new]) if "sample" in store else new
-        store["sample"] = both.drop_duplicates(record_id).nsmallest(size, "_h")
-        store["n"] = store.get("n", 0) + batch.count()
+    def merge(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        rows, n = batch.withColumn("_h", h), batch.agg(F.count(F.lit(1)).alias("n"))
+        if number:
+            before = spark.read.schema(rows.schema).parquet(f"{store}/{number - 1}/sample")
+            rows, n = rows.unionByName(before), n.unionByName(spark.read.schema("n long").parquet(f"{store}/{number - 1}/n"))
+        rows.orderBy("_h", record_id).limit(size).write.mode("overwrite").parquet(f"{store}/{number}/sample")
+        n.agg(F.sum("n").alias("n")).write.mode("overwrite").parquet(f"{store}/{number}/n")
 
     return df.writeStream.foreachBatch(merge).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def stored_sample(spark: SparkSession, store: str, number: int) -> tuple[DataFrame, int]:
+    """The sample after micro-batch ``number`` and the records seen until then."""
+    return spark.read.parquet(f"{store}/{number}/sample").drop("_h"), spark.read.parquet(f"{store}/{number}/n").first()[0]
