@@ -10,7 +10,7 @@ Because the average and the last layer are linear, a word adds the same amount t
 it stands; scoring keeps one number and one hash per word.
 
 Defined results: a null or word-less text gets the score of the bias alone; several labels of one
-document count as separate rows; null labels are not learned; without labels of both kinds every
+document count as separate rows; null labels and those of a null id are not learned; without labels of both kinds every
 score is the share of ones (0.5 if there are none); repeated rows each get a row; further columns
 are ignored.
 """
@@ -173,7 +173,8 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings | None = None) ->
     """Fit on (doc_id, text) and (doc_id, quality).
 
     The sample is fixed by the hash of the id; its texts meet in one task, whose memory is bounded by
-    ``most_rows`` bags of features; the driver receives the weights only.
+    ``most_rows`` bags of features; the table is scanned and joined in parallel before.  The driver
+    receives the weights only.
     """
     settings = settings or Settings()
     rows = labels.where("quality is not null and doc_id is not null").select("doc_id", F.col("quality").cast("int").alias("quality"))
@@ -185,7 +186,7 @@ def fit(docs: DataFrame, labels: DataFrame, settings: Settings | None = None) ->
         m = train([r[1] for r in got], [int(r[2] == 1) for r in got], settings)
         yield pa.RecordBatch.from_arrays([pa.array([m.table.astype(np.float32).tobytes()], pa.binary()), pa.array([m.weight.tobytes()], pa.binary()), pa.array([m.bias], pa.float64())], names=["table", "weight", "bias"])
 
-    got = docs.select("doc_id", "text").join(chosen, "doc_id").coalesce(1).mapInArrow(tidy(run), "table binary, weight binary, bias double").first()
+    got = docs.select("doc_id", "text").join(chosen, "doc_id").repartition(1).mapInArrow(tidy(run), "table binary, weight binary, bias double").first()
     if got is None:
         return train([], [], settings)
     return Model(np.frombuffer(got[0], np.float32).reshape(settings.buckets, settings.dim).astype(float), np.frombuffer(got[1]), got[2], settings)
