@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pairlattice.llm.common import cut, parts_for, release, slices, text_bytes, tidy
+from pairlattice.llm.common import cut, parts_for, release, slices, text_bytes, tidy, unused
 
 ODD = 0x9E3779B97F4A7C15
 MIX = np.uint64(0xD6E8FEB86659FD93)
@@ -345,23 +345,14 @@ def covered(packed: DataFrame, settings: Settings) -> DataFrame:
         size = np.array([len(x) for x in seen], np.int64)
         least = np.full(len(seen), np.iinfo(np.int64).max)
         np.minimum.at(least, which, docs)
-        # a stretch that no other one shares its hash with repeats as a whole only; the others are sorted
+        # one separator closes each stretch; bytes become 1 to 256, the separator is 257
         begin = np.concatenate([[0], np.cumsum(size)[:-1]])
-        flat = np.frombuffer(b"".join(seen), np.uint8)
-        earliest = np.repeat(least, size)
-        hash_of = least_of(hashes(flat, settings.gram), settings.length - settings.gram + 1)[begin] >> KEEP_BITS
-        _, same, times = np.unique(hash_of, return_inverse=True, return_counts=True)
-        several = np.flatnonzero(times[same] > 1)
-        if len(several):
-            # one separator closes each stretch; bytes become 1 to 256, the separator is 257
-            n = size[several]
-            start = np.concatenate([[0], np.cumsum(n + 1)[:-1]])
-            text = np.full(int((n + 1).sum()), 257, np.int64)
-            inside = np.ones(len(text), bool)
-            inside[start + n] = False
-            where = np.repeat(begin[several] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(int(n.sum()))
-            text[inside] = flat[where].astype(np.int64) + 1
-            earliest[where] = repeated_classes(text, start, start + n, least[several], settings.length)[inside]
+        start = begin + np.arange(len(size))
+        text = np.full(int(size.sum()) + len(size), 257, np.int64)
+        inside = np.ones(len(text), bool)
+        inside[start + size] = False
+        text[inside] = np.frombuffer(b"".join(seen), np.uint8).astype(np.int64) + 1
+        earliest = repeated_classes(text, start, start + size, least, settings.length)[inside]
         # strings of each occurrence that an earlier document holds
         count = size[which] - settings.length + 1
         at = np.repeat(begin[which] - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(int(count.sum()))
@@ -394,29 +385,32 @@ def merged(spans: list[bytes] | None) -> list[tuple[int, int]]:
     return list(zip(s[new, 0].tolist(), reach[np.concatenate([new[1:], [len(s)]]) - 1].tolist()))
 
 
-def marked(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
-    """``docs`` with ``_doc`` (its id as a long), ``_spans`` (list of packed ranges, or null) and ``_copy`` (an earlier document has the same text)."""
+def marked(docs: DataFrame, settings: Settings | None = None) -> tuple[DataFrame, str, str, str]:
+    """``docs`` with three columns, and their names: the id as a long, a list of packed ranges (or null), whether an earlier document has the same text."""
     settings = settings or Settings()
+    doc, key, list_, copied = (unused(docs, c) for c in ("_doc", "_key", "_spans", "_copy"))
     # no key is null, so no filter is inferred on either side and both joins below read the same exchange of the texts
     own = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
-    named = docs.withColumns({"_doc": own, "_key": F.xxhash64("text")})
+    named = docs.withColumns({doc: own, key: F.xxhash64("text")})
     bytes_, digest_of = F.coalesce(F.octet_length("text"), F.lit(0)), F.md5(F.coalesce("text", F.lit("")))
     total = text_bytes(docs)
     parts = parts_for(total * 0.6, settings.part_bytes)
-    digest = named.where(bytes_ >= settings.length).select("_doc", digest_of.alias("digest"))
+    digest = named.where(bytes_ >= settings.length).select(F.col(doc).alias("_doc"), digest_of.alias("digest"))
     copies = digest.groupBy("digest").agg(F.min("_doc").alias("least"), F.max("_doc").alias("most")).where("least < most")
     copies = digest.join(copies, "digest").where("_doc > least").select("_doc", "digest").distinct()
-    copies = cut(copies.select(F.col("_doc").alias("_cd"), F.col("digest").alias("_cg")))
+    cd, cg, d, k = (unused(named, c) for c in ("_cd", "_cg", "_d", "_k"))
+    copies = cut(copies.select(F.col("_doc").alias(cd), F.col("digest").alias(cg)))
     flags = F.broadcast(copies) if copies.count() <= settings.broadcast_copies else copies
-    copy = (F.col("_doc") == F.col("_cd")) & (digest_of == F.col("_cg"))
-    reps = named.where(bytes_ >= settings.length).join(flags, copy, "left_anti").select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), "text")
+    copy = (F.col(doc) == F.col(cd)) & (digest_of == F.col(cg))
+    reps = named.where(bytes_ >= settings.length).join(flags, copy, "left_anti").select(F.col(doc).alias("doc_id"), F.col(key).alias("key"), "text")
     wanted = shared(offer(reps, parts, settings)).groupBy("doc_id", "key").agg(F.collect_set("hashes").alias("wanted"))
-    found = named.join(wanted.withColumnsRenamed({"doc_id": "_d", "key": "_k"}), (F.col("_doc") == F.col("_d")) & (F.col("_key") == F.col("_k")))
-    found = found.select(F.col("_doc").alias("doc_id"), F.col("_key").alias("key"), "text", "wanted")
-    spans = covered(stretches(found, parts_for(total, settings.sort_bytes), settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias("_spans"))
-    out = named.join(spans.withColumnsRenamed({"doc_id": "_d", "key": "_k"}), (F.col("_doc") == F.col("_d")) & (F.col("_key") == F.col("_k")), "left").drop("_d", "_k")
+    same = (F.col(doc) == F.col(d)) & (F.col(key) == F.col(k))
+    found = named.select(doc, key, "text").join(wanted.withColumnsRenamed({"doc_id": d, "key": k}), same)
+    found = found.select(F.col(doc).alias("doc_id"), F.col(key).alias("key"), "text", "wanted")
+    spans = covered(stretches(found, parts_for(total, settings.sort_bytes), settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias(list_))
+    out = named.join(spans.withColumnsRenamed({"doc_id": d, "key": k}), same, "left").drop(d, k)
     out = out.join(flags, copy, "left")
-    return out.withColumn("_copy", F.col("_cd").isNotNull()).drop("_cd", "_cg", "_key")
+    return out.withColumn(copied, F.col(cd).isNotNull()).drop(cd, cg, key), doc, list_, copied
 
 
 def digests(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
@@ -438,7 +432,8 @@ def digests(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
             cols = list(zip(*rows)) or [[], [], [], []]
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
-    found = marked(docs.select("doc_id", "text"), settings).select(F.nullif("_doc", F.lit(NO_ID)).cast(kind).alias("doc_id"), "text", "_spans", "_copy")
+    found, doc, list_, copied = marked(docs.select("doc_id", "text"), settings)
+    found = found.select(F.nullif(doc, F.lit(NO_ID)).cast(kind).alias("doc_id"), "text", list_, copied)
     return found.mapInArrow(tidy(run), f"doc_id {kind}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
@@ -459,17 +454,18 @@ def kept_text(docs: DataFrame, settings: Settings | None = None) -> DataFrame:
         return b"".join(out).decode("utf-8", "surrogatepass")
 
     names = docs.columns
+    found, _, list_, copied = marked(docs, settings)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = {c: i for i, c in enumerate(batch.schema.names)}
             new = []
-            for text, spans, copy in zip(*(batch.column(at[c]).to_pylist() for c in ("text", "_spans", "_copy"))):
+            for text, spans, copy in zip(*(batch.column(at[c]).to_pylist() for c in ("text", list_, copied))):
                 data = text.encode("utf-8", "surrogatepass") if text else b""
                 new.append(text if text is None else strip(data, [(0, len(data))] if copy else merged(spans)))
             yield pa.RecordBatch.from_arrays([pa.array(new, pa.string()) if c == "text" else batch.column(at[c]) for c in names], names=names)
 
-    return marked(docs, settings).mapInArrow(tidy(run), docs.schema)
+    return found.mapInArrow(tidy(run), docs.schema)
 
 
 def oracle(length: int = 50) -> str:
