@@ -2,7 +2,7 @@
 
 Concatenated names ("cheappills") are split by a unigram Viterbi search over a public word list whose
 ranks give Zipf probabilities; a multinomial naive Bayes model, fitted on labelled phrases, scores
-the words.
+the words.  Parts that only say how an address is built (``www``, ``com``, ``html``, languages) are no evidence.
 
 Defined results: host and path are empty for a null url or one without ``://``; words that the model
 has not seen carry no evidence, so a url without known words gets the prior's verdict; repeated rows
@@ -25,11 +25,47 @@ from pyspark.sql import functions as F
 # Rules (host with path prefix, verdict).
 RULES = (("org/", "allow"), ("example.org/es/", "block"), ("example.org/en/1", "block"), ("com/fr/", "allow"), ("com/de/", "block"))
 
-# Labelled phrases that the classifier learns from.
-PHRASES = {
-    "block": "cheap pills|casino win|free bets|spam farm|ads track|adult x|casino bonus slots|poker bet win cash|payday loans fast|viagra pills pharmacy cheap|porn adult cams|xxx sex adult|ads banner click|track ads popup|win prize free|lottery win|spam links|link farm|replica watches cheap|warez crack keygen|torrent crack|betting odds bets|free slots casino|escort adult",
-    "allow": "blog example|www example|m example|news example|docs help guide|school library|university science|health hospital|city council|history museum|weather report|music review|open source code|recipes kitchen|travel guide|sports club news|art gallery|garden club|book review blog|web page index|en page|de page|fr page|es page|article html|company about contact|shop store products|com net org|forum community|government service",
+# Words by topic, the labelled list that the classifier learns from; none is taken from a table.
+TOPICS = {
+    "block": (
+        "casino poker jackpot slots roulette betting bets bet bookmaker blackjack baccarat wager odds bingo lottery gamble gambling spins win wins",
+        "pills viagra cialis pharmacy tablets steroids opioid xanax tramadol slimming meds cheap cheapest painkillers erection",
+        "porn xxx sex adult nude nudes cams escort escorts hot singles hookup erotic fetish babes naked strip",
+        "payday loans loan cash advance debt instant approval quick refinance bailout lender",
+        "replica replicas fake counterfeit watches handbags knockoff imitation luxury outlet discount buy",
+        "malware trojan virus keylogger ransomware exploit phishing hacked hacker botnet stealer spyware download downloads",
+        "torrent torrents warez crack cracked cracks keygen serial pirate pirated nulled leaked",
+        "ads ad adverts banner banners popup popups click clicks tracker track tracking redirect affiliate pixel",
+        "spam spammer spammy farm backlinks backlink links link bulk mailer bots traffic doorway",
+        "prize prizes winner free giveaway lucky claim bonus reward rewards millionaire doubler forex miracle scam scams",
+    ),
+    "allow": (
+        "school schools university college teacher student students lesson lessons course courses library education exam campus learning",
+        "science research laboratory physics chemistry biology astronomy theory experiment journal paper papers math mathematics geology",
+        "health hospital doctor nurse clinic medicine patient nutrition wellness dental therapy surgery care vaccine heart",
+        "news daily herald times report reports press editor politics world article articles opinion weather today magazine",
+        "travel hotel hotels flight flights guide tour tours beach mountain airport train city map maps holiday journey",
+        "food recipe recipes kitchen cooking bread cake dinner restaurant vegetable garden soup coffee tea baking chef",
+        "government council ministry parliament law court police tax public service services agency department election mayor citizen",
+        "software code computer developer engineering open source data server network linux python documentation docs help manual",
+        "football soccer tennis basketball cycling running league team club match stadium athletics swimming hockey coach",
+        "art museum gallery music concert theatre film cinema painting poetry novel book books author dance history",
+        "home house furniture design architecture garden tools repair paint wood family children parents baby pets",
+        "nature river forest ocean animal animals bird birds tree trees climate energy water earth wildlife park",
+        "business company office bank finance market industry insurance trade economy career jobs team contact about",
+        "shop store product products catalog price prices order delivery fashion shoes clothing books toys bicycle",
+        "community forum church charity volunteer association society foundation group events meeting member members culture village",
+        "photo photos camera video radio television podcast game games puzzle chess hobby craft knitting model",
+    ),
 }
+#: Parts of hosts and paths that say how an address is built, not what it is about.
+STRUCTURE = frozenset("www m mobile blog web site com net org edu gov info html htm php asp index page pages id ref utm en de fr es it nl pl pt uk us example localhost http https".split())
+
+
+def phrases_of(topics: dict[str, Sequence[str]] = TOPICS) -> dict[str, list[list[str]]]:
+    """Labelled phrases by a rule: each word of a topic with the two that follow it, around the end."""
+    return {label: [[w[i], w[(i + 1) % len(w)], w[(i + 2) % len(w)]] for t in lines for w in [t.split()] for i in range(len(w))] for label, lines in topics.items()}
+
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 LONGEST_WORD = 24
@@ -113,12 +149,12 @@ def rule_of(host: Column, path: Column, rules: Sequence[tuple[str, str]] = RULES
     return out
 
 
-def judge(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, phrases: dict[str, str] | None = None, words: str | None = None, threshold: float = 0.0) -> DataFrame:
+def judge(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, phrases: dict[str, Sequence[Sequence[str]]] | None = None, words: str | None = None, threshold: float = 0.0) -> DataFrame:
     """(page_id, host, path, rule, verdict, log_odds, words); one narrow pass that reads the url only."""
-    scores = word_scores(words)
-    for w in " ".join((phrases or PHRASES).values()).replace("|", " ").split():  # each word of a phrase is a word
+    scores, phrases = word_scores(words), phrases or phrases_of()
+    model = NaiveBayes(phrases)
+    for w in model.vocab:  # each word of a phrase is a word
         scores.setdefault(w, -11.0)
-    model = NaiveBayes({k: [p.split() for p in v.split("|")] for k, v in (phrases or PHRASES).items()})
     host, path = parts(F.col("url"))
     kind = dict(pages.dtypes)["page_id"]
     given = dict(rules)
@@ -136,7 +172,7 @@ def judge(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, phrases: d
         for batch in batches:
             found, odds, verdicts = [], [], []
             for h, p, rule in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                ws = [w for name in re.findall(r"[^\W\d_]+", f"{h} {p}".translate(LOWER)) for w in split(name)]
+                ws = [w for name in re.findall(r"[^\W\d_]+", f"{h} {p}".translate(LOWER)) if name not in STRUCTURE for w in split(name) if w not in STRUCTURE]
                 x = model.log_odds(ws)
                 found.append(ws)
                 odds.append(x)
