@@ -54,11 +54,62 @@ def test_queries_equal_their_sql(same, name):
     same(Q.QUERIES[name], Q.ORACLES[name])
 
 
-@pytest.mark.parametrize("name", sorted(set(Q.QUERIES) - set(Q.ORACLES) - {"relative_error_summary", "equal_space_orders6", "ablation_ratio_orders5", "ablation_dimension_embed", "ablation_size_dup"}))
+def errors(df: DataFrame, key: str = "method") -> dict:
+    """(key, level) -> (runs, mean_error, std_error)."""
+    return {(r[key], r["level"]): (r["runs"], r["mean_error"], r["std_error"]) for r in df.collect()}
+
+
+@pytest.mark.parametrize("name,d", [("exact_vs_strata_orders5", 5), ("exact_vs_strata_orders6", 6)])
+def test_exact_mode_spreads_less_than_strata(spark, name, d):
+    got = errors(Q.QUERIES[name](spark, SF))
+    assert {k[0] for k in got} == {"lattice exact", "lsh strata"} and all(v[0] == 30 for v in got.values())
+    for k in range(3, d):
+        assert got["lattice exact", k][2] < got["lsh strata", k][2]
+        assert abs(got["lattice exact", k][1]) <= 3.5 * got["lattice exact", k][2] / 30**0.5 + 1e-9
+
+
+def test_spread_falls_with_the_ratio_and_is_not_moved_by_duplication(spark):
+    got = errors(Q.QUERIES["ablation_ratio_orders5"](spark, SF), "setting")
+    assert got["r=1.0", 3][2] < got["r=0.25", 3][2]
+    size = errors(Q.swept([(f"x{x:g}", Q.resized(O5.frame, x), 5, EstimatorSpec(s=3, ratio=0.5)) for x in (0.5, 1, 2)])(spark, SF), "setting")
+    assert size["x2", 3][2] < 1.5 * size["x1", 3][2]
+
+
+def test_spread_grows_with_the_dimension(spark):
+    got = errors(Q.swept([(f"d={d}", Q.shingles(d), d, EstimatorSpec(s=d - 2, ratio=0.5)) for d in (4, 8)])(spark, SF), "setting")
+    assert got["d=8", 6][2] > got["d=4", 2][2]
+
+
+def test_materialization_grows_as_the_threshold_falls(spark):
+    got = [(r["s"], r["values"], r["lattice_bytes"]) for r in Q.QUERIES["materialization_orders5"](spark, SF).collect()]
+    assert [g[0] for g in got] == [5, 4, 3, 2, 1] and got == sorted(got, key=lambda g: g[1:]) and 0.4 * 1500 < got[0][1] < 0.6 * 1500
+
+
+@pytest.mark.parametrize("name", ["method_costs_orders5", "dedup_advice_docs", "equal_space_doc_shingles6"])
 def test_queries_without_sql_run(spark, name):
     assert Q.QUERIES[name](spark, SF).count() > 0
 
 
+def test_repeats_are_the_single_estimates(spark):
+    f = O5.frame(spark, SF)
+    spec = EstimatorSpec(s=3, ratio=0.5)
+    for mode in ("exact", "sketch"):
+        many = estimate.repeated(f, O5.cols, spec, "rid", [2, 5], mode)
+        for k in (2, 5):
+            one = {r["level"]: float(r["g"]) for r in estimate.self_join_size(f, O5.cols, spec.with_(seed=k), mode, "rid").collect()}
+            assert {r["level"]: r["g"] for r in many.where(f"seed = {k}").collect()} == pytest.approx(one)
+    strata = lambda **kw: {r["level"]: r["x"] for r in baselines.lsh_strata(f, O5.cols, spec.with_(**kw), "rid").collect()}
+    both = baselines.lsh_strata(f, O5.cols, spec, "rid", seeds=[2, 5])
+    assert {r["level"]: r["x"] for r in both.where("seed = 5").collect()} == strata(seed=5)
+
+
+def test_join_of_equal_ids_at_unequal_ratios_is_not_biased(spark):
+    f = O5.frame(spark, SF)
+    true = {r["level"]: float(r["x"]) for r in estimate.join_size(f, f, O5.cols, O5.cols, EstimatorSpec(s=3), "exact", "rid", "rid").collect()}
+    got = [{r["level"]: r["x"] for r in estimate.join_size(f, f, O5.cols, O5.cols, EstimatorSpec(s=3, ratio=0.5, seed=k), "exact", "rid", "rid", ratio_b=0.75).collect()} for k in range(10, 50, 10)]
+    assert sum(g[3] for g in got) / 4 == pytest.approx(true[3], rel=0.1)
+
+
 def test_join_fixture_values(spark):
     got = {r["level"]: r["x"] for r in Q.QUERIES["join_profile_orders_even_odd"](spark, SF).collect()}
     assert [got[k] for k in (5, 4, 3, 2, 1)] == [2, 579, 10936, 80418, 237092]
@@ -186,9 +237,34 @@ def test_sampling_engines_agree_and_scale_is_null_for_one_record(spark):
 
 def test_miners_agree(spark):
     f = O5.frame(spark, SF)
-    pat = lambda m: rows(baselines.patterns(f, O5.cols, 3, 5, m).select("mask", "fp", "c"))
-    assert pat("levelwise") == pat("partition")
-    assert set(pat("sample")) <= set(pat("partition"))
+    found = lambda m, support=5: {(r["mask"], r["fp"]): r["c"] for r in baselines.patterns(f, O5.cols, 3, support, m, record_id="rid").collect()}
+    true = found("partition")
+    assert found("levelwise") == true
+    assert found("sample").items() <= true.items()
+    every = {(r["mask"], r["fp"]): r["c"] for r in moments.counts(subvalues.level_stream(f, O5.cols, EstimatorSpec(s=3), "rid")).collect()}
+    short = found("lossy", 20)
+    assert {k for k, c in every.items() if c >= 20} <= set(short)
+    assert all(every[k] - 10 <= c <= every[k] for k, c in short.items())
+
+
+def test_miners_count_repeated_rows(spark):
+    df = spark.createDataFrame([(1, 1, 1)] * 4 + [(1, 1, 2)], "a1 int, a2 int, a3 int")
+    want = {1: [5], 2: [5], 3: [5], 4: [4], 5: [4], 6: [4], 7: [4]}
+    for m in ("levelwise", "partition"):
+        got: dict = {}
+        for r in baselines.patterns(df, ["a1", "a2", "a3"], 1, 2, m).collect():
+            got.setdefault(r["mask"], []).append(r["c"])
+        assert got == want
+
+
+def test_streams_treat_nulls_and_zeros_as_tables_do(spark):
+    from pairlattice.streaming import profile as P
+
+    rows = spark.createDataFrame([(i, None if i % 2 else 0.0 if i % 4 else -0.0, "x") for i in range(6)], "rid long, a1 double, a2 string")
+    for policy in ("equal", "never", "drop"):
+        spec = EstimatorSpec(s=1, null_policy=policy, width=500)
+        want = x_of(estimate.self_join_size(rows, ["a1", "a2"], spec, "exact", "rid"))
+        assert x_of(estimate.from_sketch(P.sketch_stream(rows, ["a1", "a2"], spec, "rid"), 2, spec)) == want
 
 
 def test_lsh_strata_lookup_is_exact_when_pairs_are_many(spark):
@@ -198,9 +274,9 @@ def test_lsh_strata_lookup_is_exact_when_pairs_are_many(spark):
     assert got[3] == pytest.approx(true[3], rel=0.25)
 
 
-def spread(spark, frame, cols, spec, mode, seeds=range(1, 13), seeded=None):
+def spread(spark, frame, cols, spec, mode, seeds=range(1, 13)):
     true = estimate.self_join_size(frame, cols, spec.with_(ratio=1.0), "exact", "rid")
-    runs = measures.repeat(lambda k: estimate.self_join_size(frame, cols, spec.with_(seed=k), mode, "rid").select("level", F.col("g").cast("double").alias("g")), seeds)
+    runs = estimate.repeated(frame, cols, spec, "rid", seeds, mode).select("seed", "level", "g")
     return {r["level"]: r for r in measures.summary(measures.relative_error(runs, true)).collect()}
 
 
@@ -292,10 +368,17 @@ def test_sample_of_a_stream_is_the_sample_of_the_table(spark, tmp_path):
 
     f = O5.frame(spark, SF)
     f.repartition(3).write.parquet(str(tmp_path / "in"))
-    store: dict = {}
-    P.sample_stream(tables.stream(spark, str(tmp_path / "in"), f.schema, files_per_trigger=1), 50, 7, "rid", store, str(tmp_path / "c")).awaitTermination()
+    stored = str(tmp_path / "store")
+    src = lambda: tables.stream(spark, str(tmp_path / "in"), f.schema, files_per_trigger=1)
+    P.sample_stream(src(), 50, 7, "rid", stored, str(tmp_path / "c")).awaitTermination()
+    last = max(int(p.name) for p in (tmp_path / "store").iterdir())
+    sample, n = P.stored_sample(spark, stored, last)
     want = f.withColumn("h", F.xxhash64(F.lit(7), "rid")).orderBy("h").limit(50)
-    assert store["n"] == 1500 and sorted(store["sample"]["rid"]) == sorted(r["rid"] for r in want.collect())
+    assert n == 1500 and sorted(r["rid"] for r in sample.collect()) == sorted(r["rid"] for r in want.collect())
+    more = f.limit(3).selectExpr("-rid - 1 AS rid", "a1", "a2", "a3", "a4", "a5")
+    more.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    P.sample_stream(src(), 50, 7, "rid", stored, str(tmp_path / "c")).awaitTermination()  # a restart goes on from the stored sample
+    assert P.stored_sample(spark, stored, last + 1)[1] == 1503
 
 
 def test_matching_sample_grows_until_it_is_good_enough(spark):
