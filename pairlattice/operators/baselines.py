@@ -91,7 +91,8 @@ def pair_sampling(df: DataFrame, attrs: Sequence[str], spec: EstimatorSpec, reco
         cols = [f"a{i}" for i in range(1, d + 1)]
         x = estimate.repeated(sample, cols, EstimatorSpec(s=spec.s, null_policy=spec.null_policy), "rid", None, "exact").select("seed", "level", "x")
     else:
-        pairs = sample.alias("l").join(F.broadcast(sample.alias("r")), (F.col("l.seed") == F.col("r.seed")) & (F.col("l.rid") < F.col("r.rid")))
+        spread = sample.repartition(df.sparkSession.sparkContext.defaultParallelism)  # few rows, many pairs
+        pairs = spread.alias("l").join(F.broadcast(sample.alias("r")), (F.col("l.seed") == F.col("r.seed")) & (F.col("l.rid") < F.col("r.rid")))
         x = pairs.groupBy(F.col("l.seed").alias("seed"), _agreeing(d, spec.null_policy).alias("level")).agg((F.lit(2.0) * F.count(F.lit(1))).alias("x"))
     scale = F.lit(n * (n - 1) / (want * (want - 1)) if want > 1 else None).cast("double")
     out = completed(x, many, spec.s, d).select("seed", "level", (F.col("x") * scale).alias("x"))
