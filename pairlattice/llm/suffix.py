@@ -389,7 +389,8 @@ def marked(docs: DataFrame, settings: Settings | None = None) -> tuple[DataFrame
     """``docs`` with three columns, and their names: the id as a long, a list of packed ranges (or null), whether an earlier document has the same text."""
     settings = settings or Settings()
     doc, key, list_, copied = (unused(docs, c) for c in ("_doc", "_key", "_spans", "_copy"))
-    # no key is null, so no filter is inferred on either side and both joins below read the same exchange of the texts
+    # no key is null, so no filter is inferred on either side, and both joins below read the same exchange of the
+    # texts, as long as they take its columns in the same order
     own = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID))
     named = docs.withColumns({doc: own, key: F.xxhash64("text")})
     bytes_, digest_of = F.coalesce(F.octet_length("text"), F.lit(0)), F.md5(F.coalesce("text", F.lit("")))
@@ -405,7 +406,7 @@ def marked(docs: DataFrame, settings: Settings | None = None) -> tuple[DataFrame
     reps = named.where(bytes_ >= settings.length).join(flags, copy, "left_anti").select(F.col(doc).alias("doc_id"), F.col(key).alias("key"), "text")
     wanted = shared(offer(reps, parts, settings)).groupBy("doc_id", "key").agg(F.collect_set("hashes").alias("wanted"))
     same = (F.col(doc) == F.col(d)) & (F.col(key) == F.col(k))
-    found = named.select(doc, key, "text").join(wanted.withColumnsRenamed({"doc_id": d, "key": k}), same)
+    found = named.select("text", doc, key).join(wanted.withColumnsRenamed({"doc_id": d, "key": k}), same)
     found = found.select(F.col(doc).alias("doc_id"), F.col(key).alias("key"), "text", "wanted")
     spans = covered(stretches(found, parts_for(total, settings.sort_bytes), settings), settings).groupBy("doc_id", "key").agg(F.collect_list("spans").alias(list_))
     out = named.join(spans.withColumnsRenamed({"doc_id": d, "key": k}), same, "left").drop(d, k)
