@@ -324,6 +324,15 @@ def test_streams_equal_batches(spark, tmp_path):
     assert rows(whole.where("counter <> 0")) == rows(P.sketch_stream(raw.where("a1 <> 3"), Q._a5, spec, "rid").where("counter <> 0"))
 
 
+@pytest.mark.parametrize("name,key", [("documents", "doc_id"), ("events", "event_id")])
+def test_streams_read_tables_of_several_files(spark, tmp_path, name, key):
+    table = spark.read.parquet(f"{SF}/{name}.parquet")
+    table.repartition(3).write.parquet(str(tmp_path / f"{name}.parquet"))
+    for folder in (SF, str(tmp_path)):
+        got = Q.drained(spark, Q.file_stream(spark, folder, name).select(key), "append")
+        assert rows(got) == rows(table.select(key))
+
+
 def test_choices_and_functions(spark, tmp_path):
     f = O5.frame(spark, SF)
     assert choose_attributes(f, O5.cols, 2) == ["a1", "a5"]
