@@ -333,6 +333,21 @@ def test_streams_read_tables_of_several_files(spark, tmp_path, name, key):
         assert rows(got) == rows(table.select(key))
 
 
+@pytest.mark.parametrize("policy", ["equal", "never", "drop"])
+def test_all_pairs_of_many_records(spark, policy):
+    raw = [(i, None if i % 5 == 0 else i % 3, "xyz"[i % 2], None if i % 7 == 0 else i // 20) for i in range(60)]
+    kept = [r for r in raw if policy != "drop" or None not in r]
+    agree = lambda a, b: sum(x == y and (policy != "never" or x is not None) for x, y in zip(a[1:], b[1:]))
+    want: dict = {}
+    for a in kept:
+        for b in kept:
+            if a[0] != b[0]:
+                want[agree(a, b)] = want.get(agree(a, b), 0) + 1
+    df = spark.createDataFrame(raw, "rid long, a1 int, a2 string, a3 int")
+    for most in (20_000, 5):  # one by one, and by subsets
+        assert {r["level"]: r["x"] for r in baselines.all_pairs(df, ["a1", "a2", "a3"], "rid", most, policy).collect()} == want
+
+
 def test_choices_and_functions(spark, tmp_path):
     f = O5.frame(spark, SF)
     assert choose_attributes(f, O5.cols, 2) == ["a1", "a5"]
