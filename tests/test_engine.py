@@ -348,6 +348,24 @@ def test_all_pairs_of_many_records(spark, policy):
         assert {r["level"]: r["x"] for r in baselines.all_pairs(df, ["a1", "a2", "a3"], "rid", most, policy).collect()} == want
 
 
+def broadcast_scans(df: DataFrame) -> int:
+    """Scans of files below a broadcast, in the plan before it adapts."""
+    found, inside = 0, None
+    for line in df._jdf.queryExecution().executedPlan().toString().splitlines():
+        at = len(line) - len(line.lstrip(" :+-"))
+        if inside is not None and at <= inside:
+            inside = None
+        if inside is None and "BroadcastExchange" in line:
+            inside = at
+        found += inside is not None and "FileScan" in line
+    return found
+
+
+def test_levelwise_broadcasts_no_records(spark):
+    found = baselines.patterns(O5.frame(spark, SF), O5.cols, 3, 4, "levelwise", record_id="rid")
+    assert broadcast_scans(found) == 0
+
+
 def test_choices_and_functions(spark, tmp_path):
     f = O5.frame(spark, SF)
     assert choose_attributes(f, O5.cols, 2) == ["a1", "a5"]
