@@ -11,7 +11,7 @@ from conftest import DATA
 from pairlattice import measures
 from pairlattice import queries as Q
 from pairlattice.functions import hashing
-from pairlattice.operators import baselines, moments, records, sketch, subvalues
+from pairlattice.operators import baselines, moments, records, repeats, sketch, subvalues
 from pairlattice.plans import estimate
 from pairlattice.plans.attributes import choose_attributes
 from pairlattice.sources import tables
@@ -366,6 +366,19 @@ def test_levelwise_broadcasts_no_records(spark):
     assert broadcast_scans(found) == 0
 
 
+@pytest.mark.parametrize("kind,policy", [("long", "equal"), ("int", "never"), ("long", "drop")])
+def test_counters_of_repeats_are_those_of_single_sketches(spark, kind, policy):
+    raw = [(None if i == 5 else i * 7 - 90, None if i % 5 == 0 else i % 3, "xyz"[i % 2], None if i % 7 == 0 else i // 4) for i in range(300)]
+    df, cols = spark.createDataFrame(raw, f"rid {kind}, a1 int, a2 string, a3 int"), ["a1", "a2", "a3"]
+    for ratio in (0.4, 1.0):
+        spec = EstimatorSpec(s=1, ratio=ratio, null_policy=policy, width=40)
+        many = repeats.counters(df, cols, spec, "rid", [3, 8]).where("counter <> 0")
+        for k in (3, 8):
+            one = spec.with_(seed=k)
+            want = sketch.build(subvalues.level_stream(df, cols, one, "rid", True), one).where("counter <> 0")
+            assert rows(many.where(f"seed = {k}").drop("seed")) == rows(want)
+
+
 def test_choices_and_functions(spark, tmp_path):
     f = O5.frame(spark, SF)
     assert choose_attributes(f, O5.cols, 2) == ["a1", "a5"]
