@@ -370,6 +370,7 @@ def members(docs: DataFrame, settings: Settings, space: Workspace) -> tuple[Data
     links = [space.keep(verify(star.groupBy(F.col("node").alias("b")).agg(F.min("a").alias("a")).select("a", "b"), texts, settings.similarity))]
     labels = components(links[0], space)
     inside = space.keep(buckets.select("bucket", "slot", "node", "n_words").distinct())
+    space.drop(buckets)
 
     def labelled_members(labels: DataFrame) -> DataFrame:
         """Members of buckets in which texts of several classes are left, with ``blocks`` of the bucket."""
@@ -393,10 +394,13 @@ def members(docs: DataFrame, settings: Settings, space: Workspace) -> tuple[Data
         both = both.where(near).groupBy("x", "y").agg(F.min("e").alias("e0"), F.max("e").alias("e1"))
         pairs = space.keep(both.select("x", "y", F.explode(F.array_distinct(F.array("e0", "e1"))).alias("e")).select("e.a", "e.b", "x", "y"))
         labels = merged(labels, verify(pairs.select("a", "b"), texts, settings.similarity).join(pairs, ["a", "b"]))
-    # last: all pairs of texts of different classes
-    left = space.keep(labelled_members(labels).drop("lead"))
-    brief = first.join(left.select("node").distinct(), "node").join(sk.select("node", "rep", "brief", "bag"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief", "bag")
-    labels = merged(labels, linked(left.join(brief.join(texts, "node"), "node"), settings))
+    # last: all pairs of texts of different classes; a text meets its buckets as one row, so the joins give a row a text
+    left = labelled_members(labels).groupBy("node", "n_words", "label").agg(F.collect_list(F.struct("bucket", "slot", "blocks")).alias("at"))
+    left = space.keep(left)
+    brief = first.join(left.select("node"), "node").join(sk.select("node", "rep", "brief", "bag"), ["node", "rep"]).dropDuplicates(["node"]).select("node", "brief", "bag")
+    space.drop(inside)
+    mixed = left.join(brief.join(texts, "node"), "node").select("node", "n_words", "label", "brief", "bag", "text", F.explode("at").alias("at"))
+    labels = merged(labels, linked(mixed.select("at.*", "node", "n_words", "label", "brief", "bag", "text"), settings))
     degree = reduce(DataFrame.union, [x.select("a", "b") for x in links]).select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_links"))
     named = first.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     return sk.select("doc", "node"), named.join(degree, "node", "left").select("node", "rep", "label", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
