@@ -15,6 +15,7 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -39,6 +40,11 @@ class LanguageModel:
     unknown: np.ndarray
     prior: np.ndarray
 
+    @cached_property
+    def scaled(self) -> np.ndarray:
+        """Probabilities times e to ``SCALE``, a row for each piece."""
+        return np.ascontiguousarray(np.exp(self.logp.T + SCALE))
+
 
 def fold(text: str) -> str:
     return text.lower()
@@ -103,10 +109,16 @@ def fit(docs: DataFrame, pieces: PieceTable, smoothing: float = 0.5, most_langs:
     return LanguageModel(langs, logp, unknown, np.log(prior / max(prior.sum(), 1)) if len(langs) else prior)
 
 
+#: Words up to this length are summed as scaled probabilities, which stay far from the ends of doubles; longer ones as logs.
+SHORT, SCALE = 24, 8.0
+
+
 def forward(pieces: PieceTable, model: LanguageModel, codes: np.ndarray) -> np.ndarray:
     """Log of the summed probability of all segmentations: words of one length x languages."""
     n, size = codes.shape
     found = pieces.spans(codes)
+    if size <= SHORT and model.unknown.min(initial=0) > -40:
+        return np.log(summed(model, found, n, size)) - SCALE * size
     alpha = np.full((size + 1, n, len(model.langs)), -np.inf)
     alpha[0] = 0
     for end in range(1, size + 1):
@@ -122,6 +134,21 @@ def forward(pieces: PieceTable, model: LanguageModel, codes: np.ndarray) -> np.n
     return alpha[size]
 
 
+def summed(model: LanguageModel, found: list[np.ndarray], n: int, size: int) -> np.ndarray:
+    """Summed probabilities, each character of a word times e to ``SCALE``; only pieces that occur are looked at."""
+    alpha = np.ones((size + 1, n, len(model.langs)))
+    for end in range(1, size + 1):
+        ids = found[0][:, end - 1]
+        total = alpha[end - 1] * np.where(ids[:, None] >= 0, model.scaled.take(ids, 0), np.exp(model.unknown + SCALE))
+        for k in range(2, min(len(found), end) + 1):
+            ids = found[k - 1][:, end - k]
+            at = np.flatnonzero(ids >= 0)
+            if len(at):
+                total[at] += alpha[end - k].take(at, 0) * model.scaled.take(ids[at], 0) * np.exp(SCALE * (k - 1))
+        alpha[end] = total
+    return alpha[size]
+
+
 class WordScores:
     """Scores of words seen, kept in one growing matrix of bounded size."""
 

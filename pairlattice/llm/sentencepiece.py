@@ -38,9 +38,14 @@ def default_model() -> str:
     return public_tokenizers.path("piece_bpe_32k.model")
 
 
+def cells_of(keys: np.ndarray) -> np.ndarray:
+    """The cell of each key; mixed once more, since those of single characters have no high bits."""
+    return (keys * MULTIPLIER >> np.uint64(64 - BITMAP_BITS)).astype(np.int64)
+
+
 @dataclass
 class PieceTable:
-    """Pieces, scores and sorted hash keys; its size is that of the vocabulary."""
+    """Pieces, scores and hash keys sorted by cell; its size is that of the vocabulary."""
 
     pieces: list[str]
     raw: list[bytes]
@@ -52,6 +57,9 @@ class PieceTable:
     longest: int
     bitmap: np.ndarray
     unknown: float
+    #: Where the keys of each cell of the bitmap begin, and the most keys of a cell.
+    first: np.ndarray
+    most: int
 
     @classmethod
     def build(cls, pieces: list[str], scores: list[float], byte_ids: dict[int, int], usable: list[bool]) -> PieceTable:
@@ -67,17 +75,19 @@ class PieceTable:
                 for x in c:
                     h = h * MULTIPLIER + np.uint64(x + 1)
                 keys[k] = h ^ (h >> np.uint64(29))
-        order = np.argsort(keys, kind="stable")
+        order = np.lexsort((keys, cells_of(keys)))
         keys, ids = keys[order], ids[order]
         if len(keys) > 1 and (keys[1:] == keys[:-1]).any():
             raise ValueError("two pieces share a hash key")
-        bitmap = np.zeros(1 << BITMAP_BITS, bool)
-        bitmap[(keys >> np.uint64(64 - BITMAP_BITS)).astype(np.int64)] = True
+        cell = cells_of(keys)
+        bitmap, first = np.zeros(1 << BITMAP_BITS, bool), np.zeros(1 << BITMAP_BITS, np.int32)
+        bitmap[cell] = True
+        first[cell[::-1]] = np.arange(len(keys), dtype=np.int32)[::-1]
         bytes_of = {i: bytes([b]) for b, i in byte_ids.items()}
         raw = [bytes_of.get(i, p.replace(SPACE, " ").encode()) for i, p in enumerate(pieces)]
         s = np.array(scores, np.float64)
         least = s[ids].min() if len(ids) else 0.0
-        return cls(pieces, raw, s, np.array([byte_ids[b] for b in range(256)], np.int64), keys, ids, codes, longest, bitmap, float(least) - UNKNOWN_PENALTY)
+        return cls(pieces, raw, s, np.array([byte_ids[b] for b in range(256)], np.int64), keys, ids, codes, longest, bitmap, float(least) - UNKNOWN_PENALTY, first, int(np.bincount(cell).max(initial=0)) if len(cell) else 0)
 
     @classmethod
     def load(cls, path: str | None = None, limit: int | None = None) -> PieceTable:
@@ -112,12 +122,14 @@ class PieceTable:
         for length in range(1, min(self.longest, size) + 1):
             h = h[:, : size - length + 1] * MULTIPLIER + c[:, length - 1 :]
             key = h ^ (h >> np.uint64(29))
-            rows, at = np.nonzero(self.bitmap[(key >> np.uint64(64 - BITMAP_BITS)).astype(np.int64)])
+            cell = cells_of(key)
+            rows, at = np.nonzero(self.bitmap.take(cell))
             found = np.full(key.shape, -1, np.int32)
             if len(rows):
-                probe = key[rows, at]
-                k = np.minimum(np.searchsorted(self.keys, probe), len(self.keys) - 1)
-                hit = self.keys[k] == probe
+                probe, k = key[rows, at], self.first.take(cell[rows, at])
+                for _ in range(self.most - 1):  # keys of a cell ascend; one of the next cell is no probe
+                    np.minimum(k + (self.keys.take(k) < probe), len(self.keys) - 1, out=k, casting="unsafe")
+                hit = self.keys.take(k) == probe
                 rows, at, ids = rows[hit], at[hit], self.key_ids[k[hit]]
                 same = np.ones(len(ids), bool)  # equal hashes are compared as text too
                 for j in range(length):
@@ -132,14 +144,22 @@ class PieceTable:
         """Best pieces of each word; ``codes`` has a word of the same length in each row."""
         n, size = codes.shape
         found = self.spans(codes)
-        score = [np.where(f >= 0, self.scores[f], -np.inf if k else self.unknown) for k, f in enumerate(found)]
-        best, back = np.zeros((n, size + 1)), np.zeros((n, size + 1), np.int16)
+        best, back = np.zeros((size + 1, n)), np.zeros((n, size + 1), np.int16)
         for end in range(1, size + 1):
-            most = min(len(found), end)
-            cand = np.stack([best[:, end - k] + score[k - 1][:, end - k] for k in range(most, 0, -1)])
-            top = cand.argmax(0)
-            best[:, end] = cand[top, np.arange(n)]
-            back[:, end] = most - top
+            top, step = np.full(n, -np.inf), np.ones(n, np.int16)
+            for k in range(min(len(found), end), 0, -1):  # the longest of equals
+                ids = found[k - 1][:, end - k]
+                if k == 1:
+                    at, score = slice(None), best[end - 1] + np.where(ids >= 0, self.scores.take(ids), self.unknown)
+                else:
+                    at = np.flatnonzero(ids >= 0)
+                    if not len(at):
+                        continue
+                    score = best[end - k, at] + self.scores.take(ids[at])
+                more = score > top[at]
+                at = at[more] if k > 1 else np.flatnonzero(more)
+                top[at], step[at] = score[more], k
+            best[end], back[:, end] = top, step
         out = []
         for i in range(n):
             ids, end, row = [], size, back[i]
