@@ -54,6 +54,11 @@ def test_queries_equal_their_sql(same, name):
     same(Q.QUERIES[name], Q.ORACLES[name])
 
 
+@pytest.mark.parametrize("name", ["asymptotic_grid"])
+def test_queries_read_a_given_table(spark, name):
+    assert Q.QUERIES[name](spark, SF).inputFiles()
+
+
 def errors(df: DataFrame, key: str = "method") -> dict:
     """(key, level) -> (runs, mean_error, std_error)."""
     return {(r[key], r["level"]): (r["runs"], r["mean_error"], r["std_error"]) for r in df.collect()}
