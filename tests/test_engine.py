@@ -54,7 +54,7 @@ def test_queries_equal_their_sql(same, name):
     same(Q.QUERIES[name], Q.ORACLES[name])
 
 
-@pytest.mark.parametrize("name", ["asymptotic_grid", "bound_grid_exact", "bound_grid_sketch", "half_sum_counterexamples", "hamming_pairs_example", "plan_sketch_size", "subvalues_per_record", "ratio_for_budget", "sample_sizes"])
+@pytest.mark.parametrize("name", ["asymptotic_grid", "bound_grid_exact", "bound_grid_sketch", "half_sum_counterexamples", "hamming_pairs_example", "plan_sketch_size", "subvalues_per_record", "ratio_for_budget", "sample_sizes", "worked_example"])
 def test_queries_read_a_given_table(spark, name):
     assert Q.QUERIES[name](spark, SF).inputFiles()
 
