@@ -345,6 +345,21 @@ def linked(mixed: DataFrame, settings: Settings) -> DataFrame:
     return dealt.groupBy(*keys).applyInArrow(pairs, "a long, b long, x long, y long")
 
 
+def classes_met(inside: DataFrame, labels: DataFrame) -> DataFrame:
+    """(bucket, label, t): a row for each class of a bucket, however many texts it has there, with one of them; ``inside`` has (bucket, node, n_words)."""
+    at = inside.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    return at.groupBy("bucket", "label").agg(F.min(F.struct("node", "n_words")).alias("t"))
+
+
+def class_pairs(met: DataFrame, similarity: float) -> DataFrame:
+    """(a, b, x, y): a text of each class y of a bucket with one of its first class x, where the lengths fit; two pairs of texts for a pair of classes."""
+    first = met.groupBy("bucket").agg(F.min(F.struct("label", "t")).alias("f"), F.max("label").alias("last")).where("f.label <> last").select("bucket", F.col("f.label").alias("x"), F.col("f.t").alias("u"))
+    both = met.join(first, "bucket").where("label <> x").where(F.least("t.n_words", "u.n_words") >= similarity * F.greatest("t.n_words", "u.n_words") - 1e-9)
+    both = both.select("x", F.col("label").alias("y"), F.struct(F.least("t.node", "u.node").alias("a"), F.greatest("t.node", "u.node").alias("b")).alias("e"))
+    both = both.groupBy("x", "y").agg(F.min("e").alias("e0"), F.max("e").alias("e1"))
+    return both.select("x", "y", F.explode(F.array_distinct(F.array("e0", "e1"))).alias("e")).select("e.a", "e.b", "x", "y")
+
+
 #: Stands for a null id, after all others.
 NO_ID = (1 << 63) - 1
 
@@ -386,13 +401,11 @@ def members(docs: DataFrame, settings: Settings, space: Workspace) -> tuple[Data
         fresh = moved.select(F.col("label").alias("node"), F.col("to").alias("label")).join(labels, "node", "left_anti")
         return space.keep(labels.join(moved, "label", "left").select("node", F.coalesce("to", "label").alias("label")).unionByName(fresh))
 
-    # next: in each bucket one text of every class with one of the first class, two pairs of texts for a pair of classes
+    # next: in each bucket one text of every class with one of the first class
     for _ in range(settings.class_rounds):
-        one = labelled_members(labels).groupBy("bucket", "lead", "label").agg(F.min(F.struct("node", "n_words")).alias("t"))
-        first_one = one.where("lead = label").select("bucket", F.col("t").alias("u"))
-        both = one.where("lead <> label").join(first_one, "bucket").select(F.col("lead").alias("x"), F.col("label").alias("y"), F.struct(F.least("t.node", "u.node").alias("a"), F.greatest("t.node", "u.node").alias("b")).alias("e"), F.col("t.n_words").alias("n_words"), F.col("u.n_words").alias("na"))
-        both = both.where(near).groupBy("x", "y").agg(F.min("e").alias("e0"), F.max("e").alias("e1"))
-        pairs = space.keep(both.select("x", "y", F.explode(F.array_distinct(F.array("e0", "e1"))).alias("e")).select("e.a", "e.b", "x", "y"))
+        met = space.keep(classes_met(inside, labels))
+        pairs = space.keep(class_pairs(met, settings.similarity))
+        space.drop(met)
         labels = merged(labels, verify(pairs.select("a", "b"), texts, settings.similarity).join(pairs, ["a", "b"]))
     # last: all pairs of texts of different classes; a text meets its buckets as one row, so the joins give a row a text
     left = labelled_members(labels).groupBy("node", "n_words", "label").agg(F.collect_list(F.struct("bucket", "slot", "blocks")).alias("at"))
