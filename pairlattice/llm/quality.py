@@ -207,23 +207,29 @@ class Scorer:
 
     def scores(self, texts: list[str | None]) -> np.ndarray:
         out: list[float] = []
-        words = [t.split() if t else [] for t in texts]
-        weight, lo = self.settings.pair_weight, 0
-        while lo < len(words):
-            hi, size = lo, 0
-            while hi < len(words) and (hi == lo or size + len(words[hi]) <= CACHE_WORDS):
-                size += len(words[hi])
-                hi += 1
-            self.known.learn(set().union(*words[lo:hi]))
-            for w in words[lo:hi]:
-                z = self.bias
-                if w:
-                    rows = self.known.of(w)
-                    pairs = self.logits[pair_ids(rows[:, 2], self.settings)]
-                    z += (rows[:, 0].sum() + weight * pairs.sum()) / (rows[:, 1].sum() + weight * len(pairs))
-                out.append(float(1 / (1 + np.exp(-min(30.0, max(-30.0, z))))))
-            lo = hi
-        return np.array(out)
+        part: list[list[str]] = []
+        size = 0
+        for t in texts:  # words of a part only are held, they take many times the memory of their texts
+            w = t.split() if t else []
+            if part and size + len(w) > CACHE_WORDS:
+                out += self.of(part)
+                part, size = [], 0
+            part.append(w)
+            size += len(w)
+        return np.array(out + self.of(part))
+
+    def of(self, texts: list[list[str]]) -> list[float]:
+        """Scores of split texts, whose words are all known at once."""
+        out, weight = [], self.settings.pair_weight
+        self.known.learn(set().union(*texts))
+        for w in texts:
+            z = self.bias
+            if w:
+                rows = self.known.of(w)
+                pairs = self.logits[pair_ids(rows[:, 2], self.settings)]
+                z += (rows[:, 0].sum() + weight * pairs.sum()) / (rows[:, 1].sum() + weight * len(pairs))
+            out.append(float(1 / (1 + np.exp(-min(30.0, max(-30.0, z))))))
+        return out
 
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
