@@ -1,5 +1,6 @@
 """Estimates against exact counts, invariants, plans, statistics and streams on small tables."""
 
+import hashlib
 import re
 from functools import reduce
 
@@ -11,7 +12,7 @@ from conftest import DATA
 from pairlattice import measures
 from pairlattice import queries as Q
 from pairlattice.functions import hashing
-from pairlattice.operators import baselines, moments, records, repeats, sketch, subvalues
+from pairlattice.operators import baselines, moments, records, repeats, sketch, strata, subvalues
 from pairlattice.plans import estimate
 from pairlattice.plans.attributes import choose_attributes
 from pairlattice.sources import tables
@@ -108,6 +109,30 @@ def test_repeats_are_the_single_estimates(spark):
     assert {r["level"]: r["x"] for r in both.where("seed = 5").collect()} == strata(seed=5)
 
 
+@pytest.mark.parametrize("s,ratio,policy", [(1, 0.5, "equal"), (3, 0.3, "equal"), (2, 0.5, "never"), (2, 1.0, "equal")])
+def test_repeated_moments_are_those_of_the_level_streams(spark, s, ratio, policy):
+    f = O5.frame(spark, SF).withColumns({"a1": F.expr("if(rid % 3 = 0, null, a1)"), "a2": F.lit("x"), "rid": F.expr("if(rid % 50 = 1, null, rid)")})
+    spec = EstimatorSpec(s=s, ratio=ratio, null_policy=policy)
+    stream = subvalues.level_stream(f.withColumn("seed", F.explode(F.array(F.lit(2), F.lit(5)))), O5.cols, spec, "rid", True, ["seed"], F.col("seed"))
+    rows = lambda df: {(r["seed"], r["level"]): (r["y"], r["emitted"]) for r in df.collect()}
+    assert rows(repeats.moments(f, O5.cols, spec, "rid", [2, 5])) == rows(moments.level_moments(stream, ["seed"]))
+
+
+@pytest.mark.parametrize("kw", [{"seeds": [2, 5, 9]}, {"seeds": [1, 2], "policy": "fraction"}, {"oracle": True, "adaptive": True}])
+def test_packed_strata_are_the_joined_ones(spark, monkeypatch, kw):
+    f = O5.frame(spark, SF).withColumn("a1", F.expr("if(rid % 3 = 0, null, a1)"))
+    run = lambda: sorted(map(tuple, baselines.lsh_strata(f, O5.cols, EstimatorSpec(s=2), "rid", **kw).collect()))
+    got = run()
+    monkeypatch.setattr(strata, "MOST_BYTES", 0)
+    assert got == [pytest.approx(r) for r in run()]
+
+
+def test_digests_of_numbers_are_those_of_md5():
+    for first, count in ((0, 12), (9_990, 10), (20_000, 7), (123_450_000, 10_000), (2_070_001_234, 8_000)):
+        want = [int(hashlib.md5(f"l7|{i}".encode()).hexdigest()[:15], 16) for i in range(first, first + count)]
+        assert strata.leading_60(b"l7|", first, count).tolist() == want
+
+
 def test_join_of_equal_ids_at_unequal_ratios_is_not_biased(spark):
     f = O5.frame(spark, SF)
     true = {r["level"]: float(r["x"]) for r in estimate.join_size(f, f, O5.cols, O5.cols, EstimatorSpec(s=3), "exact", "rid", "rid").collect()}
