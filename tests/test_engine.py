@@ -127,6 +127,14 @@ def test_packed_strata_are_the_joined_ones(spark, monkeypatch, kw):
     assert got == [pytest.approx(r) for r in run()]
 
 
+def test_records_of_a_comparison_are_made_once_and_deleted(spark, monkeypatch, tmp_path):
+    made = []
+    monkeypatch.setattr(Q, "shared_path", lambda spark, what: made.append(what) or f"{tmp_path}/{what}")
+    got = errors(Q.QUERIES["exact_vs_strata_doc_shingles6"](spark, SF))
+    assert made == ["records"] and not list(tmp_path.iterdir())
+    assert set(got) == {(m, k) for m in ("lattice exact", "lsh strata") for k in range(3, 7)} and all(v[0] == 30 for v in got.values())
+
+
 def test_digests_of_numbers_are_those_of_md5():
     for first, count in ((0, 12), (9_990, 10), (20_000, 7), (123_450_000, 10_000), (2_070_001_234, 8_000)):
         want = [int(hashlib.md5(f"l7|{i}".encode()).hexdigest()[:15], 16) for i in range(first, first + count)]
